@@ -6,16 +6,22 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, exact_dedup, simhash
+import corpus_pipeline
+
+from . import bpe, decontaminate, exact_dedup, quality, simhash
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "pipeline": corpus_pipeline.run,
         "op3_bpe": bpe.op3_bpe,
         "op4_simhash": simhash.op4_simhash,
+        "op8_decontaminate": decontaminate.op8_decontaminate,
         "op9_exact_dedup": exact_dedup.op9_exact_dedup,
+        "op10_quality": quality.op10_quality,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op9_exact_dedup": exact_dedup.OP9_SQL}
+    own = {"op9_exact_dedup": exact_dedup.OP9_SQL, "pipeline": corpus_pipeline.ORACLE_SQL}
+    return {k: v for k, v in own.items() if v}
