@@ -8,14 +8,16 @@ from pyspark.sql import DataFrame, SparkSession
 
 import corpus_pipeline
 
-from . import bpe, decontaminate, exact_dedup, quality, simhash
+from . import bpe, chat, decontaminate, exact_dedup, quality, simhash, url_filter
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "pipeline": corpus_pipeline.run,
+        "op1_chat": chat.op1_chat,
         "op3_bpe": bpe.op3_bpe,
         "op4_simhash": simhash.op4_simhash,
+        "op7_url_filter": url_filter.op7_url_filter,
         "op8_decontaminate": decontaminate.op8_decontaminate,
         "op9_exact_dedup": exact_dedup.op9_exact_dedup,
         "op10_quality": quality.op10_quality,
@@ -23,5 +25,5 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    own = {"op9_exact_dedup": exact_dedup.OP9_SQL, "pipeline": corpus_pipeline.ORACLE_SQL}
+    own = {"op1_chat": chat.OP1_SQL, "op9_exact_dedup": exact_dedup.OP9_SQL, "pipeline": corpus_pipeline.ORACLE_SQL}
     return {k: v for k, v in own.items() if v}
