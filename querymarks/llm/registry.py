@@ -8,15 +8,17 @@ from pyspark.sql import DataFrame, SparkSession
 
 import corpus_pipeline
 
-from . import bpe, chat, decontaminate, exact_dedup, quality, simhash, url_filter
+from . import bpe, chat, decontaminate, exact_dedup, language_model, quality, secrets, simhash, url_filter
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "pipeline": corpus_pipeline.run,
         "op1_chat": chat.op1_chat,
+        "op2_language_model": language_model.op2_language_model,
         "op3_bpe": bpe.op3_bpe,
         "op4_simhash": simhash.op4_simhash,
+        "op5_secrets": secrets.op5_secrets,
         "op7_url_filter": url_filter.op7_url_filter,
         "op8_decontaminate": decontaminate.op8_decontaminate,
         "op9_exact_dedup": exact_dedup.op9_exact_dedup,
