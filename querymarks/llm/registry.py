@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 import corpus_pipeline
 
-from . import bpe, chat, decontaminate, exact_dedup, language_model, quality, secrets, simhash, url_filter
+from . import bpe, chat, decontaminate, exact_dedup, language_model, line_dedup, quality, secrets, simhash, url_filter
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -19,6 +19,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_bpe": bpe.op3_bpe,
         "op4_simhash": simhash.op4_simhash,
         "op5_secrets": secrets.op5_secrets,
+        "op6_line_dedup": line_dedup.op6_line_dedup,
         "op7_url_filter": url_filter.op7_url_filter,
         "op8_decontaminate": decontaminate.op8_decontaminate,
         "op9_exact_dedup": exact_dedup.op9_exact_dedup,
