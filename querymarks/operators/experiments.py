@@ -1,2 +1,423 @@
-def queries(): return {}
-def oracle_sql(): return {}
+"""The methods, baselines, measures and workloads as queries, with the SQL that each answers to."""
+
+from __future__ import annotations
+
+import uuid
+from collections.abc import Callable
+from functools import reduce
+from typing import Any
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..functions import udfs
+from ..plans import canon, distance
+from ..plans.render import render
+from ..plans.search import Correct, Searcher
+from ..session import Workspace
+from ..sources import corpus
+from ..sources import workloads as wl
+from ..sources.catalog import default_catalog, read_tables, register_tables
+from ..streaming import stream
+from . import baselines, datasets, frontier, grade, measures, nodes
+
+Query = Callable[[SparkSession, str], DataFrame]
+_QUERIES: dict[str, Query] = {}
+_ORACLES: dict[str, str] = {}
+_SAVED: dict[tuple, Any] = {}
+
+
+def _add(name: str, query: Query, oracle: str | None = None) -> None:
+    _QUERIES[name] = query
+    if oracle:
+        _ORACLES[name] = oracle
+
+
+def _values(rows: list[tuple], columns: str) -> str:
+    show = lambda v: "NULL" if v is None else str(v).upper() if isinstance(v, bool) else repr(float(v)) + "::DOUBLE" if isinstance(v, float) else "'" + v.replace("'", "''") + "'" if isinstance(v, str) else str(v)
+    return f"SELECT * FROM (VALUES {', '.join('(' + ', '.join(map(show, r)) + ')' for r in rows)}) v({columns})"
+
+
+def _correct_frame(spark: SparkSession, base_only: bool = False) -> DataFrame:
+    rows = [r for r in wl.correct_rows() if not base_only or r[1] in wl.BASE.values()]
+    return spark.createDataFrame(rows, "question int, cq_id string, sql string")
+
+
+def _once(spark: SparkSession, key: tuple, make: Callable[[], Any]) -> Any:
+    """What several queries need is computed once a session."""
+    key = (spark.sparkContext.applicationId, *key)
+    if key not in _SAVED:
+        _SAVED[key] = make()
+    return _SAVED[key]
+
+
+def _forms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    def make() -> DataFrame:
+        return Workspace(spark, "forms").save(grade.with_forms(grade.unique_texts(corpus.submissions(spark, sf_dir))))
+
+    return _once(spark, ("forms", sf_dir), make)
+
+
+def _pairs(spark: SparkSession, sf_dir: str, method: str, base_only: bool = True) -> DataFrame:
+    def make() -> DataFrame:
+        correct = grade.collect_correct(_correct_frame(spark, base_only))
+        return Workspace(spark, "pairs").save(grade.search_pairs(_forms(spark, sf_dir), correct, method))
+
+    return _once(spark, ("pairs", sf_dir, method, base_only), make)
+
+
+def _graded(spark: SparkSession, sf_dir: str, method: str, base_only: bool = True) -> DataFrame:
+    return grade.attach(corpus.submissions(spark, sf_dir), _forms(spark, sf_dir), grade.best_of(_pairs(spark, sf_dir, method, base_only)))
+
+
+def graded_marks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """sub_id, question, cost, marks, n_edits of every submission against its base query, greedily."""
+    return _graded(spark, sf_dir, "greedy").select("sub_id", "question", F.round("cost", 6).alias("cost"), F.round("marks", 6).alias("marks"), F.col("n_edits").cast("long").alias("n_edits"))
+
+
+# -- the submissions in SQL, from the events and the table of hand-derived costs alone
+_COSTS_SQL = ", ".join(f"({q}, {', '.join(map(str, c))}, {corpus.TOTALS[q]})" for q, c in corpus.COSTS.items())
+TRUTH_SQL = f"""
+WITH hand(question, f0, f1, f2, f3, f4, total) AS (VALUES {_COSTS_SQL}),
+coded AS (SELECT event_id AS sub_id, user_id, ts, CAST(event_id % 15 + 1 AS INT) AS question, CAST(event_id // 15 % 32 AS INT) AS mask FROM events),
+truth AS (
+  SELECT c.*, h.total, CAST((mask & 1) * f0 + (mask >> 1 & 1) * f1 + (mask >> 2 & 1) * f2 + (mask >> 3 & 1) * f3 + (mask >> 4 & 1) * f4 AS DOUBLE) AS cost,
+         CAST((mask & 1) * sign(f0) + (mask >> 1 & 1) * f1 + (mask >> 2 & 1) * f2 + (mask >> 3 & 1) * f3 + (mask >> 4 & 1) * f4 AS BIGINT) AS n_edits
+  FROM coded c JOIN hand h USING (question)
+), marked AS (SELECT *, greatest(0.0, total - cost) / total AS marks FROM truth)
+"""
+# A cost of all that a query is worth leaves no marks; then no sequence is reported.
+_MARKS_SQL = TRUTH_SQL + "SELECT sub_id, question, CAST(least(cost, total) AS DOUBLE) AS cost, round(marks, 6) AS marks, CASE WHEN marks = 0 THEN 0 ELSE n_edits END AS n_edits FROM marked"
+
+
+def _marks_query(method: str) -> Query:
+    return lambda spark, d: _graded(spark, d, method).select("sub_id", "question", F.round("cost", 6).alias("cost"), F.round("marks", 6).alias("marks"), F.col("n_edits").cast("long").alias("n_edits"))
+
+
+_add("path_greedy_marks", _marks_query("greedy"), _MARKS_SQL)
+_add("path_exhaustive_marks", _marks_query("exhaustive"), _MARKS_SQL)
+_add("path_best_of_many", lambda s, d: _graded(s, d, "greedy", False).join(_graded(s, d, "greedy").select("sub_id", F.col("marks").alias("base")), "sub_id").select("sub_id", (F.col("marks") >= F.col("base") - 1e-9).alias("no_worse")), "SELECT event_id AS sub_id, TRUE AS no_worse FROM events")
+_add("path_edit_kinds", lambda s, d: _graded(s, d, "exhaustive").select(F.explode(F.from_json("edits", "array<struct<component:string,cost:double>>")).alias("e")).groupBy(F.col("e.component").alias("component")).agg(F.count("*").alias("n"), F.sum("e.cost").alias("cost")))
+_add("path_feedback", lambda s, d: grade.feedback(_graded(s, d, "greedy")).select("sub_id", (F.col("feedback") == "Correct.").alias("told_correct")), TRUTH_SQL + "SELECT sub_id, cost = 0 AS told_correct FROM marked")
+_add("path_marks_by_question", lambda s, d: _graded(s, d, "greedy").groupBy("question").agg(F.count("*").alias("n"), F.count_if(F.col("cost") == 0).alias("full"), F.round(F.sum("marks"), 4).alias("sum_marks")), TRUTH_SQL + "SELECT question, count(*) AS n, count(*) FILTER (cost = 0) AS full, round(sum(marks), 4) AS sum_marks FROM marked GROUP BY question")
+
+
+# -- worked examples with known distances: (correct, student, participation declared, distance, cost)
+EXAMPLES: dict[str, tuple[str, str, bool, float, float]] = {
+    "failure_class": ("SELECT c_custkey FROM customer JOIN supplier ON c_nationkey = s_nationkey WHERE c_nationkey > 10", "SELECT c_custkey FROM customer JOIN supplier ON c_nationkey = s_suppkey WHERE s_nationkey > 10", False, 2.0, 1.0),
+    "failure_join": ("SELECT DISTINCT c_custkey, c_name FROM customer, orders WHERE c_custkey = o_custkey AND o_orderstatus = 'F'", "SELECT DISTINCT c_custkey, c_name FROM customer, orders WHERE c_custkey = o_custkey", True, 4.0, 1.0),
+    "failure_join_undeclared": ("SELECT DISTINCT c_custkey, c_name FROM customer, orders WHERE c_custkey = o_custkey AND o_orderstatus = 'F'", "SELECT DISTINCT c_custkey, c_name FROM customer, orders WHERE c_custkey = o_custkey", False, 1.0, 1.0),
+    "edit_direction": ("SELECT DISTINCT c_custkey, c_name FROM customer, orders WHERE c_custkey = o_custkey AND o_orderstatus = 'F'", "SELECT c_custkey, c_name FROM customer", False, 4.0, 4.0),
+    "with_origin": ("SELECT a.k FROM (SELECT c_custkey AS k FROM customer WHERE c_acctbal > 5) a, (SELECT c_custkey AS k FROM customer WHERE c_acctbal > 5) b WHERE a.k < b.k", "WITH r AS (SELECT c_custkey AS k FROM customer WHERE c_acctbal > 6) SELECT a.k FROM r a, r b WHERE a.k < b.k", False, 2.0, 1.0),
+    "dangling_relation": ("SELECT c_custkey FROM customer", "SELECT c_custkey FROM customer, region WHERE r_regionkey > 2", False, 2.0, 2.0),
+    "filter_in_outer_join": ("SELECT d.doc_id FROM documents d LEFT JOIN labels l ON d.doc_id = l.doc_id AND quality = 0", "SELECT d.doc_id FROM documents d LEFT JOIN labels l ON d.doc_id = l.doc_id WHERE quality = 0", False, 5.0, 1.0),
+    "order_reorder": ("SELECT o_orderkey FROM orders ORDER BY o_orderdate, o_orderkey", "SELECT o_orderkey FROM orders ORDER BY o_orderkey, o_orderdate", False, 1.0, 1.0),
+    "except_branch": ("SELECT c_custkey FROM customer EXCEPT SELECT o_custkey FROM orders WHERE o_orderstatus = 'F'", "SELECT c_custkey FROM customer EXCEPT SELECT o_custkey FROM orders WHERE o_orderstatus = 'O'", False, 1.0, 1.0),
+    "aggregate": ("SELECT o_custkey, sum(o_totalprice) FROM orders GROUP BY o_custkey", "SELECT o_custkey, avg(o_totalprice) FROM orders GROUP BY o_custkey", False, 1.0, 1.0),
+}
+
+
+def measure_example(name: str) -> tuple[float, float, float]:
+    """(distance, exhaustive cost, greedy cost)"""
+    correct, student, declared, _, _ = EXAMPLES[name]
+    catalog = default_catalog().changed(participation=(("orders", "o_custkey"),)) if declared else default_catalog()
+    c = Correct.of(name, correct, catalog)
+    tree, shared = canon.prepare(student, catalog)
+    s = Searcher(catalog)
+    return distance.edit_distance(canon.semantic(tree, catalog), c.canonical), s.shortest(tree, c, shared).cost, s.greedy(tree, c, shared).cost
+
+
+for _name, _e in EXAMPLES.items():
+    _add(f"path_{_name}", lambda s, d, n=_name: s.createDataFrame([measure_example(n)], "distance double, exhaustive double, greedy double"), _values([(_e[3], _e[4], _e[4])], "distance, exhaustive, greedy"))
+
+_FRONTIER = [(f"{q}-{m}", q, m) for q in (5, 8, 13) for m in (0, 1, 6, 13)]
+_add(
+    "path_frontier",
+    lambda s, d: frontier.shortest_path_frontier(s.createDataFrame([(p, corpus.submission_text(q, m, 3), wl.CORRECT[wl.BASE[q]]) for p, q, m in _FRONTIER], "pair string, student string, correct string")).select("pair", "cost", F.round("marks", 6).alias("marks")),
+    _values([(p, float(c := sum(k for i, k in enumerate(corpus.COSTS[q]) if m >> i & 1)), round((corpus.TOTALS[q] - c) / corpus.TOTALS[q], 6)) for p, q, m in _FRONTIER], "pair, cost, marks"),
+)
+
+
+# -- workloads and rules: Spark runs the canonical rendering, the oracle is the text as written
+def _run(sql: str, declared: bool = False) -> Query:
+    def go(spark: SparkSession, sf_dir: str) -> DataFrame:
+        catalog = default_catalog().changed(participation=(("orders", "o_custkey"),)) if declared else default_catalog()
+        register_tables(spark, sf_dir)
+        return spark.sql(render(canon.canonicalize(sql, catalog)))
+
+    return go
+
+
+for _k, _text in {**wl.CORRECT, **wl.EXTRA}.items():
+    _add(f"wl_{_k}", _run(_text), _text)
+for _k, (_text, _) in wl.RULE_PAIRS.items():
+    _add(f"{'syn' if _k[0] == 's' else 'sem'}_{_k}", _run(_text), _text)
+_add("sem_c07b", _run(wl.PARTICIPATION_PAIR[0], True), wl.PARTICIPATION_PAIR[0])
+for _k, (_text, _) in wl.GUARDS.items():
+    _add(f"guard_{_k}", _run(_text), _text)
+
+# -- distances over node tables
+_LEFT = [("a", "projection", "c_custkey"), ("a", "projection", "c_custkey"), ("a", "relation", "customer"), ("a", "relation", "orders"), ("a", "predicate", "p1"), ("a", "distinct", "distinct"), ("b", "projection", "x"), ("b", "aggregate", "sum(y)"), ("b", "group_by", "x"), ("b", "having", "h"), ("b", "order_by", "x"), ("b", "limit", "5"), ("b", "set_op", "union"), ("b", "join_type", "left orders"), ("b", "subquery", "exists")]
+_RIGHT = [("a", "projection", "c_custkey"), ("a", "projection", "c_name"), ("a", "relation", "customer"), ("a", "predicate", "p1"), ("a", "predicate", "p2"), ("b", "projection", "x"), ("b", "aggregate", "avg(y)"), ("b", "group_by", "x"), ("b", "group_by", "z"), ("b", "order_by", "z"), ("b", "limit", "6"), ("b", "set_op", "except"), ("b", "subquery", "not exists")]
+_NODE_SQL = f"""
+WITH l AS ({_values(_LEFT, "pair, component, label")}), r AS ({_values(_RIGHT, "pair, component, label")}),
+keys AS (SELECT pair, component FROM l UNION SELECT pair, component FROM r),
+x AS (SELECT pair, component, count(*) AS extra FROM (SELECT * FROM l EXCEPT ALL SELECT * FROM r) GROUP BY ALL),
+m AS (SELECT pair, component, count(*) AS missing FROM (SELECT * FROM r EXCEPT ALL SELECT * FROM l) GROUP BY ALL),
+d AS (SELECT pair, component, CAST(coalesce(missing, 0) AS BIGINT) AS missing, CAST(coalesce(extra, 0) AS BIGINT) AS extra, CAST(greatest(coalesce(missing, 0), coalesce(extra, 0)) AS BIGINT) AS distance FROM keys LEFT JOIN x USING (pair, component) LEFT JOIN m USING (pair, component))
+"""
+
+
+def _node_parts(spark: SparkSession) -> DataFrame:
+    frame = lambda rows: spark.createDataFrame(rows, "pair string, component string, label string")
+    return nodes.component_distance(frame(_LEFT), frame(_RIGHT))
+
+
+for _c in distance.COMPONENTS:
+    _add(f"ced_{_c}", lambda s, d, c=_c: _node_parts(s).where(F.col("component") == c).select("pair", "component", "missing", "extra", "distance"), _NODE_SQL + f"SELECT pair, component, missing, extra, distance FROM d WHERE component = '{_c}'")
+_WEIGHTS = [("predicate", 2.0), ("projection", 0.5)]
+_add("ced_weighted", lambda s, d: nodes.weighted_distance(_node_parts(s), s.createDataFrame(_WEIGHTS, "component string, weight double")), _NODE_SQL + f"SELECT pair, sum(distance * coalesce(weight, 1.0)) AS distance FROM d LEFT JOIN ({_values(_WEIGHTS, 'component, weight')}) w USING (component) GROUP BY pair")
+
+
+def _corpus_nodes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Distances of the flat questions 3 and 14, from node tables of canonical trees."""
+    rows = [(f"{q}-{m}", corpus.submission_text(q, m, 2), wl.CORRECT[wl.BASE[q]]) for q in (3, 14) for m in range(32)]
+    frame = spark.createDataFrame(rows, "query_id string, student string, correct string")
+    side = lambda c: nodes.nodes(frame.select("query_id", F.col(c).alias("sql"))).select(F.col("query_id").alias("pair"), "component", "label")
+    parts = nodes.component_distance(side("student"), side("correct"))
+    return parts.groupBy("pair").agg(F.sum("distance").alias("distance"))
+
+
+_add("ced_total", _corpus_nodes, _values([(f"{q}-{m}", sum(k for i, k in enumerate(corpus.COSTS[q]) if m >> i & 1)) for q in (3, 14) for m in range(32)], "pair, distance"))
+_add("ced_marks_by_distance", lambda s, d: _graded(s, d, "greedy").where("question IN (3, 14)").select("sub_id", F.round("distance_marks", 6).alias("marks")), TRUTH_SQL + "SELECT sub_id, round(marks, 6) AS marks FROM marked WHERE question IN (3, 14)")
+_add("ced_against_path", lambda s, d: _pairs(s, d, "exhaustive").groupBy("question").agg(F.count("*").alias("forms"), F.count_if(F.col("distance") > F.col("cost")).alias("distance_higher"), F.count_if(F.col("distance") < F.col("cost")).alias("distance_lower")))
+
+# -- reports
+_P = "SELECT sum(submitted) AS submitted, sum(data) AS data, sum(canon) AS canon, sum(false_pos_data) AS false_pos_data, round(100.0 * sum(canon) / (sum(data) - sum(false_pos_data)), 1) AS accuracy FROM"
+_add(
+    "rep_published_equivalence",
+    lambda s, d: measures.published_equivalence(s).agg(*(F.sum(c).alias(c) for c in ("submitted", "data", "canon", "false_pos_data"))).withColumn("accuracy", measures.share(F.col("canon"), F.col("data") - F.col("false_pos_data"))),
+    f"{_P} ({_values(list(measures.PUBLISHED_EQUIVALENCE), 'question, submitted, correct, size, data, canon, false_pos_data')})",
+)
+_add(
+    "rep_published_equivalence_each",
+    lambda s, d: measures.published_equivalence(s).select("question", measures.share(F.col("canon"), F.col("data") - F.col("false_pos_data")).alias("accuracy")),
+    f"SELECT question, round(100.0 * canon / (data - false_pos_data), 1) AS accuracy FROM ({_values(list(measures.PUBLISHED_EQUIVALENCE), 'question, submitted, correct, size, data, canon, false_pos_data')})",
+)
+_add(
+    "rep_published_fairness",
+    lambda s, d: measures.published_fairness(s).agg(F.sum("pairs").alias("pairs"), measures.share(F.sum("distance_matches"), F.sum("pairs")).alias("distance_accuracy"), measures.share(F.sum("edit_matches"), F.sum("pairs")).alias("edit_accuracy")),
+    f"SELECT sum(pairs) AS pairs, round(100.0 * sum(d) / sum(pairs), 1) AS distance_accuracy, round(100.0 * sum(e) / sum(pairs), 1) AS edit_accuracy FROM ({_values(list(measures.PUBLISHED_FAIRNESS), 'question, pairs, d, e')})",
+)
+_add(
+    "rep_published_search",
+    lambda s, d: measures.published_search(s).join(measures.published_equivalence(s).select("question", "submitted", "data"), "question").select("question", "incorrect", (F.col("incorrect") == F.col("submitted") - F.col("data")).alias("agrees"), F.round(F.col("exhaustive_ms") / F.col("greedy_ms"), 1).alias("ratio")),
+    f"SELECT question, incorrect, TRUE AS agrees, round(e / g, 1) AS ratio FROM ({_values(list(measures.PUBLISHED_SEARCH), 'question, incorrect, g, e, capped')})",
+)
+_BUCKETS = [(0.5, 0.4001), (0.5, 0.4), (0.4, 0.5), (0.7, 0.7), (1.0, 0.0), (0.35, 0.25)]
+_add(
+    "rep_buckets",
+    lambda s, d: s.createDataFrame(_BUCKETS, "a double, b double").select("a", "b", measures.bucket(F.col("a"), F.col("b")).alias("bucket"), measures.bucket(F.col("a"), F.col("b"), relative=True).alias("relative")),
+    f"SELECT a, b, CASE WHEN round(abs(a - b), 9) >= 0.1 THEN CASE WHEN a > b THEN 'first' ELSE 'second' END ELSE 'same' END AS bucket, CASE WHEN round(abs(a - b), 9) >= round(0.1 * greatest(a, b), 9) AND a <> b THEN CASE WHEN a > b THEN 'first' ELSE 'second' END ELSE 'same' END AS relative FROM ({_values(_BUCKETS, 'a, b')})",
+)
+_TEXTS = {q: {m: corpus.submission_text(q, m, 0) for m in range(32)} for q in (5, 6)}
+
+
+def _judged(spark: SparkSession, sf_dir: str, question: int) -> DataFrame:
+    """mask, data_correct (on the tables as they are), canonical_match."""
+    whole = {"fixed": {t: df for t, df in read_tables(spark, sf_dir, datasets.STAR).items()}}
+    told = datasets.verdicts(spark, {str(m): t for m, t in _TEXTS[question].items()}, wl.CORRECT[wl.BASE[question]], whole)
+    catalog = default_catalog()
+    want = canon.canonical_text(wl.CORRECT[wl.BASE[question]], catalog)
+    forms = spark.createDataFrame([(str(m), canon.canonical_text(t, catalog) == want) for m, t in _TEXTS[question].items()], "query string, canonical_match boolean")
+    return told.join(forms, "query").select(F.lit(question).alias("question"), F.col("query").cast("int").alias("mask"), F.col("passed").alias("data_correct"), "canonical_match")
+
+
+def _fixed_sql(question: int, match: bool = False) -> str:
+    """The same judgement by multiset differences, from the texts as written."""
+    right = wl.CORRECT[wl.BASE[question]]
+    names = [c for c in corpus.EXERCISES[question].blocks[0].items]
+    parts = []
+    for m, t in _TEXTS[question].items():
+        width = len(names) - (m & 1) if len(names) > 1 else 1
+        same = f"NOT EXISTS ((SELECT * FROM ({t})) EXCEPT ALL ({right})) AND NOT EXISTS (({right}) EXCEPT ALL (SELECT * FROM ({t})))" if width == len(names) else "FALSE"
+        cost = sum(k for i, k in enumerate(corpus.COSTS[question]) if m >> i & 1)
+        parts.append(f"SELECT {question} AS question, {m} AS mask, {same} AS data_correct, {str(cost == 0).upper()} AS canonical_match")
+    return " UNION ALL ".join(parts)
+
+
+for _q in (5, 6):
+    _add(f"base_fixed_dataset_q{_q}", lambda s, d, q=_q: _judged(s, d, q), _fixed_sql(_q))
+    _add(
+        f"rep_equivalence_q{_q}",
+        lambda s, d, q=_q: measures.equivalence_report(_judged(s, d, q).withColumn("truly_correct", F.col("canonical_match"))).select("question", "submitted", "data", "canon", "false_pos_data"),
+        f"SELECT question, count(*) AS submitted, count(*) FILTER (data_correct) AS data, count(*) FILTER (canonical_match) AS canon, count(*) FILTER (data_correct AND NOT canonical_match) AS false_pos_data FROM ({_fixed_sql(_q)}) GROUP BY question",
+    )
+
+
+def _fairness(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All pairs of the forms of a question: a stated set of at most 496. The reference is the hand-derived marks."""
+    hand = [(q, canon_form, max(0.0, corpus.TOTALS[q] - c) / corpus.TOTALS[q]) for q in corpus.EXERCISES for m in range(32) for c in [float(sum(k for i, k in enumerate(corpus.COSTS[q]) if m >> i & 1))] for canon_form in [corpus.submission_text(q, m, 0)]]
+    ref = spark.createDataFrame(list({(q, t): (q, t, r) for q, t, r in hand}.values()), "question int, sql string, ref double")
+    forms = _forms(spark, sf_dir).where("parse_error is null").select("question", "sql", "form")
+    marked = ref.join(grade.with_forms(ref.select("question", "sql")).select("question", "sql", "form"), ["question", "sql"]).join(_pairs(spark, sf_dir, "greedy").select("question", "form", "marks", "distance_marks"), ["question", "form"])
+    marked = marked.join(forms.select("question", "form").distinct(), ["question", "form"], "left_semi")
+    a, b = (marked.select("question", F.col("form").alias(f"f{k}"), F.col("ref").alias(f"ref_{k}"), F.col("distance_marks").alias(f"distance_{k}"), F.col("marks").alias(f"edit_{k}")) for k in (1, 2))
+    return measures.fairness_report(a.join(b, "question").where("f1 < f2"))
+
+
+_add("rep_fairness", _fairness)
+_add("rep_fairness_edit_match", lambda s, d: _fairness(s, d).select("question", (F.col("edit_matches") == F.col("pairs")).alias("all_match"), (F.col("edit_matches") >= F.col("distance_matches")).alias("no_worse")), _values([(q, True, True) for q in range(1, 16)], "question, all_match, no_worse"))
+_add(
+    "rep_search_match",
+    lambda s, d: measures.search_report(_pairs(s, d, "greedy"), _pairs(s, d, "exhaustive")).select("question", "pairs", "finished", "matches", "match_share"),
+    TRUTH_SQL + ", forms AS (SELECT question, count(DISTINCT CASE WHEN question = 1 THEN mask & ~2 WHEN question = 13 THEN mask & ~8 ELSE mask END) AS n FROM truth GROUP BY question) SELECT question, n AS pairs, n AS finished, n AS matches, 100.0 AS match_share FROM forms",
+)
+_add("rep_search_times", lambda s, d: measures.search_report(_pairs(s, d, "greedy"), _pairs(s, d, "exhaustive")))
+_KILLED = ("w03", "w05a", "w08a")
+_GROUPED = "SELECT o_custkey, o_orderstatus, sum(o_totalprice) AS worth FROM orders WHERE o_orderpriority LIKE '1%' GROUP BY o_custkey, o_orderstatus"
+
+
+def _kills(spark: SparkSession, sf_dir: str) -> DataFrame:
+    def make() -> DataFrame:
+        data = datasets.kill_datasets(read_tables(spark, sf_dir, datasets.STAR))
+        edge = {"edge": datasets.boundary(datasets.boundary(data["whole"], "part", "p_size", [24, 25, 26]), "customer", "c_acctbal", [4999, 5000, 5001])}
+        texts = {**{k: wl.CORRECT[k] for k in _KILLED}, "grouped": _GROUPED}
+        parts = [datasets.kill_matrix(spark, t, {k: data[k] for k in ("slice1", "sparse")} | edge).withColumn("query", F.lit(q)) for q, t in texts.items()]
+        return Workspace(spark, "kills").save(reduce(DataFrame.unionByName, parts))
+
+    return _once(spark, ("kills", sf_dir), make)
+
+
+_add("rep_kills", lambda s, d: measures.kill_report(_kills(s, d)))
+_add("rep_kill_matrix", lambda s, d: _kills(s, d).select("query", "mutant", "kind", "change", "killed", "by"))
+
+# -- other judges
+_add("base_textual", lambda s, d: baselines.textual_match(corpus.submissions(s, d), _correct_frame(s)).groupBy("question").agg(F.count_if("textual_match").alias("matches"), F.count("*").alias("n")))
+_add("base_binary", lambda s, d: baselines.binary_marks(_graded(s, d, "greedy")).select("sub_id", "binary_marks"), TRUTH_SQL + "SELECT sub_id, CASE WHEN cost = 0 THEN 1.0 ELSE 0.0 END AS binary_marks FROM marked")
+
+
+def _plan_matches(spark: SparkSession, sf_dir: str) -> DataFrame:
+    register_tables(spark, sf_dir)
+    catalog = default_catalog()
+    same = lambda a, b: canon.canonical_text(a, catalog) == canon.canonical_text(b, catalog)
+    return spark.createDataFrame([(k, baselines.plan_match(spark, a, b), baselines.plan_match(spark, a, b, "analyzed"), same(a, b)) for k, (a, b, _, _) in wl.PLAN_PAIRS.items()], "pair string, optimized boolean, analyzed boolean, canonical boolean")
+
+
+_add("base_plan_match", _plan_matches, _values([(k, o, a, True) for k, (_, _, o, a) in wl.PLAN_PAIRS.items()], "pair, optimized, analyzed, canonical"))
+_TABLEAUX = {
+    "redundant_self_join": ("SELECT DISTINCT a.c_custkey FROM customer a, customer b WHERE a.c_nationkey = b.c_nationkey", "SELECT DISTINCT c_custkey FROM customer", True),
+    "constant": ("SELECT DISTINCT c_custkey FROM customer WHERE c_nationkey = 3", "SELECT DISTINCT c_custkey FROM customer WHERE c_nationkey = 4", False),
+    "order_of_joins": (wl.CORRECT["w04a"], "SELECT c_custkey FROM nation JOIN customer ON n_nationkey = c_nationkey WHERE 2 = n_regionkey", True),
+    "outside": (wl.CORRECT["w03"], wl.CORRECT["w03"], None),
+}
+_add("base_tableau", lambda s, d: s.createDataFrame([(k, baselines.tableau_equivalent(a, b)) for k, (a, b, _) in _TABLEAUX.items()], "pair string, equivalent boolean"), _values([(k, e) for k, (_, _, e) in _TABLEAUX.items()], "pair, equivalent"))
+#: A student's reversed bound, a query about something else that is always empty, and a right one.
+_NAIVE = {"reversed": "SELECT c_custkey FROM customer WHERE c_acctbal < 9000", "unrelated": "SELECT p_partkey FROM part WHERE p_size < 0", "right": "SELECT c_custkey FROM customer WHERE 9000 < c_acctbal"}
+_NAIVE_RIGHT = "SELECT c_custkey FROM customer WHERE c_acctbal > 9000"
+
+
+def _naive(spark: SparkSession, sf_dir: str) -> DataFrame:
+    t = read_tables(spark, sf_dir, ("customer", "part"))
+    data = {"whole": t, "rich": t | {"customer": t["customer"].where("c_acctbal > 9000")}, "poor": t | {"customer": t["customer"].where("c_acctbal BETWEEN 0 AND 100")}, "empty": {k: df.limit(0) for k, df in t.items()}}
+    naive = datasets.marks_by_datasets(spark, _NAIVE, _NAIVE_RIGHT, data)
+    catalog = default_catalog()
+    right = Correct.of("c", _NAIVE_RIGHT, catalog)
+    path = [(k, round(Searcher(catalog).shortest(canon.prepare(q, catalog)[0], right).marks, 6)) for k, q in _NAIVE.items()]
+    return naive.join(spark.createDataFrame(path, "query string, path_marks double"), "query")
+
+
+# By datasets the unrelated query outranks the reversed bound; by edits it gets nothing.
+_add("base_datasets_fraction", _naive, _values([("reversed", 0.25, 0, round(2 / 3, 6)), ("unrelated", 0.5, 0, 0.0), ("right", 1.0, 1, 1.0)], "query, marks, all_or_nothing, path_marks"))
+
+
+def _combined(spark: SparkSession, sf_dir: str) -> DataFrame:
+    t = read_tables(spark, sf_dir, datasets.STAR)
+    right = [wl.CORRECT["w05a"], wl.CORRECT["w05b"]]
+    own = {"own": datasets.boundary(t, "customer", "c_acctbal", [99999.0])}
+    students = {"same": corpus.submission_text(5, 0, 4), "other form": wl.CORRECT["w05b"], "wrong": corpus.submission_text(5, 2, 0), "cross": corpus.submission_text(5, 16, 0), "extra": "SELECT DISTINCT c_custkey, c_name FROM customer, orders WHERE c_custkey = o_custkey AND o_orderstatus = 'F' AND o_orderpriority = '1-URGENT' AND o_totalprice > -1"}
+    return spark.createDataFrame([(k, *datasets.combined_verdict(spark, q, right, {"whole": t}, own)) for k, q in students.items()], "student string, correct boolean, reason string")
+
+
+_add("ver_combined", _combined, _values([("same", True, "canonical form"), ("other form", True, "canonical form"), ("wrong", False, "datasets of the correct query"), ("cross", True, "all datasets"), ("extra", True, "all datasets")], "student, correct, reason"))
+
+# -- clusters: masks with one canonical form. Faults without cost vanish; DISTINCT on a key stays while a cross join repeats rows.
+_SIGNATURE = "CASE WHEN question IN (1, 2) THEN CASE WHEN mask & 16 = 0 THEN mask & ~8 ELSE mask END WHEN question IN (4, 5, 10, 13) THEN mask & ~8 ELSE mask END"
+_SIGNED = TRUTH_SQL + f", signed AS (SELECT *, CASE WHEN question = 1 THEN ({_SIGNATURE}) & ~2 ELSE {_SIGNATURE} END AS sig FROM truth)"
+_clusters = lambda s, d: _once(s, ("clusters", d), lambda: Workspace(s, "clusters").save(grade.clusters(corpus.submissions(s, d), _correct_frame(s))))
+_add("clu_clusters", lambda s, d: _clusters(s, d).select("question", "exemplar", "size"), _SIGNED + "SELECT question, min(sub_id) AS exemplar, count(*) AS size FROM signed GROUP BY question, sig")
+_add("clu_sizes", lambda s, d: _clusters(s, d).groupBy("question").agg(F.count("*").alias("clusters"), F.max("size").alias("largest")), _SIGNED + "SELECT question, count(*) AS clusters, max(n) AS largest FROM (SELECT question, sig, count(*) AS n FROM signed GROUP BY ALL) GROUP BY question")
+_add("clu_unmatched", lambda s, d: _clusters(s, d).where("not matched").groupBy("question").agg(F.count("*").alias("clusters")), _SIGNED + "SELECT question, count(DISTINCT sig) AS clusters FROM signed WHERE cost > 0 GROUP BY question")
+_add("eq_canonical_match", lambda s, d: grade.with_equivalence(corpus.submissions(s, d), _correct_frame(s)).select("sub_id", "canonical_match"), TRUTH_SQL + "SELECT sub_id, cost = 0 AS canonical_match FROM marked")
+
+# -- functions in SQL
+_A, _B = wl.CORRECT["w08a"], corpus.submission_text(8, 5, 1)
+_lit = lambda s: "'" + s.replace("\\", "\\\\").replace("'", "\\'") + "'"
+
+
+def _udf(text: str) -> Query:
+    def go(spark: SparkSession, sf_dir: str) -> DataFrame:
+        udfs.register_all(spark)
+        return spark.sql(text)
+
+    return go
+
+
+_SUBS = f"VALUES ({_lit(_A)}), ({_lit(_B)}), ('SELECT FROM x')"
+_add("udf_canonical_sql", _udf(f"SELECT canonical_sql(sql) IS NULL AS failed, canonical_sql(sql) = canonical_sql({_lit(_A)}) AS same FROM {_SUBS} t(sql)"), _values([(False, True), (False, False), (True, None)], "failed, same"))
+_add("udf_canonical_hash", _udf(f"SELECT canonical_hash(sql) = canonical_hash({_lit(corpus.submission_text(8, 0, 6))}) AS same FROM {_SUBS} t(sql)"), _values([(True,), (False,), (None,)], "same"))
+_add("udf_query_size", _udf("SELECT query_size('SELECT c_custkey, c_name FROM customer') AS a, query_size('SELECT p_name FROM part WHERE p_size > 25') AS b"), "SELECT 3 AS a, 5 AS b")
+_add("udf_parse_error", _udf(f"SELECT parse_error(sql) AS e FROM VALUES ({_lit(_A)}), ('SELECT x FROM nowhere'), ('DROP TABLE t'), ('SELECT a b c FROM customer') t(sql)"), _values([("",), ("there is no table nowhere",), ("only SELECT statements are graded",), ("unexpected 'c'",)], "e"))
+_add("udf_edit_distance", _udf(f"SELECT edit_distance({_lit(_B)}, {_lit(_A)}) AS d"), "SELECT 2.0::DOUBLE AS d")
+_add("udf_marks", _udf(f"SELECT marks_greedy({_lit(_B)}, {_lit(_A)}) AS g, marks_exhaustive({_lit(_B)}, {_lit(_A)}) AS e"), "SELECT 0.75::DOUBLE AS g, 0.75::DOUBLE AS e")
+_add("udf_best_marks", _udf("SELECT k, best_marks(m) AS best FROM VALUES (1, 0.5D), (1, 0.75D), (2, CAST(NULL AS DOUBLE)) t(k, m) GROUP BY k"), _values([(1, 0.75), (2, 0.0)], "k, best"))
+_add("udtf_flatten_tree", _udf(f"SELECT component, count(*) AS n FROM flatten_tree({_lit(_A)}) GROUP BY component"), _values([("projection", 2), ("relation", 2), ("predicate", 3), ("subquery", 1)], "component, n"))
+_add("udtf_guided_edits", _udf(f"SELECT op, component, cost FROM guided_edits({_lit(corpus.submission_text(3, 16, 0))}, {_lit(wl.CORRECT['w03'])})"), _values([("delete", "relation", 1.0)], "op, component, cost"))
+_add("udtf_edit_sequence", _udf(f"SELECT op, component, cost FROM edit_sequence({_lit(_B)}, {_lit(_A)})"), _values([("insert", "projection", 1.0), ("delete", "predicate", 1.0)], "op, component, cost"))
+_add("udtf_mutants", _udf(f"SELECT kind, count(*) AS n FROM mutants({_lit('SELECT DISTINCT p_name FROM part WHERE p_size > 25')}) GROUP BY kind"), _values([("distinct", 1), ("comparison", 5)], "kind, n"))
+
+
+# -- streams: run to their end, and held against the batch answer
+def _streamed(spark: SparkSession, sf_dir: str, make: Callable[[DataFrame], DataFrame], mode: str = "append") -> DataFrame:
+    ws = Workspace(spark, "stream")
+    # A last row far ahead moves the watermark past all windows; it is left out of the answers.
+    subs = corpus.submissions(spark, sf_dir).withColumn("ts", F.col("ts").cast("timestamp"))
+    end = subs.limit(1).withColumn("ts", F.lit("2030-01-01 00:00:00").cast("timestamp")).withColumn("question", F.lit(99)).withColumn("student_id", F.lit(-1).cast("long"))
+    stream.write_ordered(subs.unionByName(end), f"{ws.root}/in")
+    name = f"qm_{uuid.uuid4().hex}"
+    return stream.run_to_end(make(stream.submission_stream(spark, f"{ws.root}/in", 1000)), name, mode, f"{ws.root}/checkpoint")
+
+
+_day = lambda c: F.date_format(c, "yyyy-MM-dd HH:mm:ss")
+_add("str_tumbling", lambda s, d: _streamed(s, d, stream.tumbling).where("question <> 99").select("question", _day("start").alias("start"), "attempts"), TRUTH_SQL + "SELECT question, strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S') AS start, count(*) AS attempts FROM truth GROUP BY ALL")
+_add("str_sliding", lambda s, d: _streamed(s, d, stream.sliding).where("question <> 99").select("question", _day("start").alias("start"), "attempts"), TRUTH_SQL + "SELECT question, strftime(time_bucket(INTERVAL 6 HOUR, ts) - k * INTERVAL 6 HOUR, '%Y-%m-%d %H:%M:%S') AS start, count(*) AS attempts FROM truth, (VALUES (0), (1), (2), (3)) v(k) GROUP BY ALL")
+_add(
+    "str_session",
+    lambda s, d: _streamed(s, d, stream.sessions).where("student_id <> -1").groupBy("student_id").agg(F.count("*").alias("sessions"), F.sum("attempts").alias("attempts")),
+    "SELECT user_id AS student_id, count(*) FILTER (g IS NULL OR g >= INTERVAL 30 MINUTE) AS sessions, count(*) AS attempts FROM (SELECT user_id, ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS g FROM events) x GROUP BY 1",
+)
+
+
+def _deduplicated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Whether the stream keeps each text of a student and question once."""
+    kept = _streamed(spark, sf_dir, stream.without_resubmits).where("question <> 99").agg(F.count("*").alias("n"), F.countDistinct("student_id", "question", "sql").alias("k"))
+    whole = corpus.submissions(spark, sf_dir).agg(F.countDistinct("student_id", "question", "sql").alias("w"))
+    return kept.crossJoin(whole).select((F.col("n") == F.col("w")).alias("all_kept"), (F.col("n") == F.col("k")).alias("once"))
+
+
+_add("str_dedup", _deduplicated, "SELECT TRUE AS all_kept, TRUE AS once")
+_add(
+    "str_best_so_far",
+    lambda s, d: _streamed(s, d, lambda df: stream.best_so_far(df.select("student_id", "question", (F.col("mask") / 32.0).alias("marks"))), "update").where("question <> 99").groupBy("student_id", "question").agg(F.max("attempts").alias("attempts"), F.max("best").alias("best")),
+    TRUTH_SQL + "SELECT user_id AS student_id, question, count(*) AS attempts, max(mask / 32.0) AS best FROM truth GROUP BY ALL",
+)
+
+__all__ = ["EXAMPLES", "graded_marks", "oracle_sql", "queries"]
+
+
+def queries() -> dict[str, Query]:
+    return dict(_QUERIES)
+
+
+def oracle_sql() -> dict[str, str]:
+    return dict(_ORACLES)
