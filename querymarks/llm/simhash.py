@@ -16,6 +16,8 @@ from .components import connected
 SEED = 42
 #: Buckets of up to this many fingerprints compare pairs; larger ones meet in the points at one bit's distance.
 PAIRWISE = 32
+#: Classes of shingles: about so many shingles in one, so many classes used; hashes in a sketch; representatives tried.
+CLASS_SIZE, CLASSES, SKETCH, ROUNDS = 4, 16, 512, 3
 
 
 def fingerprint(data: bytes, words: int = 3) -> int:
@@ -106,10 +108,120 @@ def simhash_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     return each.join(placed.join(named, "root").select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
 
 
-def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, radius: int = 2) -> DataFrame:
-    """The rows of ``docs`` but for those whose group has a smaller doc_id, with all their columns."""
-    groups = simhash_groups(docs, id_col, text_col, words, radius)
-    gone = groups.where("doc_id > component_id").select(F.col("doc_id").alias("__gone")).distinct()
+def shingle_hashes(data: bytes, words: int = 5) -> np.ndarray:
+    """The distinct hashes of a text's word shingles (fewer words: of the whole sequence; none: no hash), sorted."""
+    out, tail, hashed = [], [], xxhash.xxh64_intdigest
+    some = False
+    for block in word_blocks(data.lower()):
+        tokens = tail + block
+        if len(tokens) >= words:
+            some = True
+            out.append(np.unique(np.fromiter((hashed(b" ".join(x), SEED) for x in zip(*(tokens[k:] for k in range(words)))), np.uint64)))
+        tail = tokens[-(words - 1) :]
+    if not some and tail:
+        return np.array([hashed(b" ".join(tail), SEED)], np.uint64)
+    return np.unique(np.concatenate(out)) if out else np.zeros(0, np.uint64)
+
+
+def majority(hashes: np.ndarray, starts: np.ndarray) -> np.ndarray:
+    """The SimHash of each stretch of ``hashes`` that begins at ``starts``."""
+    bits = np.unpackbits(hashes.view(np.uint8), bitorder="little").reshape(-1, 64)
+    sums = np.add.reduceat(bits, starts, axis=0, dtype=np.int64)
+    sizes = np.diff(np.append(starts, len(hashes)))
+    return np.packbits(2 * sums > sizes[:, None], axis=1, bitorder="little").view(np.uint64).reshape(-1)
+
+
+def class_keys(hashes: np.ndarray) -> np.ndarray:
+    """Keys of SimHashes over classes of shingles, which similar texts share.
+
+    A class holds the shingles whose hashes end in the same bits, so that it is the same class in any text; there are
+    enough classes for about CLASS_SIZE shingles in each, and CLASSES of them are used, at the two levels about
+    that size, one of which texts of similar size have in common.
+    """
+    level = max(0, int(np.floor(np.log2(max(1.0, len(hashes) / CLASS_SIZE)))))
+    keys = []
+    for bits in (level, level + 1):
+        own = hashes & np.uint64((1 << bits) - 1)
+        chosen = own < CLASSES
+        order = np.argsort(own[chosen], kind="stable")
+        members, cls = hashes[chosen][order], own[chosen][order]
+        if len(members):
+            starts = np.flatnonzero(np.diff(cls, prepend=cls[0] + np.uint64(1)))
+            keys.append(majority(members, starts) * np.uint64(0x9E3779B97F4A7C15) ^ (cls[starts] + np.uint64(bits << 8)))
+    return np.concatenate(keys) if keys else np.zeros(0, np.uint64)
+
+
+def estimated_jaccard(a: np.ndarray, b: np.ndarray) -> float:
+    """Jaccard similarity from bottom sketches: of the least SKETCH hashes of both texts, the share that both have."""
+    union = np.union1d(a, b)[:SKETCH]
+    return float(np.isin(union, np.intersect1d(a, b, assume_unique=True), assume_unique=True).sum()) / max(1, len(union))
+
+
+def sketches(docs: DataFrame, id_col: str, text_col: str, words: int) -> DataFrame:
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            fps, keys, sizes, low = [], [], [], []
+            for x in batch.column(1):
+                h = shingle_hashes(x.as_buffer().to_pybytes(), words)
+                fps.append(int(majority(h, np.zeros(1, np.int64))[0]) if len(h) else 0)
+                keys.append(class_keys(h).view(np.int64))
+                sizes.append(len(h))
+                low.append(np.sort((h >> np.uint64(32)).astype("<u4"))[:SKETCH].tobytes())
+            columns = [pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(keys, pa.list_(pa.int64())), pa.array(sizes, pa.int64()), pa.array(low, pa.binary())]
+            yield pa.RecordBatch.from_arrays([batch.column(0), *columns], names=["doc_id", "fp", "keys", "n", "low"])
+
+    return id_text(docs, id_col, text_col).mapInArrow(work, "doc_id long, fp long, keys array<long>, n long, low binary")
+
+
+def similar_links(each: DataFrame, ws: Workspace, similarity: float) -> DataFrame:
+    """(a, b) with a > b: documents that share the SimHash of a class, and whose similarity is high enough.
+
+    In each bucket all documents meet the one with the least id; those that are unlike it meet the least among
+    themselves in the next round. So a bucket of n documents gives n candidates a round, never all pairs.
+    """
+
+    def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            got = [estimated_jaccard(np.frombuffer(x.as_buffer(), "<u4"), np.frombuffer(y.as_buffer(), "<u4")) for x, y in zip(batch.column(2), batch.column(3))]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(np.array(got, float) >= similarity)], names=["a", "b", "alike"])
+
+    members = ws.save(each.where("doc_id is not null").select("doc_id", "n", F.explode("keys").alias("key")).distinct(), "members")
+    known = each.where("doc_id is not null").groupBy("doc_id").agg(F.max_by("low", "n").alias("low"))
+    judged = None
+    for _ in range(ROUNDS):
+        heads = members.groupBy("key").agg(F.min(F.struct("doc_id", "n")).alias("h"), F.count(F.lit(1)).alias("size")).where("size > 1")
+        met = ws.save(members.join(heads.select("key", F.col("h.doc_id").alias("b"), F.col("h.n").alias("bn")), "key").where("doc_id > b"), "met")
+        fresh = met.where(F.least("n", "bn") >= similarity * 0.9 * F.greatest("n", "bn")).select(F.col("doc_id").alias("a"), "b").distinct()
+        if judged is not None:
+            fresh = fresh.join(judged.select("a", "b"), ["a", "b"], "left_anti")
+        both = fresh.join(known.select(F.col("doc_id").alias("a"), F.col("low").alias("low_a")), "a").join(known.select(F.col("doc_id").alias("b"), F.col("low").alias("low_b")), "b")
+        new = both.select("a", "b", "low_a", "low_b").mapInArrow(judge, "a long, b long, alike boolean")
+        judged = ws.save(new if judged is None else judged.unionByName(new), "judged")
+        alike = judged.where("alike").select(F.col("a").alias("doc_id"), "b")
+        members, old = ws.save(met.join(alike, ["doc_id", "b"], "left_anti").select("doc_id", "n", "key"), "members"), members
+        ws.drop(old)
+        ws.drop(met)
+    return judged.where("alike").select("a", "b")
+
+
+def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, radius: int = 2, similarity: float = 0.8) -> DataFrame:
+    """The rows of ``docs`` but for those that a near copy with a smaller doc_id stands for, with all their columns.
+
+    Documents are linked when the SimHashes of their ``words``-word shingles differ in ``radius`` bits or fewer,
+    found by covering masks without a miss, or when the Jaccard similarity of these shingles is ``similarity`` or
+    more among documents that share the SimHash of a class of shingles. At 64 bits a similarity of 0.8 is about ten
+    differing bits, for which no covering is small enough: hence the classes. Of each component the least doc_id
+    stays. Documents without words are copies of each other; rows without an id stay.
+    """
+    ws = Workspace(docs.sparkSession, "near")
+    each = ws.save(sketches(docs, id_col, text_col, words), "sketches")
+    same = ws.save(each.where("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n")), "distinct")
+    links = fingerprint_links(same.select("fp"), ws, radius)
+    least = lambda name: same.select(F.col("fp").alias(name), F.col("least").alias(f"{name}_id"))
+    across = links.join(least("a"), "a").join(least("b"), "b").select(F.col("a_id").alias("a"), F.col("b_id").alias("b"))
+    within = each.where("doc_id is not null").select("fp", F.col("doc_id").alias("a")).join(same.where("n > 1").select("fp", F.col("least").alias("b")), "fp").select("a", "b")
+    edges = across.unionByName(within).unionByName(similar_links(each, ws, similarity))
+    gone = connected(edges, ws).select(F.col("v").alias("__gone")).distinct()
     return docs.join(gone.hint("shuffle_hash"), docs[id_col].cast("long") == F.col("__gone"), "left_anti")
 
 
