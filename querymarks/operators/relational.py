@@ -107,20 +107,20 @@ _op("agg_salted", "SELECT event_type, count(*) AS n, CAST(sum(CAST(value AS DECI
 _op("agg_approx_distinct", "")(lambda t: t["lineitem"].agg(F.approx_count_distinct("l_partkey", 0.02).alias("parts")))
 # -- windows
 _W = "PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey"
-_w = Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")
-_op("win_row_number", f"SELECT o_orderkey, row_number() OVER ({_W}) AS k FROM orders")(lambda t: t["orders"].select("o_orderkey", F.row_number().over(_w).cast("long").alias("k")))
+_w = lambda: Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")
+_op("win_row_number", f"SELECT o_orderkey, row_number() OVER ({_W}) AS k FROM orders")(lambda t: t["orders"].select("o_orderkey", F.row_number().over(_w()).cast("long").alias("k")))
 _op("win_rank", "SELECT p_partkey, rank() OVER (PARTITION BY p_brand ORDER BY p_size) AS r, dense_rank() OVER (PARTITION BY p_brand ORDER BY p_size) AS d FROM part")(lambda t: t["part"].select("p_partkey", F.rank().over(Window.partitionBy("p_brand").orderBy("p_size")).cast("long").alias("r"), F.dense_rank().over(Window.partitionBy("p_brand").orderBy("p_size")).cast("long").alias("d")))
-_op("win_lag", f"SELECT o_orderkey, lag(o_orderkey) OVER ({_W}) AS before, lead(o_orderkey, 2) OVER ({_W}) AS after FROM orders")(lambda t: t["orders"].select("o_orderkey", F.lag("o_orderkey").over(_w).alias("before"), F.lead("o_orderkey", 2).over(_w).alias("after")))
+_op("win_lag", f"SELECT o_orderkey, lag(o_orderkey) OVER ({_W}) AS before, lead(o_orderkey, 2) OVER ({_W}) AS after FROM orders")(lambda t: t["orders"].select("o_orderkey", F.lag("o_orderkey").over(_w()).alias("before"), F.lead("o_orderkey", 2).over(_w()).alias("after")))
 _op("win_running_max", "SELECT event_id, max(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS best FROM events")(lambda t: t["events"].select("event_id", F.max("value").over(Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, 0)).alias("best")))
 _op("win_rows_frame", "SELECT event_id, CAST(sum(CAST(value AS DECIMAL(18,2))) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS DOUBLE) AS last3 FROM events")(lambda t: t["events"].select("event_id", F.sum(F.col("value").cast("decimal(18,2)")).over(Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(-2, 0)).cast("double").alias("last3")))
 _op("win_range_frame", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) // 1000000 RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS day FROM events")(lambda t: t["events"].select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy(F.floor(_micros("ts") / 1_000_000)).rangeBetween(-86400, 0)).alias("day")))
 _op("win_ntile", "SELECT c_custkey, ntile(4) OVER (PARTITION BY c_mktsegment ORDER BY c_acctbal, c_custkey) AS q FROM customer")(lambda t: t["customer"].select("c_custkey", F.ntile(4).over(Window.partitionBy("c_mktsegment").orderBy("c_acctbal", "c_custkey")).cast("long").alias("q")))
 _op("win_percent_rank", "SELECT s_suppkey, round(percent_rank() OVER (PARTITION BY s_nationkey ORDER BY s_acctbal), 9) AS p FROM supplier")(lambda t: t["supplier"].select("s_suppkey", F.round(F.percent_rank().over(Window.partitionBy("s_nationkey").orderBy("s_acctbal")), 9).alias("p")))
-_op("win_first_last", f"SELECT o_orderkey, first_value(o_orderkey) OVER ({_W}) AS first, last_value(o_orderkey) OVER ({_W} ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS last FROM orders")(lambda t: t["orders"].select("o_orderkey", F.first("o_orderkey").over(_w).alias("first"), F.last("o_orderkey").over(_w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("last")))
+_op("win_first_last", f"SELECT o_orderkey, first_value(o_orderkey) OVER ({_W}) AS first, last_value(o_orderkey) OVER ({_W} ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS last FROM orders")(lambda t: t["orders"].select("o_orderkey", F.first("o_orderkey").over(_w()).alias("first"), F.last("o_orderkey").over(_w().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("last")))
 _op("win_share", "SELECT n_nationkey, round(count(*) OVER (PARTITION BY n_regionkey) / 25.0, 9) AS share FROM nation")(lambda t: t["nation"].select("n_nationkey", F.round(F.count("*").over(Window.partitionBy("n_regionkey")) / 25.0, 9).alias("share")))
 # -- order and limit
 _op("sort_top", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10")(lambda t: t["orders"].select("o_orderkey", "o_totalprice").orderBy(F.desc("o_totalprice"), "o_orderkey").limit(10))
-_op("sort_top_group", "SELECT o_custkey, o_orderkey FROM (SELECT *, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS k FROM orders) x WHERE k <= 2")(lambda t: t["orders"].withColumn("k", F.row_number().over(_w)).where("k <= 2").select("o_custkey", "o_orderkey"))
+_op("sort_top_group", "SELECT o_custkey, o_orderkey FROM (SELECT *, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS k FROM orders) x WHERE k <= 2")(lambda t: t["orders"].withColumn("k", F.row_number().over(_w())).where("k <= 2").select("o_custkey", "o_orderkey"))
 _op("sort_offset", "SELECT p_partkey FROM part ORDER BY p_partkey LIMIT 20 OFFSET 30")(lambda t: t["part"].select("p_partkey").orderBy("p_partkey").offset(30).limit(20))
 _op("sort_nulls", "SELECT doc_id, row_number() OVER (ORDER BY quality ASC NULLS LAST, doc_id) AS k FROM (SELECT d.doc_id, quality FROM documents d LEFT JOIN labels l ON d.doc_id = l.doc_id) x ORDER BY k LIMIT 50")(lambda t: t["documents"].select("doc_id").join(t["labels"], "doc_id", "left").orderBy(F.asc_nulls_last("quality"), "doc_id").limit(50).select("doc_id", F.row_number().over(Window.orderBy(F.asc_nulls_last("quality"), "doc_id")).cast("long").alias("k")))
 # -- set operations
@@ -137,14 +137,14 @@ _op("set_except_all", f"{_N} EXCEPT ALL {_S}")(lambda t: _a(t).exceptAll(_b(t)))
 _op("set_by_name", "SELECT r_name AS name, r_regionkey AS k FROM region UNION ALL SELECT n_name, n_nationkey FROM nation")(lambda t: t["region"].select(F.col("r_name").alias("name"), F.col("r_regionkey").alias("k")).unionByName(t["nation"].select(F.col("n_nationkey").alias("k"), F.col("n_name").alias("name"))))
 # -- scalars
 _scalars = {
-    "upper": ("upper(p_name)", F.upper("p_name")), "trim": ("trim('  ' || p_brand || ' ')", F.trim(F.concat(F.lit("  "), "p_brand", F.lit(" ")))), "substr": ("substr(p_type, 2, 3)", F.substring("p_type", 2, 3)),
-    "concat": ("p_brand || ':' || p_type", F.concat("p_brand", F.lit(":"), "p_type")), "replace_pattern": ("regexp_replace(p_brand, '[0-9]+', 'x', 'g')", F.regexp_replace("p_brand", "[0-9]+", "x")), "split": ("split_part(p_brand, '#', 2)", F.element_at(F.split("p_brand", "#"), 2)),
-    "levenshtein": ("CAST(levenshtein(p_brand, p_type) AS BIGINT)", F.levenshtein("p_brand", "p_type").cast("long")), "length": ("CAST(length(p_name) AS BIGINT)", F.length("p_name").cast("long")), "abs": ("abs(p_size - 25)", F.abs(F.col("p_size") - 25)),
-    "round": ("round(p_retailprice / 7, 3)", F.round(F.col("p_retailprice") / 7, 3)), "floor": ("CAST(floor(p_retailprice) AS BIGINT)", F.floor("p_retailprice")), "pmod": ("p_size % 7", F.pmod("p_size", F.lit(7))), "shift": ("p_partkey >> 2", F.shiftright("p_partkey", 2)),
-    "bit_count": ("CAST(bit_count(p_partkey) AS BIGINT)", F.bit_count("p_partkey").cast("long")), "coalesce": ("coalesce(nullif(p_size, 25), -1)", F.coalesce(F.nullif("p_size", F.lit(25)), F.lit(-1))), "greatest": ("greatest(p_size, 10)", F.greatest("p_size", F.lit(10))), "hex": ("lower(to_hex(p_partkey))", F.lower(F.hex("p_partkey"))),
+    "upper": ("upper(p_name)", lambda: F.upper("p_name")), "trim": ("trim('  ' || p_brand || ' ')", lambda: F.trim(F.concat(F.lit("  "), "p_brand", F.lit(" ")))), "substr": ("substr(p_type, 2, 3)", lambda: F.substring("p_type", 2, 3)),
+    "concat": ("p_brand || ':' || p_type", lambda: F.concat("p_brand", F.lit(":"), "p_type")), "replace_pattern": ("regexp_replace(p_brand, '[0-9]+', 'x', 'g')", lambda: F.regexp_replace("p_brand", "[0-9]+", "x")), "split": ("split_part(p_brand, '#', 2)", lambda: F.element_at(F.split("p_brand", "#"), 2)),
+    "levenshtein": ("CAST(levenshtein(p_brand, p_type) AS BIGINT)", lambda: F.levenshtein("p_brand", "p_type").cast("long")), "length": ("CAST(length(p_name) AS BIGINT)", lambda: F.length("p_name").cast("long")), "abs": ("abs(p_size - 25)", lambda: F.abs(F.col("p_size") - 25)),
+    "round": ("round(p_retailprice / 7, 3)", lambda: F.round(F.col("p_retailprice") / 7, 3)), "floor": ("CAST(floor(p_retailprice) AS BIGINT)", lambda: F.floor("p_retailprice")), "pmod": ("p_size % 7", lambda: F.pmod("p_size", F.lit(7))), "shift": ("p_partkey >> 2", lambda: F.shiftright("p_partkey", 2)),
+    "bit_count": ("CAST(bit_count(p_partkey) AS BIGINT)", lambda: F.bit_count("p_partkey").cast("long")), "coalesce": ("coalesce(nullif(p_size, 25), -1)", lambda: F.coalesce(F.nullif("p_size", F.lit(25)), F.lit(-1))), "greatest": ("greatest(p_size, 10)", lambda: F.greatest("p_size", F.lit(10))), "hex": ("lower(to_hex(p_partkey))", lambda: F.lower(F.hex("p_partkey"))),
 }
 for _k, (_sql_text, _col) in _scalars.items():
-    _op(f"fn_{_k}", f"SELECT p_partkey, {_sql_text} AS v FROM part")(lambda t, c=_col: t["part"].select("p_partkey", c.alias("v")))
+    _op(f"fn_{_k}", f"SELECT p_partkey, {_sql_text} AS v FROM part")(lambda t, c=_col: t["part"].select("p_partkey", c().alias("v")))
 _op("fn_dates", "SELECT o_orderkey, year(o_orderdate) AS y, month(o_orderdate) AS m, strftime(date_trunc('month', o_orderdate), '%Y-%m-%d') AS first, date_diff('day', DATE '1992-01-01', CAST(o_orderdate AS DATE)) AS days FROM orders")(lambda t: t["orders"].select("o_orderkey", F.year("o_orderdate").cast("long").alias("y"), F.month("o_orderdate").cast("long").alias("m"), F.date_format(F.date_trunc("month", "o_orderdate"), "yyyy-MM-dd").alias("first"), F.datediff(F.to_date("o_orderdate"), F.lit("1992-01-01")).cast("long").alias("days")))
 _op("fn_json", "SELECT event_id, CAST(json_extract(props, '$.k') AS INT) AS k FROM events")(lambda t: t["events"].select("event_id", F.get_json_object("props", "$.k").cast("int").alias("k")))
 _op("fn_from_json", "SELECT event_id, CAST(json_extract(props, '$.k') AS INT) * 2 AS twice FROM events")(lambda t: t["events"].select("event_id", (F.from_json("props", "k int")["k"] * 2).alias("twice")))
