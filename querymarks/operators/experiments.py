@@ -292,6 +292,19 @@ def _kills(spark: SparkSession, sf_dir: str) -> DataFrame:
 _add("rep_kills", lambda s, d: measures.kill_report(_kills(s, d)))
 _add("rep_kill_matrix", lambda s, d: _kills(s, d).select("query", "mutant", "kind", "change", "killed", "by"))
 
+
+
+def _ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """rule, equal, of: how many of the rule pairs keep one canonical form without the rule; "-" is the full set."""
+    catalog = default_catalog()
+    rows = []
+    for rule in ("-", *(f"S{k}" for k in (3, 4, 5, 7, 8, 9, 11, 12, 13)), *(f"C{k}" for k in range(1, 18))):
+        off = () if rule == "-" else (rule,)
+        rows.append((rule, sum(canon.canonical_text(a, catalog, off) == canon.canonical_text(b, catalog, off) for a, b in wl.RULE_PAIRS.values()), len(wl.RULE_PAIRS)))
+    return spark.createDataFrame(rows, "rule string, equal int, of int")
+
+
+_add("rep_ablation", _ablation)
 # -- other judges
 _add("base_textual", lambda s, d: baselines.textual_match(corpus.submissions(s, d), _correct_frame(s)).groupBy("question").agg(F.count_if("textual_match").alias("matches"), F.count("*").alias("n")))
 _add("base_binary", lambda s, d: baselines.binary_marks(_graded(s, d, "greedy")).select("sub_id", "binary_marks"), TRUTH_SQL + "SELECT sub_id, CASE WHEN cost = 0 THEN 1.0 ELSE 0.0 END AS binary_marks FROM marked")

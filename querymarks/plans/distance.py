@@ -15,7 +15,7 @@ from .ir import Derived, Full, Group, Left, Same
 from .resolve import table_of
 
 COMPONENTS = ("projection", "distinct", "relation", "join_type", "predicate", "subquery", "aggregate", "group_by", "having", "order_by", "set_op", "limit")
-MOST_PAIRINGS = 24
+MOST_PAIRINGS = 720
 
 
 @dataclass(frozen=True)
