@@ -39,6 +39,8 @@ def _form(sql: str, catalog: Catalog, weights: distance.Weights, off: tuple[str,
         return f"{'unsupported' if isinstance(e, Unsupported) else 'error'}: {e}", None, None, None, None, None
     except RecursionError:
         return "unsupported: the query is nested too deeply", None, None, None, None, None
+    except (RuntimeError, ValueError, KeyError, IndexError, AttributeError, TypeError) as e:  # one odd query must not end the run
+        return f"unsupported: {type(e).__name__}", None, None, None, None, None
 
 
 def with_forms(texts: DataFrame, catalog: Catalog | None = None, weights: distance.Weights = distance.Weights(), off: tuple[str, ...] = ()) -> DataFrame:
