@@ -134,11 +134,24 @@ def decode(encoded: DataFrame, path: str, pattern: str) -> DataFrame:
     return encoded.select("doc_id", F.coalesce("ids", F.lit(b"")).alias("ids")).mapInArrow(work, "doc_id long, ids binary, decoded binary")
 
 
+def round_trip(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """decode(encode(docs)) in one pass: a task has one worker, and one codec, instead of two."""
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = codec(path, pattern)
+        for batch in batches:
+            ids = [own.encode(x.as_py()) for x in batch.column(1)]
+            packed, texts = [x.astype("<u4").tobytes() for x in ids], [own.decode(x) for x in ids]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(packed, pa.binary()), pa.array(texts, pa.binary())], names=["doc_id", "ids", "decoded"])
+
+    return id_text(docs, id_col, text_col).mapInArrow(work, "doc_id long, ids binary, decoded binary")
+
+
 def digests(docs: DataFrame) -> DataFrame:
+    """doc_id, n_tokens and the digests of ids and decoded bytes, under the production vocabulary."""
     import public_tokenizers
 
-    rules = public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN
-    out = decode(encode(docs, *rules), *rules)
+    out = round_trip(docs, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
     return out.select("doc_id", (F.octet_length("ids") / 4).cast("long").alias("n_tokens"), F.sha2("ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 
