@@ -84,8 +84,10 @@ def repeated_runs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     met = prints.join(first, "h").where("struct(doc_id, th, k) <> f")
     ways = met.select("doc_id", "th", "k", F.col("f.doc_id").alias("f_id"), F.col("f.th").alias("f_th"), (F.col("k") - F.col("f.k")).alias("shift"))
     ways = ws.save(ways.groupBy("doc_id", "th", "f_id", "f_th", "shift").agg(F.collect_list("k").alias("anchors")), "ways")
-    theirs = lines.select(F.col("doc_id").alias("f_id"), F.col("th").alias("f_th"), F.col("hashes").alias("theirs")).dropDuplicates(["f_id", "f_th"])
-    mine = lines.select("doc_id", "th", "at", "hashes", "words").dropDuplicates(["doc_id", "th"])
+    # Saved, so that the joins deal both sides anew and the texts of a hot first place can be split over tasks.
+    once = ws.save(lines.select("doc_id", "th", "at", "hashes", "words").dropDuplicates(["doc_id", "th"]), "once")
+    theirs = once.select(F.col("doc_id").alias("f_id"), F.col("th").alias("f_th"), F.col("hashes").alias("theirs"))
+    mine = once
     both = ways.join(theirs, ["f_id", "f_th"]).join(mine, ["doc_id", "th"]).select("doc_id", "th", "shift", "anchors", "theirs", "at", "hashes", "words")
 
     def grow(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
