@@ -207,7 +207,7 @@ def test_contaminated_with_substitutions(spark, docs, nothing):
     item = [f"t{k}" for k in range(30)]
     changed = ["zz" if k in (4, 11, 19, 26) else w for k, w in enumerate(item)]
     noise = lambda n: [f"n{rng.randint(0, 999)}" for _ in range(n)]
-    rows = [(1, " ".join(noise(50) + item + noise(20))), (2, " ".join(noise(9) + changed)), (3, " ".join(noise(100))), (4, " ".join(item[:10] + noise(40))), (5, "T0, t1; T2! one two three".upper()), (6, " ".join(noise(5) + item[5:28])), (7, None), (8, "")]
+    rows = [(1, " ".join(noise(50) + item + noise(20))), (2, " ".join(noise(9) + changed)), (3, " ".join(noise(100))), (4, " ".join(item[:9] + noise(40))), (5, "T0, t1; T2! one two three".upper()), (6, " ".join(noise(5) + item[5:28])), (7, None), (8, "")]
     bench = frame(spark, [(70, " ".join(item)), (71, "one two THREE"), (72, None), (73, ""), (74, "!?")], "item_id long, text string")
     for block in (2_000_000, 20):
         got = {(r["doc_id"], r["item_id"]) for r in decontaminate.contaminated(frame(spark, rows), bench, block_tokens=block).collect()}
@@ -216,6 +216,12 @@ def test_contaminated_with_substitutions(spark, docs, nothing):
     assert decontaminate.clean(docs, bench.limit(0)).count() == len(TEXTS) and decontaminate.contaminated(nothing, bench).count() == 0
 
 
+def test_seeds_leave_no_window_out():
+    n, wrong = decontaminate.WINDOW, decontaminate.WINDOW - math.ceil(decontaminate.SHARE * decontaminate.WINDOW)
+    for bad in itertools.combinations(range(n), wrong):
+        assert any(not {o + x for x in s} & set(bad) for s in decontaminate.SEEDS for o in range(n - s[-1]))
+
+
 def brute_contaminated(text, item):
     a, b = decontaminate.tokens(text or ""), decontaminate.tokens(item or "")
     need = min(decontaminate.WINDOW, len(b))
