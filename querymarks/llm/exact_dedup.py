@@ -20,8 +20,11 @@ def refine(docs: DataFrame, ws: Workspace, id_col: str = "doc_id", text_col: str
     base = id_text(docs, id_col, text_col)
     cheap = (F.octet_length("text").alias("octets"), F.xxhash64(ascii_lower(F.substring("text", 1, prefix_chars))).alias("prefix"))
     alike = base.select(*cheap).groupBy("octets", "prefix").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("octets", "prefix", F.lit(True).alias("survived"))
-    # The side of keys is built into the hash table; whole texts stream past it unsorted, and a hot key splits there.
-    joined = base.select("doc_id", "text", *cheap).join(alike.hint("shuffle_hash"), ["octets", "prefix"], "left")
+    # The side of keys is built into the hash table; whole texts stream past it unsorted. The key of this join is not
+    # the grouping's own, so that both sides are dealt anew and a hot key's texts can be split over tasks.
+    key = (F.octet_length("text") + 1).alias("key")
+    alike = alike.select((F.col("octets") + 1).alias("key"), "prefix", "survived")
+    joined = base.select("doc_id", "text", key, *cheap).join(alike.hint("shuffle_hash"), ["key", "prefix"], "left")
     full = F.unhex(F.sha2(ascii_lower(F.col("text")), 256))
     survived = F.coalesce("survived", F.lit(False))
     return ws.save(joined.select("doc_id", "octets", survived.alias("survived"), (full if digest_all else F.when(survived, full)).alias("digest")), "refined")
@@ -37,7 +40,9 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     ws = Workspace(docs.sparkSession, "exact")
     full = refine(docs, ws, id_col, text_col, digest_all=digest_all)
     groups = full.where("survived").groupBy("octets", "digest").agg(F.max("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"))
-    alike = full.where("survived").join(groups, ["octets", "digest"]).select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "digest")
+    # As above, keyed apart from the grouping, so that the rows of one large group split over tasks.
+    groups = groups.select((F.col("octets") + 1).alias("key"), "digest", "keep_id", "group_size")
+    alike = full.where("survived").withColumn("key", F.col("octets") + 1).join(groups, ["key", "digest"]).select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "digest")
     alone = full.where("not survived").select("doc_id", F.col("doc_id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), F.lit(True).alias("kept"), "digest")
     return alike.unionByName(alone)
 
