@@ -28,5 +28,5 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    own = {"op1_chat": chat.OP1_SQL, "op9_exact_dedup": exact_dedup.OP9_SQL, "pipeline": corpus_pipeline.ORACLE_SQL}
+    own = {"op1_chat": chat.OP1_SQL, "op7_url_filter": url_filter.OP7_SQL, "op9_exact_dedup": exact_dedup.OP9_SQL, "pipeline": corpus_pipeline.ORACLE_SQL}
     return {k: v for k, v in own.items() if v}

@@ -113,3 +113,35 @@ def judge(pages: DataFrame, rules: tuple[tuple[str, str, str], ...] = RULES) ->
 
 def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge(table(spark, sf_dir, "pages")).select("page_id", "host", "path", "rule", "verdict")
+
+
+def _oracle() -> str:
+    """The same verdicts in DuckDB's SQL: one step of the walk is one common table expression."""
+    low = lambda x: f"translate({x}, '{UPPER}', '{LOWER}')"
+    rules = ", ".join(f"('{v}', '{h}', '{p}')" for v, h, p in RULES)
+    fits = "FROM rules WHERE (host = rh OR ends_with(host, '.' || rh)) AND starts_with(path, rp)"
+    steps = "".join(
+        f""", r{k} AS MATERIALIZED (SELECT s.host, {1 - DAMPING!r} * s.t + {DAMPING!r} * coalesce(m.t, 0) AS t, {1 - DAMPING!r} * s.d + {DAMPING!r} * coalesce(m.d, 0) AS d
+FROM nodes s LEFT JOIN (SELECT x.b AS host, sum(x.wt * r.t) AS t, sum(x.wd * r.d) AS d FROM moves x JOIN r{k - 1} r ON x.a = r.host GROUP BY x.b) m ON s.host = m.host)"""
+        for k in range(1, ROUNDS + 1)
+    )
+    return f"""
+WITH cut AS (SELECT page_id, coalesce(html, '') AS html, coalesce(CASE WHEN instr(url, '://') > 0 THEN substr(url, instr(url, '://') + 3) END, '') AS rest FROM pages),
+named AS (SELECT page_id, html, {low("regexp_extract(rest, '^[^/?#]*')")} AS host, regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM cut),
+rules(v, rh, rp) AS (VALUES {rules}),
+ruled AS MATERIALIZED (SELECT page_id, html, host, path, (SELECT arg_max(rh || rp, length(rh || rp)) {fits}) AS rule, (SELECT arg_max(v, length(rh || rp)) {fits}) AS rv FROM named),
+links AS (SELECT a, {low("b")} AS b FROM (SELECT host AS a, unnest(regexp_extract_all(html, '(?i)href\\s*=\\s*["'']?(?:https?:)?//([^/"''?#\\s<>]+)', 1)) AS b FROM ruled) x),
+above AS (SELECT host AS a, array_to_string(string_split(host, '.')[2:], '.') AS b FROM (SELECT DISTINCT host FROM ruled WHERE len(string_split(host, '.')) > 2) x),
+edges AS MATERIALIZED (SELECT a, b, sum(n) AS n FROM (SELECT a, b, 1.0::DOUBLE AS n FROM links WHERE a <> b AND a <> '' AND b <> '' UNION ALL SELECT a, b, 1.0 FROM above UNION ALL SELECT b, a, 1.0 FROM above) x GROUP BY a, b),
+moves AS MATERIALIZED (
+  SELECT a, b, sum(wt) AS wt, sum(wd) AS wd FROM (
+    SELECT a, b, n / sum(n) OVER (PARTITION BY a) AS wt, 0.0::DOUBLE AS wd FROM edges UNION ALL SELECT b, a, 0.0, n / sum(n) OVER (PARTITION BY b) FROM edges) x GROUP BY a, b),
+marked AS (SELECT host, (2 * count(*) FILTER (rv = 'allow') > count(*))::INT::DOUBLE AS t, (2 * count(*) FILTER (rv = 'block') > count(*))::INT::DOUBLE AS d FROM ruled WHERE host <> '' GROUP BY host),
+nodes AS MATERIALIZED (SELECT host, coalesce(t, 0) / (SELECT greatest(sum(t), 1) FROM marked) AS t, coalesce(d, 0) / (SELECT greatest(sum(d), 1) FROM marked) AS d FROM (SELECT host FROM marked UNION SELECT b FROM edges) x LEFT JOIN marked USING (host)),
+r0 AS (SELECT * FROM nodes){steps}
+SELECT page_id, p.host, path, rule, coalesce(rv, CASE WHEN r.t + r.d > 0 AND round(r.d / (r.t + r.d), 9) > {BLOCK_SHARE} THEN 'block' ELSE 'allow' END) AS verdict
+FROM ruled p LEFT JOIN r{ROUNDS} r ON p.host = r.host
+"""
+
+
+OP7_SQL = _oracle()
