@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import Workspace
+
+__all__ = ["LOWER", "UPPER", "Workspace", "ascii_lower", "id_remainder", "id_text", "table", "word_blocks"]
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -31,37 +32,6 @@ def id_remainder(id_col: Column, modulus: int) -> Column:
     return F.pmod(F.crc32(F.coalesce(id_col.cast("string"), F.lit(""))), F.lit(modulus))
 
 
-class Workspace:
-    """Intermediate tables in the shared folder that ``spark.checkpoint.dir`` names.
-
-    A saved table cuts the lineage as checkpoint() does, and survives lost executors. Where the
-    setting is absent (tests on one machine) a temporary folder of this machine serves instead.
-    """
-
-    def __init__(self, spark: SparkSession, name: str):
-        self.spark = spark
-        shared = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("querymarks.workspace", "")
-        if not shared:
-            shared = tempfile.mkdtemp(prefix="querymarks-")
-            spark.conf.set("querymarks.workspace", shared)
-        self.root = f"{shared.rstrip('/')}/{name}-{uuid.uuid4().hex}"
-        self.count = 0
-
-    def save(self, df: DataFrame, label: str = "part", partition_by: str | None = None) -> DataFrame:
-        self.count += 1
-        path = f"{self.root}/{self.count:03d}-{label}"
-        writer = df.write.option("compression", "zstd")
-        (writer.partitionBy(partition_by) if partition_by else writer).parquet(path)
-        saved = self.spark.read.schema(df.schema).parquet(path) if not partition_by else self.spark.read.parquet(path)
-        saved._workspace_path = path
-        return saved
-
-    def drop(self, df: DataFrame) -> None:
-        """Deletes a saved table that nothing reads any more."""
-        path = self.spark._jvm.org.apache.hadoop.fs.Path(df._workspace_path)
-        path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
-
-
 def word_blocks(data: bytes, size: int = 1 << 20) -> Iterator[list[bytes]]:
     """The words of a text (runs of bytes other than 0x20 and 0x09-0x0D), a block of text at a time.
 
