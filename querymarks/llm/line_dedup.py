@@ -1,4 +1,4 @@
-"""Repeated runs of lines: winnowed line hashes, joined on their first place, extended both ways, deleted later."""
+"""Repeated runs of lines: hashes of whole windows of lines, joined on their first place, deleted later."""
 
 from __future__ import annotations
 
@@ -17,22 +17,11 @@ LEAST_WORDS = 50
 NO_ID = -(1 << 63)
 
 
-def line_hashes(data: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Of lines with words: number in the text, hash of their words (A-Z lower-cased), count of words."""
-    at, hashes, counts = [], [], []
-    for k, line in enumerate(data.lower().split(b"\n")):
-        words = line.split()
-        if words:
-            at.append(k)
-            hashes.append(xxhash.xxh64_intdigest(b" ".join(words)))
-            counts.append(len(words))
-    return np.array(at, np.int64), np.array(hashes, np.uint64).view(np.int64), np.array(counts, np.int64)
-
-
 def winnow(hashes: np.ndarray, words: np.ndarray, least_words: int = LEAST_WORDS) -> list[int]:
     """The places that hold the minimum of some window: the shortest stretch of lines from each line on with
     ``least_words`` words. A run of lines with so many words that stands in two texts contains a whole window,
-    whose minimum (the last one of equals) is then selected in both."""
+    whose minimum (the last one of equals) is then selected in both. The operator does not thin its windows out so:
+    a minimum that also stands elsewhere says too little about its run."""
     ends = np.searchsorted(np.cumsum(words), np.cumsum(words) - words + least_words)
     chosen, queue, head, right = set(), [], 0, 0
     for left, end in enumerate(ends.tolist()):
@@ -49,58 +38,71 @@ def winnow(hashes: np.ndarray, words: np.ndarray, least_words: int = LEAST_WORDS
     return sorted(chosen)
 
 
-def extend(own: np.ndarray, first: np.ndarray, words: np.ndarray, shift: int, anchors: list[int], least_words: int = LEAST_WORDS) -> list[tuple[int, int]]:
-    """Maximal stretches [a, b) around the anchors where own[i] is first[i - shift], with enough words."""
-    low, high = max(0, shift), min(len(own), len(first) + shift)
-    same = own[low:high] == first[low - shift : high - shift]
-    edges = np.flatnonzero(np.diff(np.concatenate([[0], same.astype(np.int8), [0]])))
-    sums = np.concatenate([[0], np.cumsum(words)])
-    starts, ends = edges[::2] + low, edges[1::2] + low
-    places = np.array(sorted(anchors))
-    return [(a, b) for a, b in zip(starts.tolist(), ends.tolist()) if sums[b] - sums[a] >= least_words and np.searchsorted(places, a) < np.searchsorted(places, b)]
+def windows(data: bytes, least_words: int = LEAST_WORDS) -> list[tuple[int, int, bytes]]:
+    """(first line, last line, hash of all words by line) of the shortest stretches of lines with ``least_words`` words
+    that begin at a line, and of those that end at a line and have two lines or more.
+
+    Each two neighbours of a run with so many words, and each line of it, stand in one of these inside the run: those
+    up to the end of the stretch from its first line in that one, later ones in the stretch that ends with them.
+    """
+    at, parts, counts = [], [], []
+    for k, line in enumerate(data.lower().split(b"\n")):
+        words = line.split()
+        if words:
+            at.append(k)
+            parts.append(b" ".join(words))
+            counts.append(len(words))
+    sums = np.concatenate([[0], np.cumsum(counts, dtype=np.int64)])
+    n = len(at)
+    if sums[-1] < least_words:
+        return []
+    ends = np.searchsorted(sums, sums[:-1] + least_words)  # stretches [i, ends[i])
+    starts = np.minimum(np.searchsorted(sums, sums[1:] - least_words, "right") - 1, np.arange(n) - 1)  # [starts[i], i + 1)
+    spans = {(i, e) for i, e in enumerate(ends.tolist()) if e <= n} | {(i, e) for e, i in enumerate(starts.tolist(), 1) if i >= 0}
+    places = np.concatenate([[0], np.cumsum([len(x) + 1 for x in parts])]).tolist()
+    whole = memoryview(b"\n".join(parts))
+    return [(at[i], at[e - 1], xxhash.xxh3_128_digest(whole[places[i] : places[e] - 1])) for i, e in spans]
+
+
+def merged(ranges: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """The union of line ranges (both ends inclusive); those with a line in common become one."""
+    out: list[tuple[int, int]] = []
+    for a, b in sorted(ranges):
+        if out and a <= out[-1][1]:
+            out[-1] = (out[-1][0], max(b, out[-1][1]))
+        else:
+            out.append((a, b))
+    return out
 
 
 def repeated_runs(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", least_words: int = LEAST_WORDS) -> DataFrame:
     """doc_id, th (hash of the text), gone: array of (a, b), lines a to b of the text inclusive, counted from 0.
 
-    The first place of a fingerprint is the least (doc_id, text hash, line); every other place meets that one
-    alone, so that a passage in n texts makes n rows. A stretch that repeats is kept at its first place only.
+    A window goes where the same lines have an earlier place, by (doc_id, text hash, line). The windows that go make
+    up all runs that stand before, whatever else their lines stand in: a passage in n texts makes n rows.
     """
     ws = Workspace(docs.sparkSession, "lines")
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows = []
-            for x in batch.column(2):
-                at, hashes, words = line_hashes(x.as_buffer().to_pybytes())
-                rows.append((at, hashes, words, winnow(hashes, words, least_words)))
-            columns = [pa.array(c, pa.list_(pa.int64())) for c in zip(*rows)] if rows else [pa.array([], pa.list_(pa.int64()))] * 4
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *columns], names=["doc_id", "th", "at", "hashes", "words", "chosen"])
-
-    texts = _keyed(docs, id_col, text_col)
-    lines = ws.save(texts.mapInArrow(work, "doc_id long, th long, at array<long>, hashes array<long>, words array<long>, chosen array<long>"), "lines")
-    prints = lines.select("doc_id", "th", F.explode("chosen").alias("k"), "hashes").select("doc_id", "th", "k", F.get("hashes", F.col("k").cast("int")).alias("h")).distinct()
-    first = prints.groupBy("h").agg(F.min(F.struct("doc_id", "th", "k")).alias("f"), F.count(F.lit(1)).alias("n")).where("n > 1")
-    met = prints.join(first, "h").where("struct(doc_id, th, k) <> f")
-    ways = met.select("doc_id", "th", "k", F.col("f.doc_id").alias("f_id"), F.col("f.th").alias("f_th"), (F.col("k") - F.col("f.k")).alias("shift"))
-    ways = ws.save(ways.groupBy("doc_id", "th", "f_id", "f_th", "shift").agg(F.collect_list("k").alias("anchors")), "ways")
-    # Saved, so that the joins deal both sides anew and the texts of a hot first place can be split over tasks.
-    once = ws.save(lines.select("doc_id", "th", "at", "hashes", "words").dropDuplicates(["doc_id", "th"]), "once")
-    theirs = once.select(F.col("doc_id").alias("f_id"), F.col("th").alias("f_th"), F.col("hashes").alias("theirs"))
-    mine = once
-    both = ways.join(theirs, ["f_id", "f_th"]).join(mine, ["doc_id", "th"]).select("doc_id", "th", "shift", "anchors", "theirs", "at", "hashes", "words")
-
-    def grow(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            got = [windows(x.as_buffer().to_pybytes(), least_words) for x in batch.column(2)]
+            owner = pa.array(np.repeat(np.arange(len(got)), [len(x) for x in got]))
+            columns = list(zip(*(w for x in got for w in x))) or [()] * 3
+            arrays = [batch.column(0).take(owner), batch.column(1).take(owner), *(pa.array(c, kind) for c, kind in zip(columns, (pa.int64(), pa.int64(), pa.binary())))]
+            yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "th", "a", "b", "h"])
+
+    def union(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = []
-            for r in batch.to_pylist():
-                got = extend(np.array(r["hashes"], np.int64), np.array(r["theirs"], np.int64), np.array(r["words"], np.int64), r["shift"], r["anchors"], least_words)
-                out += [(r["doc_id"], r["th"], r["at"][a], r["at"][b - 1]) for a, b in got]
-            columns = list(zip(*out)) if out else [()] * 4
-            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], names=["doc_id", "th", "a", "b"])
-
-    runs = both.mapInArrow(grow, "doc_id long, th long, a long, b long").distinct()
-    return ws.save(runs.groupBy("doc_id", "th").agg(F.array_sort(F.collect_list(F.struct("a", "b"))).alias("gone")), "gone")
+            gone = [merged([(r["a"], r["b"]) for r in x]) for x in batch.column(2).to_pylist()]
+            kind = pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())]))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([[{"a": a, "b": b} for a, b in x] for x in gone], kind)], names=["doc_id", "th", "gone"])
+
+    prints = ws.save(_keyed(docs, id_col, text_col).mapInArrow(work, "doc_id long, th long, a long, b long, h binary"), "windows")
+    # Saved, so that the join deals both sides anew and the places of a hot window can be split over tasks.
+    first = ws.save(prints.groupBy("h").agg(F.min(F.struct("doc_id", "th", "a")).alias("f"), F.count(F.lit(1)).alias("n")).where("n > 1").select("h", "f"), "first")
+    later = prints.join(first, "h").where("struct(doc_id, th, a) <> f").select("doc_id", "th", "a", "b")
+    each = later.groupBy("doc_id", "th").agg(F.collect_set(F.struct("a", "b")).alias("met"))
+    return ws.save(each.mapInArrow(union, "doc_id long, th long, gone array<struct<a: long, b: long>>"), "gone")
 
 
 def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:

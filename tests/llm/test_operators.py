@@ -247,6 +247,51 @@ def test_line_runs(spark, docs, nothing):
     assert line_dedup.drop_repeated_runs(docs).count() == len(TEXTS) and line_dedup.drop_repeated_runs(nothing).count() == 0
 
 
+def brute_gone(rows, least_words):
+    """Lines gone by text id: those of every run of lines with enough words that has an earlier place."""
+    texts = {i: [(k, tuple(words(x))) for k, x in enumerate(lower(t).split("\n")) if x.split()] for i, t in rows}
+    seen, gone = {}, {i: set() for i in texts}
+    for i in sorted(texts):
+        own = texts[i]
+        for a in range(len(own)):
+            for b in range(a + 1, len(own) + 1):
+                if sum(len(w) for _, w in own[a:b]) >= least_words and seen.setdefault(tuple(w for _, w in own[a:b]), (i, a)) != (i, a):
+                    gone[i] |= set(range(own[a][0], own[b - 1][0] + 1))
+    return gone
+
+
+def test_line_runs_against_brute_force(spark):
+    """Passages around a line that a third of the documents hold elsewhere, short tails, periodic repeats, long lines."""
+    rng = random.Random(11)
+    line = lambda n: " ".join(f"w{rng.randrange(10**6)}" for _ in range(n))
+    common = "the common heading"
+    passages = []
+    for _ in range(12):
+        passages.append([line(rng.choice((1, 4, 9, 60))) for _ in range(rng.randint(2, 9))])
+        passages[-1].insert(rng.randrange(len(passages[-1])), common)
+    rows = []
+    for i in range(120):
+        parts = [line(rng.randint(1, 12)) for _ in range(rng.randint(0, 4))] + [common] * (i % 3 == 0)
+        for _ in range(rng.randint(0, 3)):
+            p = rng.choice(passages)
+            a = rng.randrange(len(p))
+            parts += p[a if rng.random() < 0.5 else 0 : rng.randint(a + 1, len(p))] + [""] * rng.randint(0, 1) + [line(3)] * rng.randint(0, 1)
+        if i % 10 == 7:
+            x, y = line(7), line(30)
+            parts += [x, y, ""] * rng.randint(2, 4) + [x] * rng.randint(0, 12)
+        if i % 10 == 8:
+            parts = [p + "\n" * rng.randint(0, 1) for p in parts]
+        rows.append((i, "\n".join(parts)))
+    for least in (50, 20):
+        want = brute_gone(rows, least)
+        got = {r["doc_id"]: r for r in line_dedup.drop_repeated_runs(frame(spark, rows), least_words=least).collect()}
+        assert sum(map(bool, want.values())) > 20
+        for i, t in rows:
+            ranges = [tuple(map(int, x.split("-"))) for x in got[i]["removed"].split(",") if x]
+            assert {k for a, b in ranges for k in range(a, b + 1)} == want[i] and got[i]["n_removed"] == len(want[i]), i
+            assert got[i]["text"] == "\n".join(x for k, x in enumerate(t.split("\n")) if k not in want[i])
+
+
 def test_winnow_guarantee():
     rng = random.Random(6)
     run = [(rng.getrandbits(60), rng.randint(1, 30)) for _ in range(12)]
