@@ -3,17 +3,14 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
-
 from querymarks.llm import bpe, decontaminate, exact_dedup, quality, simhash
-from querymarks.llm.common import Workspace, table
+from querymarks.llm.common import Workspace, drop_rows, table
 
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops the documents that the quality classifier rejects."""
+    """Drops the rows that the quality classifier rejects, also those without an id."""
     scored = quality.quality(docs, table(spark, sf_dir, "labels"))
-    gone = scored.where("predicted = 0").select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(gone.hint("shuffle_hash"), docs["doc_id"] == F.col("__gone"), "left_anti")
+    return drop_rows(docs, scored.where("predicted = 0"))
 
 
 def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

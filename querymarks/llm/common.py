@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..session import Workspace
 
-__all__ = ["LOWER", "UPPER", "Workspace", "ascii_lower", "id_remainder", "id_text", "table", "word_blocks"]
+__all__ = ["LOWER", "UPPER", "Workspace", "ascii_lower", "drop_rows", "id_remainder", "id_text", "table", "text_hash", "word_blocks"]
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -22,6 +22,19 @@ def id_text(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
 
 
+def text_hash(text_col: str = "text") -> Column:
+    return F.xxhash64(F.coalesce(F.col(text_col), F.lit("")))
+
+
+def drop_rows(docs: DataFrame, gone: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``docs`` without the rows whose id (null equals null) and text hash stand in ``gone``: doc_id, th.
+
+    The rows of ``gone`` form the hash table and texts stream past; the hash also deals out rows without an id.
+    """
+    gone = gone.select(F.col("doc_id").alias("__gone"), F.col("th").alias("__th")).distinct()
+    return docs.join(gone.hint("shuffle_hash"), docs[id_col].cast("long").eqNullSafe(gone["__gone"]) & (text_hash(text_col) == gone["__th"]), "left_anti")
+
+
 def ascii_lower(text: Column) -> Column:
     """Lower-cases A-Z and nothing else; all-ASCII texts take the faster built-in."""
     return F.when(F.length(text) == F.octet_length(text), F.lower(text)).otherwise(F.translate(text, UPPER, LOWER))

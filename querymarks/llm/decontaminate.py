@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import id_text, table
+from .common import drop_rows, id_text, table, text_hash
 
 #: A passage: this many tokens in a row (the whole item if it is shorter), of which SHARE agree place by place.
 WINDOW, SHARE = 13, 0.8
@@ -109,7 +109,15 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
     repeated rows give repeated results. Benchmarks of over ``block_tokens`` octets / 2 are taken in blocks of
     items, each small enough to be sent to every task; documents never move.
     """
-    spark = docs.sparkSession
+    return _hits(id_text(docs, id_col, text_col), benchmark, block_tokens)
+
+
+def _hits(texts: DataFrame, benchmark: DataFrame, block_tokens: int = BLOCK_TOKENS) -> DataFrame:
+    """contaminated() of ``texts``: doc_id, text, and any columns that the rows carry along."""
+    spark = texts.sparkSession
+    carried = [c for c in texts.columns if c not in ("doc_id", "text")]
+    texts = texts.select("doc_id", "text", *carried)
+    kinds = "doc_id long, item_id long, first_token long, n_tokens long, n_same long" + "".join(f", {c} {dict(texts.dtypes)[c]}" for c in carried)
     items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").alias("text")).where("text is not null")
     octets = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     blocks = max(1, -(-octets // (2 * block_tokens)))
@@ -120,19 +128,18 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
 
         def work(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                rows = [(i.as_py(), *m) for i, x in zip(batch.column(0), batch.column(1)) for m in shared.value.matches(x.as_py())]
-                columns = list(zip(*rows)) if rows else [()] * 5
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], names=["doc_id", "item_id", "first_token", "n_tokens", "n_same"])
+                rows = [(k, *m) for k, x in enumerate(batch.column(1)) for m in shared.value.matches(x.as_py())]
+                owner, *columns = [pa.array(c, pa.int64()) for c in (zip(*rows) if rows else [()] * 5)]
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(owner), *columns, *(c.take(owner) for c in batch.columns[2:])], names=["doc_id", "item_id", "first_token", "n_tokens", "n_same", *carried])
 
-        hits = id_text(docs, id_col, text_col).mapInArrow(work, "doc_id long, item_id long, first_token long, n_tokens long, n_same long")
+        hits = texts.mapInArrow(work, kinds)
         out = hits if out is None else out.unionByName(hits)
     return out
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` that share no passage with the benchmark, with all their columns."""
-    gone = contaminated(docs, benchmark, id_col, text_col).select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(gone.hint("shuffle_hash"), docs[id_col].cast("long") == F.col("__gone"), "left_anti")
+    """The rows of ``docs`` that share no passage with the benchmark, with all their columns; ids may be null or repeat."""
+    return drop_rows(docs, _hits(id_text(docs, id_col, text_col).withColumn("th", text_hash()), benchmark), id_col, text_col)
 
 
 def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -50,13 +50,15 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of ``docs`` that exact_groups() keeps, with all their columns; repeated rows go too.
 
-    Copies are joined away by id: their ids are few beside the texts, so they form the hash table and texts stream past.
+    Copies are joined away by id and digest, where null equals null: they are few beside the texts, so they form the
+    hash table and texts stream past. Of each text one row stays, whatever ids other texts have.
     """
     groups = exact_groups(docs, id_col, text_col)
-    gone = groups.where("not kept").select(F.col("doc_id").alias("__gone")).distinct()
-    kept = docs.join(gone.hint("shuffle_hash"), docs[id_col].cast("long") == F.col("__gone"), "left_anti")
-    again = groups.where("kept and group_size > 1").groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").limit(1)
-    return kept.dropDuplicates([id_col]) if again.count() else kept
+    gone = groups.where("not kept").select(F.col("doc_id").alias("__gone"), F.col("digest").alias("__gone_digest")).distinct()
+    keyed = docs.withColumn("__digest", F.unhex(F.sha2(ascii_lower(F.coalesce(F.col(text_col), F.lit(""))), 256)))
+    kept = keyed.join(gone.hint("shuffle_hash"), keyed[id_col].cast("long").eqNullSafe(F.col("__gone")) & (F.col("__digest") == F.col("__gone_digest")), "left_anti")
+    again = groups.where("kept and group_size > 1").groupBy("doc_id", "digest").agg(F.count(F.lit(1)).alias("n")).where("n > 1").limit(1)
+    return (kept.dropDuplicates([id_col, "__digest"]) if again.count() else kept).drop("__digest")
 
 
 def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

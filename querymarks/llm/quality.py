@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Workspace, id_remainder, id_text, table, word_blocks
+from .common import Workspace, id_remainder, id_text, table, text_hash, word_blocks
 
 #: At most about this many labelled rows are fitted; beyond it, rows are chosen by a hash of their id.
 FIT_ROWS = 200_000
@@ -56,14 +56,14 @@ def statistics(data: bytes) -> list[float]:
 
 
 def document_statistics(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, stats (array of double in the order of STATISTICS). Null texts are empty texts."""
+    """doc_id, stats (array of double in the order of STATISTICS), th (text hash). Null texts are empty texts."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             rows = [statistics(x.as_buffer().to_pybytes()) for x in batch.column(1)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows, pa.list_(pa.float64()))], names=["doc_id", "stats"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows, pa.list_(pa.float64())), batch.column(2)], names=["doc_id", "stats", "th"])
 
-    return id_text(docs, id_col, text_col).mapInArrow(work, "doc_id long, stats array<double>")
+    return id_text(docs, id_col, text_col).withColumn("th", text_hash()).mapInArrow(work, "doc_id long, stats array<double>, th long")
 
 
 class Model:
@@ -158,25 +158,25 @@ def fit(rows: DataFrame, features: int = FEATURES, penalty: float = PENALTY, fit
 
 
 def score(stats: DataFrame, model: Model) -> DataFrame:
-    """doc_id, score (0 to 1), for every row of document_statistics()."""
+    """doc_id, score (0 to 1), th, for every row of document_statistics()."""
     shared = stats.sparkSession.sparkContext.broadcast(model)  # features x statistics numbers: a fixed size
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             got = np.clip(shared.value.score(_stats_of(batch, 1)), 0, 1) if batch.num_rows else np.zeros(0)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(got)], names=["doc_id", "score"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(got), batch.column(2)], names=["doc_id", "score", "th"])
 
-    return stats.select("doc_id", "stats").mapInArrow(work, "doc_id long, score double")
+    return stats.select("doc_id", "stats", "th").mapInArrow(work, "doc_id long, score double, th long")
 
 
 def labelled(stats: DataFrame, labels: DataFrame) -> DataFrame:
     """Statistics with the label of their document. Several labels of one document: the majority, a tie counts as 0."""
     one = labels.where("doc_id is not null and quality in (0, 1)").groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg((F.avg("quality") > 0.5).cast("int").alias("label"))
-    return stats.join(one, "doc_id")
+    return stats.select("doc_id", "stats").join(one, "doc_id")
 
 
 def quality(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", fit_rows: int = FIT_ROWS) -> DataFrame:
-    """Per row of ``docs``: doc_id, held_out, score, predicted.
+    """Per row of ``docs``: doc_id, held_out, score, predicted, th (text hash).
 
     Labels of documents whose crc32(doc_id as text) mod 4 is 2 are never learnt from. Nothing but the text enters
     a score. Null and empty texts get the score of a text without words. Only whole texts' statistics are kept
@@ -187,8 +187,8 @@ def quality(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col
     held = id_remainder(F.col("doc_id"), 4) == 2
     train = ws.save(labelled(stats, labels.where(id_remainder(F.col("doc_id"), 4) != 2)), "labelled")
     out = score(stats, fit(train, fit_rows=fit_rows))
-    return out.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
+    return out.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"), "th")
 
 
 def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return quality(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+    return quality(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")).drop("th")

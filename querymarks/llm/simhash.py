@@ -10,7 +10,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Workspace, id_text, table, word_blocks
+from .common import Workspace, drop_rows, id_text, table, text_hash, word_blocks
 from .components import connected
 
 SEED = 42
@@ -158,6 +158,8 @@ def estimated_jaccard(a: np.ndarray, b: np.ndarray) -> float:
 
 
 def sketches(docs: DataFrame, id_col: str, text_col: str, words: int) -> DataFrame:
+    """Per row of ``docs``: doc_id, th (text hash), fp, keys, n (shingles), low (the least hashes)."""
+
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             fps, keys, sizes, low = [], [], [], []
@@ -168,9 +170,22 @@ def sketches(docs: DataFrame, id_col: str, text_col: str, words: int) -> DataFra
                 sizes.append(len(h))
                 low.append(np.sort((h >> np.uint64(32)).astype("<u4"))[:SKETCH].tobytes())
             columns = [pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(keys, pa.list_(pa.int64())), pa.array(sizes, pa.int64()), pa.array(low, pa.binary())]
-            yield pa.RecordBatch.from_arrays([batch.column(0), *columns], names=["doc_id", "fp", "keys", "n", "low"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), *columns], names=["doc_id", "th", "fp", "keys", "n", "low"])
+
+    return id_text(docs, id_col, text_col).withColumn("th", text_hash()).mapInArrow(work, "doc_id long, th long, fp long, keys array<long>, n long, low binary")
+
 
-    return id_text(docs, id_col, text_col).mapInArrow(work, "doc_id long, fp long, keys array<long>, n long, low binary")
+def vertices(each: DataFrame, ws: Workspace) -> DataFrame:
+    """``each`` with v, one number for each id and text, in the order of the ids and then text hashes, null ids last.
+
+    The ids themselves serve where none is null and none has two texts; else the texts' ids and hashes are sorted.
+    """
+    texts = ws.save(each.select("doc_id", "th").distinct(), "texts")
+    if not texts.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1 or doc_id is null").limit(1).count():
+        return each.withColumn("v", F.col("doc_id"))
+    ranked = texts.orderBy(F.col("doc_id").asc_nulls_last(), "th").select(F.col("doc_id").alias("r_id"), F.col("th").alias("r_th"), F.monotonically_increasing_id().alias("v"))
+    ranked = ws.save(ranked, "ranked")
+    return ws.save(each.join(ranked, F.col("doc_id").eqNullSafe(F.col("r_id")) & (F.col("th") == F.col("r_th"))).drop("r_id", "r_th"), "vertices")
 
 
 def similar_links(each: DataFrame, ws: Workspace, similarity: float) -> DataFrame:
@@ -211,18 +226,19 @@ def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     found by covering masks without a miss, or when the Jaccard similarity of these shingles is ``similarity`` or
     more among documents that share the SimHash of a class of shingles. At 64 bits a similarity of 0.8 is about ten
     differing bits, for which no covering is small enough: hence the classes. Of each component the least doc_id
-    stays. Documents without words are copies of each other; rows without an id stay.
+    stays. Documents without words are copies of each other. Rows without an id come after all others, by their
+    text hash, as do the texts of one id among themselves.
     """
     ws = Workspace(docs.sparkSession, "near")
-    each = ws.save(sketches(docs, id_col, text_col, words), "sketches")
-    same = ws.save(each.where("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n")), "distinct")
+    each = vertices(ws.save(sketches(docs, id_col, text_col, words), "sketches"), ws)
+    same = ws.save(each.groupBy("fp").agg(F.min("v").alias("least"), F.count(F.lit(1)).alias("n")), "distinct")
     links = fingerprint_links(same.select("fp"), ws, radius)
     least = lambda name: same.select(F.col("fp").alias(name), F.col("least").alias(f"{name}_id"))
     across = links.join(least("a"), "a").join(least("b"), "b").select(F.col("a_id").alias("a"), F.col("b_id").alias("b"))
-    within = each.where("doc_id is not null").select("fp", F.col("doc_id").alias("a")).join(same.where("n > 1").select("fp", F.col("least").alias("b")), "fp").select("a", "b")
-    edges = across.unionByName(within).unionByName(similar_links(each, ws, similarity))
-    gone = connected(edges, ws).select(F.col("v").alias("__gone")).distinct()
-    return docs.join(gone.hint("shuffle_hash"), docs[id_col].cast("long") == F.col("__gone"), "left_anti")
+    within = each.select("fp", F.col("v").alias("a")).join(same.where("n > 1").select("fp", F.col("least").alias("b")), "fp").select("a", "b")
+    edges = across.unionByName(within).unionByName(similar_links(each.select(F.col("v").alias("doc_id"), "keys", "n", "low"), ws, similarity))
+    gone = connected(edges, ws).select("v").distinct()
+    return drop_rows(docs, each.select("doc_id", "th", "v").join(gone, "v"), id_col, text_col)
 
 
 def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -63,6 +63,35 @@ def test_drop_copies_keeps_columns_and_one_row(docs):
     assert sorted(r["doc_id"] for r in out.where("doc_id is not null").collect()) == [2, 4, 5, 6, 8, 9, 10]
 
 
+#: Null ids, one id with two texts, one text with two ids, repeated rows.
+ODD = [(1, "one two"), (1, "three four"), (2, "ONE two"), (2, "five"), (3, "six"), (3, "six"), (None, "seven"), (None, "eight"), (None, "Seven"), (None, "six"), (4, None), (None, "")]
+
+
+def test_copies_go_by_text(spark):
+    got = sorted(((r["doc_id"], lower(r["text"])) for r in exact_dedup.drop_copies(frame(spark, ODD)).collect()), key=str)
+    assert got == sorted([(1, "three four"), (2, "one two"), (2, "five"), (3, "six"), (None, "seven"), (None, "eight"), (4, "")], key=str)
+    once = exact_dedup.drop_copies(frame(spark, [(1, "a b"), (2, "A b"), (1, "c")]))
+    assert sorted(r["text"] for r in once.collect()) == ["A b", "c"]
+
+
+def test_stages_judge_rows_without_ids(spark, monkeypatch):
+    import corpus_pipeline
+
+    item = " ".join(f"t{k}" for k in range(20))
+    rows = [(None, f"a {item}"), (None, "b"), (5, f"c {item}"), (5, "d")]
+    bench = frame(spark, [(70, item)], "item_id long, text string")
+    assert sorted(r["text"] for r in decontaminate.clean(frame(spark, rows), bench).collect()) == ["b", "d"]
+    long = " ".join(f"x{k}" for k in range(400))
+    rows = [(None, long + " end"), (7, long), (None, "b"), (7, "d"), (8, long + " more"), (None, long), (9, "b")]
+    kept = simhash.drop_near_copies(frame(spark, rows)).collect()
+    assert sorted((r["doc_id"], r["text"][:5]) for r in kept) == [(7, "d"), (7, long[:5]), (9, "b")]
+    judged = quality.quality
+    monkeypatch.setattr(quality, "quality", lambda docs, labels: judged(docs, labels).drop("predicted").join(docs.selectExpr("xxhash64(text) AS th", "cast(text not like 'bad%' AS int) AS predicted").distinct(), "th"))
+    monkeypatch.setattr(corpus_pipeline, "table", lambda *_: frame(spark, [], "doc_id long, quality int, toxic int"))
+    rows = [(None, "bad 1"), (None, "good 1"), (5, "bad 2"), (5, "good 2")]
+    assert sorted(r["text"] for r in corpus_pipeline.keep_quality(spark, frame(spark, rows), "").collect()) == ["good 1", "good 2"]
+
+
 # -- fingerprints
 def brute_fingerprint(text, n=3):
     import xxhash
