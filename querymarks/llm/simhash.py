@@ -16,7 +16,7 @@ from .components import connected
 SEED = 42
 #: Buckets of up to this many fingerprints compare pairs; larger ones meet in the points at one bit's distance.
 PAIRWISE = 32
-#: Classes of shingles: about so many shingles in one, so many classes used; hashes in a sketch; representatives tried.
+#: Classes of shingles: about so many shingles in one, so many classes used; hashes in a sketch; rounds of representatives.
 CLASS_SIZE, CLASSES, SKETCH, ROUNDS = 4, 16, 512, 3
 
 
@@ -192,7 +192,9 @@ def similar_links(each: DataFrame, ws: Workspace, similarity: float) -> DataFram
     """(a, b) with a > b: documents that share the SimHash of a class, and whose similarity is high enough.
 
     In each bucket all documents meet the one with the least id; those that are unlike it meet the least among
-    themselves in the next round. So a bucket of n documents gives n candidates a round, never all pairs.
+    themselves in the next round. That gives n candidates a round, and joins most of a bucket into components. Then
+    all pairs of a bucket that lie in different components are judged, so that the components of the links are those of
+    all similar pairs that share a bucket. Only a bucket of many unlike documents comes to the square of its size.
     """
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -200,23 +202,43 @@ def similar_links(each: DataFrame, ws: Workspace, similarity: float) -> DataFram
             got = [estimated_jaccard(np.frombuffer(x.as_buffer(), "<u4"), np.frombuffer(y.as_buffer(), "<u4")) for x, y in zip(batch.column(2), batch.column(3))]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(np.array(got, float) >= similarity)], names=["a", "b", "alike"])
 
-    members = ws.save(each.where("doc_id is not null").select("doc_id", "n", F.explode("keys").alias("key")).distinct(), "members")
+    def verdicts(pairs: DataFrame) -> DataFrame:
+        both = pairs.join(known.select(F.col("doc_id").alias("a"), F.col("low").alias("low_a")), "a").join(known.select(F.col("doc_id").alias("b"), F.col("low").alias("low_b")), "b")
+        return both.select("a", "b", "low_a", "low_b").mapInArrow(judge, "a long, b long, alike boolean")
+
+    near = lambda n, m: F.least(n, m) >= similarity * 0.9 * F.greatest(n, m)
+    dealt = ws.save(each.where("doc_id is not null").select("doc_id", "n", F.explode("keys").alias("key")).distinct(), "dealt")
     known = each.where("doc_id is not null").groupBy("doc_id").agg(F.max_by("low", "n").alias("low"))
-    judged = None
+    members, judged = dealt, None
     for _ in range(ROUNDS):
         heads = members.groupBy("key").agg(F.min(F.struct("doc_id", "n")).alias("h"), F.count(F.lit(1)).alias("size")).where("size > 1")
         met = ws.save(members.join(heads.select("key", F.col("h.doc_id").alias("b"), F.col("h.n").alias("bn")), "key").where("doc_id > b"), "met")
-        fresh = met.where(F.least("n", "bn") >= similarity * 0.9 * F.greatest("n", "bn")).select(F.col("doc_id").alias("a"), "b").distinct()
+        fresh = met.where(near(F.col("n"), F.col("bn"))).select(F.col("doc_id").alias("a"), "b").distinct()
         if judged is not None:
             fresh = fresh.join(judged.select("a", "b"), ["a", "b"], "left_anti")
-        both = fresh.join(known.select(F.col("doc_id").alias("a"), F.col("low").alias("low_a")), "a").join(known.select(F.col("doc_id").alias("b"), F.col("low").alias("low_b")), "b")
-        new = both.select("a", "b", "low_a", "low_b").mapInArrow(judge, "a long, b long, alike boolean")
+        new = verdicts(fresh)
         judged = ws.save(new if judged is None else judged.unionByName(new), "judged")
         alike = judged.where("alike").select(F.col("a").alias("doc_id"), "b")
         members, old = ws.save(met.join(alike, ["doc_id", "b"], "left_anti").select("doc_id", "n", "key"), "members"), members
-        ws.drop(old)
+        if old is not dealt:
+            ws.drop(old)
         ws.drop(met)
-    return judged.where("alike").select("a", "b")
+    ws.drop(members)
+    roots = connected(judged.where("alike").select("a", "b"), ws)
+    shared = dealt.groupBy("key").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select("key")
+    placed = dealt.join(shared, "key").join(roots.select(F.col("v").alias("doc_id"), "root"), "doc_id", "left").select("key", "doc_id", "n", F.coalesce("root", "doc_id").alias("part"))
+    placed = ws.save(placed, "placed")
+    ws.drop(dealt)
+    parts = placed.groupBy("key", "part").agg(F.count(F.lit(1)).alias("size"))
+    mixed = parts.groupBy("key").agg(F.max(F.struct("size", "part"))["part"].alias("main"), F.count(F.lit(1)).alias("parts")).where("parts > 1").select("key", "main")
+    # The rest of a bucket meets its largest component and each other. Saved, so that a hot key can be split over tasks.
+    mixed = ws.save(placed.join(mixed, "key"), "mixed")
+    x = mixed.where("part <> main").select("key", F.col("doc_id").alias("x"), F.col("n").alias("xn"), F.col("part").alias("xp"))
+    y = mixed.select("key", F.col("doc_id").alias("y"), F.col("n").alias("yn"), F.col("part").alias("yp"), "main")
+    met = x.join(y, "key").where((F.col("xp") != F.col("yp")) & ((F.col("yp") == F.col("main")) | (F.col("x") < F.col("y"))) & near(F.col("xn"), F.col("yn")))
+    pairs = met.select(F.greatest("x", "y").alias("a"), F.least("x", "y").alias("b")).distinct().join(judged.select("a", "b"), ["a", "b"], "left_anti")
+    rest = ws.save(verdicts(ws.save(pairs, "pairs")), "rest")
+    return judged.unionByName(rest).where("alike").select("a", "b")
 
 
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, radius: int = 2, similarity: float = 0.8) -> DataFrame:

@@ -179,6 +179,29 @@ def test_near_copies_go(spark, docs, nothing):
     assert simhash.drop_near_copies(docs).columns == docs.columns and simhash.drop_near_copies(nothing).count() == 0
 
 
+def test_all_similar_pairs_of_a_bucket_link(spark):
+    """Many unlike documents around one template, and near copies of some of them, against all pairs that share a key."""
+    rng = random.Random(12)
+    template = [f"t{k}" for k in range(204)]
+    rows = []
+    for k in range(120):
+        own = template[:173] + [f"o{k}_{j}" for j in range(31)]
+        rows.append((k, " ".join(own)))
+        if k % 3 == 0:
+            copy = list(own)
+            for at in rng.sample(range(204), rng.randint(1, 4)):
+                copy[at] = f"c{k}_{at}"
+            rows.append((1000 + rng.randrange(1000) * 200 + k, " ".join(copy)))
+    ws = Workspace(spark, "test")
+    each = simhash.sketches(frame(spark, rows), "doc_id", "text", 5)
+    got = simhash.similar_links(each, ws, 0.8)
+    held = {r["doc_id"]: (set(r["keys"]), np.frombuffer(bytes(r["low"]), "<u4")) for r in each.collect()}
+    want = [(max(a, b), min(a, b)) for a, b in itertools.combinations(held, 2) if held[a][0] & held[b][0] and simhash.estimated_jaccard(held[a][1], held[b][1]) >= 0.8]
+    assert len(want) >= 35
+    parts = lambda links: {(r["v"], r["root"]) for r in components.connected(links, ws).collect()}
+    assert parts(got) == parts(frame(spark, want, "a long, b long"))
+
+
 # -- tokens
 def test_bpe_tree_against_library():
     own = bpe.codec(public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
