@@ -125,13 +125,15 @@ def _renamed(sql: str, views: dict[str, str]) -> str:
 
 
 def combined_verdict(spark: SparkSession, student: str, correct: list[str], datasets: dict[str, Dataset], student_datasets: dict[str, Dataset] | None = None, catalog: Catalog | None = None) -> tuple[bool, str]:
-    """(correct, reason). A canonical match is right without running anything; a mismatch on a dataset is wrong;
-    what is left is run on datasets made for the student's own conditions."""
+    """(correct, reason). A canonical match is right without running anything; who differs on the
+    datasets so far from each correct query is wrong; what is left is run on datasets made for the student's own conditions."""
     catalog = catalog or default_catalog()
     mine = canon.canonical_text(student, catalog)
     if any(canon.canonical_text(c, catalog) == mine for c in correct):
         return True, "canonical form"
     for stage, data in (("datasets of the correct query", datasets), ("datasets of the student's query", student_datasets or {})):
-        if data and not all(r["passed"] for r in verdicts(spark, {"s": student}, correct[0], data, catalog).collect()):
-            return False, stage
+        if data:
+            correct = [c for c in correct if all(r["passed"] for r in verdicts(spark, {"s": student}, c, data, catalog).collect())]
+            if not correct:
+                return False, stage
     return True, "all datasets"

@@ -122,3 +122,19 @@ def test_node_granularity():
     a, b = (canon.canonicalize(x, CATALOG) for x in ("SELECT p_name FROM part WHERE p_size > 20", "SELECT p_name FROM part WHERE p_size > 25"))
     none = canon.canonicalize("SELECT p_name FROM part", CATALOG)
     assert distance.edit_distance(a, b, w) == 1.0 and distance.edit_distance(none, b, w) == 3.0
+
+
+def test_combined_verdict_takes_any_correct_query(monkeypatch):
+    """Right if it agrees with one correct query on all datasets; agreeing with another one on each stage is not enough."""
+    from querymarks.operators import datasets
+
+    class Rows(list):
+        collect = lambda self: list(self)
+
+    agrees = {("first", "a"): False, ("first", "b"): True, ("own", "a"): True, ("own", "b"): True}
+    monkeypatch.setattr(datasets.canon, "canonical_text", lambda sql, catalog: sql)
+    monkeypatch.setattr(datasets, "verdicts", lambda spark, students, correct, data, catalog: Rows({"passed": agrees[d, correct]} for d in data))
+    judge = lambda: datasets.combined_verdict(None, "s", ["a", "b"], {"first": None}, {"own": None}, object())
+    assert judge() == (True, "all datasets")
+    agrees["own", "b"] = False
+    assert judge() == (False, "datasets of the student's query")
