@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import base64
 import functools
+import heapq
+import itertools
 from collections.abc import Iterator
 
 import numpy as np
@@ -14,16 +16,20 @@ from pyspark.sql import functions as F
 
 from .common import id_text, table
 
-#: Texts up to this many characters are one leaf.
-LEAF = 1 << 16
+#: Characters of text, and ids, in one leaf of the tree.
+LEAF = 1024
+#: Pieces of up to this many characters are remembered with their ids, so many of them.
+SHORT, REMEMBERED = 24, 400_000
+#: Pieces of up to this many bytes merge without a heap.
+FEW = 64
 
 
 class Codec:
     """Encodes and decodes by a rank file; ``pattern`` splits texts into pieces that merge separately.
 
-    An element of the monoid is (text, starts, ids): the span, the places where its pieces start, and the ids
-    of all pieces. Where a piece starts, all that follows depends on the text from there on only. So two
-    neighbours join by splitting a window anew that begins at a piece of the left one which cannot see the
+    An element of the monoid is (text, starts, counts, ids): the span, the places where its pieces start, the ids
+    that each piece has, and all ids. Where a piece starts, all that follows depends on the text from there on only.
+    So two neighbours join by splitting a window anew that begins at a piece of the left one which cannot see the
     border, and grows to the right until a piece starts where one of the right element's pieces starts: from
     there on both agree for ever, and before the window nothing has changed.
     """
@@ -33,28 +39,74 @@ class Codec:
     SIGHT = 3
 
     def __init__(self, path: str, pattern: str):
-        import tiktoken
-
         with open(path, "rb") as lines:
-            ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, lines)}
-        self.library = tiktoken.Encoding("ranks", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
+            self.ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, lines)}
         self.split = regex.compile(pattern)
-        self.bytes_of = [b""] * (max(ranks.values()) + 1)
-        for token, rank in ranks.items():
+        self.bytes_of = [b""] * (max(self.ranks.values()) + 1)
+        for token, rank in self.ranks.items():
             self.bytes_of[rank] = token
-
-    def _flat(self, text: str) -> np.ndarray:
-        return self.library.encode_to_numpy(text, disallowed_special=()).astype(np.uint32) if text else np.zeros(0, np.uint32)
-
-    def _count(self, text: str, starts: np.ndarray, end: int) -> int:
-        """Ids of the pieces that start at ``starts``, the last of which ends at ``end``."""
-        return sum(len(self._flat(text[x:y])) for x, y in zip(starts, [*starts[1:], end]))
-
-    def _leaf(self, text: str) -> tuple[str, np.ndarray, np.ndarray]:
-        return text, np.fromiter((m.start() for m in self.split.finditer(text)), np.int64), self._flat(text)
+        self.known: dict[str, tuple[int, ...]] = {}
+
+    def merge(self, data: bytes) -> tuple[int, ...]:
+        """The ids of one piece: its bytes, of which the neighbours with the least rank merge first, the leftmost of
+        equal ones; a heap of candidates over a linked list."""
+        ranks = self.ranks
+        if data in ranks:
+            return (ranks[data],)
+        if len(data) <= FEW:
+            return self._merge_few(data)
+        parts: list[bytes | None] = [data[k : k + 1] for k in range(len(data))]
+        n = len(parts)
+        after, before = list(range(1, n + 1)), list(range(-1, n - 1))
+        heap = [(r, k, parts[k] + parts[k + 1]) for k in range(n - 1) if (r := ranks.get(parts[k] + parts[k + 1])) is not None]
+        heapq.heapify(heap)
+        while heap:
+            _, k, both = heapq.heappop(heap)
+            j = after[k] if parts[k] is not None else n
+            if j >= n or parts[k] + parts[j] != both:
+                continue  # one of the two has merged otherwise meanwhile
+            parts[k], parts[j] = both, None
+            after[k] = j = after[j]
+            if j < n:
+                before[j] = k
+            for x, y in ((before[k], k), (k, j)):
+                if x >= 0 and y < n and (r := ranks.get(parts[x] + parts[y])) is not None:
+                    heapq.heappush(heap, (r, x, parts[x] + parts[y]))
+        return tuple(ranks[x] for x in parts if x is not None)
+
+    def _merge_few(self, data: bytes) -> tuple[int, ...]:
+        """The same for few bytes, by a list of the neighbours' ranks."""
+        rank, none = self.ranks.get, len(self.bytes_of)
+        parts = [data[k : k + 1] for k in range(len(data))]
+        pairs = [rank(x + y, none) for x, y in zip(parts, parts[1:])]
+        while pairs and (least := min(pairs)) < none:
+            k = pairs.index(least)
+            parts[k] += parts.pop(k + 1)
+            pairs.pop(k)
+            if k:
+                pairs[k - 1] = rank(parts[k - 1] + parts[k], none)
+            if k < len(pairs):
+                pairs[k] = rank(parts[k] + parts[k + 1], none)
+        return tuple(self.ranks[x] for x in parts)
+
+    def piece(self, text: str) -> tuple[int, ...]:
+        ids = self.known.get(text)
+        if ids is None:
+            ids = self.merge(text.encode())
+            if len(text) <= SHORT and len(self.known) < REMEMBERED:
+                self.known[text] = ids
+        return ids
+
+    def _element(self, text: str) -> tuple:
+        pieces = self.split.findall(text)
+        ids = list(map(self.piece, pieces))
+        ends = list(itertools.accumulate(map(len, pieces)))
+        starts = [0, *ends[:-1]] if ends and ends[-1] == len(text) else [m.start() for m in self.split.finditer(text)]
+        counts = np.fromiter(map(len, ids), np.int32, len(ids))
+        return text, np.array(starts, np.int64), counts, np.fromiter(itertools.chain.from_iterable(ids), np.uint32, int(counts.sum()))
 
     def join(self, left: tuple, right: tuple) -> tuple:
-        (a, a_starts, a_ids), (b, b_starts, b_ids) = left, right
+        (a, a_starts, a_counts, a_ids), (b, b_starts, b_counts, b_ids) = left, right
         if not a or not b:
             return left if a else right
         keep = len(a_starts)
@@ -65,33 +117,35 @@ class Codec:
         while True:
             window, whole = head + b[:width], width >= len(b)
             known = set(b_starts[: np.searchsorted(b_starts, width)].tolist())
-            starts, meet = [], None
+            fresh, meet = [], None
             for m in self.split.finditer(window):
                 if not whole and m.end() > len(window) - self.SIGHT:
                     break  # it may look past the window
                 if m.start() - len(head) in known:
                     meet = m.start() - len(head)
                     break
-                starts.append(m.start())
+                fresh.append((m.start(), self.piece(m.group())))
             if meet is not None or whole:
                 break
             width *= 4
-        end = len(window) if meet is None else len(head) + meet
-        fresh = [self._flat(window[x:y]) for x, y in zip(starts, [*starts[1:], end])]
         rest = len(b_starts) if meet is None else int(np.searchsorted(b_starts, meet))
-        before = a_ids[: len(a_ids) - self._count(a, a_starts[keep:], len(a))]
-        after = b_ids[self._count(b, b_starts[:rest], len(b) if meet is None else meet) :]
-        return a + b, np.concatenate([a_starts[:keep], at + np.array(starts, np.int64), len(a) + b_starts[rest:]]), np.concatenate([before, *fresh, after])
+        middle = np.fromiter(itertools.chain.from_iterable(x for _, x in fresh), np.uint32)
+        return (
+            a + b,
+            np.concatenate([a_starts[:keep], np.array([at + k for k, _ in fresh], np.int64), len(a) + b_starts[rest:]]),
+            np.concatenate([a_counts[:keep], np.array([len(x) for _, x in fresh], np.int32), b_counts[rest:]]),
+            np.concatenate([a_ids[: len(a_ids) - int(a_counts[keep:].sum())], middle, b_ids[int(b_counts[:rest].sum()) :]]),
+        )
 
     def _tree(self, text: str, leaf: int) -> tuple:
         if len(text) <= leaf:
-            return self._leaf(text)
+            return self._element(text)
         half = len(text) // 2
         return self.join(self._tree(text[:half], leaf), self._tree(text[half:], leaf))
 
     def encode(self, text: str, leaf: int = LEAF) -> np.ndarray:
-        """The ids as unsigned 32-bit integers; a text of one leaf goes straight to the library."""
-        return self._flat(text) if len(text) <= leaf else self._tree(text, leaf)[2]
+        """The ids as unsigned 32-bit integers, joined up the tree from leaves of up to ``leaf`` characters."""
+        return self._tree(text, leaf)[3]
 
     def decode(self, ids: np.ndarray, leaf: int = LEAF) -> bytes:
         """Concatenates up the tree."""
@@ -156,4 +210,5 @@ def digests(docs: DataFrame) -> DataFrame:
 
 
 def op3_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """digests() of all ``documents``."""
     return digests(table(spark, sf_dir, "documents"))
