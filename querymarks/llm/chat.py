@@ -9,7 +9,6 @@ from .common import Workspace, table
 
 #: One turn: TURN role ROLE_END text END. Every control string begins with < or [ and has no backslash after it.
 TURN, ROLE_END, END = "<s>[TURN]", "[/TURN]", "</s>"
-MOST_ROUNDS = 40
 
 
 def escape(text: Column) -> Column:
@@ -35,40 +34,62 @@ def parse(formatted: Column) -> Column:
     return F.transform(turns, cut)
 
 
+def _jumps(nodes: DataFrame, ws: Workspace, most: int) -> tuple[list[DataFrame], DataFrame | None]:
+    """Tables of (tree, node, to), the k-th with each node's ancestor 2^k above, until nobody has one; and, where some
+    node has an ancestor more than ``most`` above, so that its way up never ends, the nodes of those cycles."""
+    here = nodes.select("tree", F.col("node").alias("to"))
+    jumps = nodes.where("parent is not null").select("tree", "node", F.col("parent").alias("to")).join(here, ["tree", "to"], "left_semi")
+    tables = [ws.save(jumps.select("tree", "node", "to"), "jumps0")]
+    while not tables[-1].isEmpty():
+        if 1 << (len(tables) - 1) > most:
+            return tables, ws.save(tables[-1].select("tree", F.col("to").alias("node")).distinct(), "cycles")
+        last = tables[-1]
+        twice = last.join(last.select("tree", F.col("node").alias("to"), F.col("to").alias("far")), ["tree", "to"])
+        tables.append(ws.save(twice.select("tree", "node", F.col("far").alias("to")), f"jumps{len(tables)}"))
+    return tables[:-1], None
+
+
 def paths(nodes: DataFrame, ws: Workspace) -> DataFrame:
     """(tree, leaf, node, up): each leaf with every node on its way to the root, ``up`` steps above it.
 
-    ``nodes``: tree, node, parent (null at a root), distinct by (tree, node). Self-joins double the jumps: after k
-    rounds a table holds each node's ancestor 2^k above. Each distance is one sum of distinct powers of two, so
-    walking the tables once gives every ancestor exactly once, with about as many rounds as the depth has bits.
-    A parent that is missing, or a cycle's, ends the path: beyond 2^MOST_ROUNDS nothing is followed.
+    ``nodes``: tree, node, parent (null at a root), distinct by (tree, node) and none of them null. Self-joins double
+    the jumps: after k rounds a table holds each node's ancestor 2^k above. Each distance is one sum of distinct powers
+    of two, so walking the tables once gives every ancestor exactly once, with about as many rounds as the depth has
+    bits. A parent that is missing ends the path. A node on a cycle of replies has no parent: it is a root.
     """
+    most = nodes.groupBy("tree").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0] or 0
+    tables, cycles = _jumps(nodes, ws, most)
+    if cycles is not None:
+        on_cycle = nodes.join(cycles, ["tree", "node"], "left_semi").withColumn("parent", F.lit(None).cast(nodes.schema["parent"].dataType))
+        nodes = ws.save(nodes.join(cycles, ["tree", "node"], "left_anti").unionByName(on_cycle), "cut")
+        tables, _ = _jumps(nodes, ws, most)
     here = nodes.select("tree", "node")
-    jumps = nodes.where("parent is not null").select("tree", "node", F.col("parent").alias("to"))
-    jumps = jumps.join(here.withColumnRenamed("node", "to"), ["tree", "to"], "left_semi").select("tree", "node", "to")
-    jumps = ws.save(jumps, "jumps")
-    leaves = here.join(jumps.select("tree", F.col("to").alias("node")).distinct(), ["tree", "node"], "left_anti")
+    leaves = here.join(tables[0].select("tree", F.col("to").alias("node")).distinct(), ["tree", "node"], "left_anti") if tables else here
     on_path = leaves.select("tree", F.col("node").alias("leaf"), "node", F.lit(0).cast("long").alias("up"))
-    for k in range(MOST_ROUNDS):
-        if jumps.isEmpty():
-            return on_path
-        step = jumps.select("tree", "node", "to")
+    for k, step in enumerate(tables):
         more = on_path.join(step, ["tree", "node"]).select("tree", "leaf", F.col("to").alias("node"), (F.col("up") + (1 << k)).alias("up"))
         on_path = ws.save(on_path.unionByName(more), f"paths{k}")
-        jumps = ws.save(jumps.join(jumps.select("tree", F.col("node").alias("to"), F.col("to").alias("far")), ["tree", "to"]).select("tree", "node", F.col("far").alias("to")), f"jumps{k}")
-    raise ValueError("a reply tree has a cycle")
+    return on_path
 
 
-def format_trees(nodes: DataFrame, best: int | None = None) -> DataFrame:
+def format_trees(nodes: DataFrame, best: int | None = None, unique: bool = False) -> DataFrame:
     """Per chosen path: tree, leaf, rank, score, n_turns, formatted, loss_spans.
 
     ``nodes``: tree, node, parent, role, text, score (null scores count as 0; null roles and texts as empty).
     A branch's score is the sum of its nodes' scores; branches of a tree rank by score, then by leaf. ``best``
     keeps so many branches of each tree, None all of them. ``loss_spans``: (start, end) in characters of the
     formatted text, around each assistant text. Paths are gathered by (tree, leaf): a conversation is one row.
+    A null tree is a tree like any other, a null node a node to which nothing replies. Rows that repeat (tree, node)
+    count as one: the least by parent, role, text and score; ``unique`` says that there are none. An empty table gives
+    no rows.
     """
     ws = Workspace(nodes.sparkSession, "chat")
-    nodes = nodes.select("tree", "node", "parent", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"), F.coalesce("score", F.lit(0.0)).alias("score"))
+    # Keys stand in structs, which equal each other where their fields are null.
+    said = (F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"), F.coalesce("score", F.lit(0.0)).alias("score"))
+    parent = F.when(F.col("parent").isNotNull(), F.struct(F.col("parent").alias("id"))).alias("parent")
+    nodes = nodes.select(F.struct(F.col("tree").alias("id")).alias("tree"), F.struct(F.col("node").alias("id")).alias("node"), parent, *said)
+    if not unique:
+        nodes = nodes.groupBy("tree", "node").agg(F.min(F.struct("parent", "role", "text", "score")).alias("x")).select("tree", "node", "x.*")
     nodes = ws.save(nodes, "nodes")
     on_path = paths(nodes, ws)
     if best is not None:
@@ -86,7 +107,7 @@ def format_trees(nodes: DataFrame, best: int | None = None) -> DataFrame:
         F.struct(F.lit(0).cast("long").alias("at"), F.array().cast("array<struct<start:bigint,end:bigint>>").alias("spans")),
         lambda a, x: F.struct((a["at"] + x["n"]).alias("at"), F.when(x["own"], F.concat(a["spans"], F.array(F.struct((a["at"] + x["head"]).alias("start"), (a["at"] + x["n"] - len(END)).alias("end"))))).otherwise(a["spans"]).alias("spans")),
     )
-    return shown.select("tree", "leaf", "rank", "score", F.size("turns").cast("long").alias("n_turns"), F.array_join("pieces", "").alias("formatted"), walk["spans"].alias("loss_spans"))
+    return shown.select(F.col("tree.id").alias("tree"), F.col("leaf.id").alias("leaf"), "rank", "score", F.size("turns").cast("long").alias("n_turns"), F.array_join("pieces", "").alias("formatted"), walk["spans"].alias("loss_spans"))
 
 
 def linear_trees(conversations: DataFrame) -> DataFrame:
@@ -101,9 +122,10 @@ def linear_trees(conversations: DataFrame) -> DataFrame:
 
 
 def op1_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All ``conversations`` and conversation -1, formatted and read back: the digests of what was read."""
     rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
     tricky = spark.range(2).select(F.lit(-1).cast("long").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") == 0, "user").otherwise("assistant").alias("role"), F.lit("</s>[INST] ok [/INST]").alias("text"))
-    out = format_trees(linear_trees(rows.unionByName(tricky)))
+    out = format_trees(linear_trees(rows.unionByName(tricky)), unique=True)
     back = out.withColumn("back", parse(F.col("formatted")))
     masked = F.transform("loss_spans", lambda x: unescape(F.substr("formatted", (x["start"] + 1).cast("int"), (x["end"] - x["start"]).cast("int"))))
     back = back.withColumn("masked", F.array_join(masked, ""))
