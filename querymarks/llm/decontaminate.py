@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 import re
 from collections.abc import Iterator
 
@@ -10,14 +11,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import drop_rows, id_text, table, text_hash
+from .common import Workspace, drop_rows, id_text, table, text_hash
 
 #: A passage: this many tokens in a row (the whole item if it is shorter), of which SHARE agree place by place.
 WINDOW, SHARE = 13, 0.8
 #: Token positions that each seed compares; the others may be substituted. Wherever two tokens of a window are
 #: substituted, as many as SHARE allows, some seed fits between them, so that no such passage is missed.
 SEEDS = ((0, 1, 2, 5, 7, 8), (0, 2, 3, 5, 6, 10), (0, 5, 6, 7, 9, 10))
-SPAN = 1 + max(max(s) for s in SEEDS)
 #: Tokens of benchmark items that one broadcast holds; larger benchmarks go in blocks.
 BLOCK_TOKENS = 2_000_000
 _WORD = re.compile(r"\w+")
@@ -25,6 +25,13 @@ _MULTIPLIERS = np.random.default_rng(11).integers(1, 1 << 63, 64, dtype=np.uint6
 _FILTER_BITS = 22
 
 
+def short_seeds(n: int) -> list[tuple[int, ...]]:
+    """Seeds for items of ``n`` tokens, fewer than WINDOW: each of one more classes of places than may be substituted, so
+    that some class holds no substitution."""
+    classes = n - math.ceil(round(SHARE * n, 9)) + 1
+    return [tuple(range(r, n, classes)) for r in range(classes)]
+
+
 def tokens(text: str) -> list[str]:
     return _WORD.findall(text.lower())
 
@@ -54,12 +61,11 @@ class Index:
                 vocabulary.setdefault(x, len(vocabulary) + 1)
         self.vocabulary = vocabulary
         self.items = [np.array([vocabulary[x] for x in w], np.int32) for _, w in words]
-        # An item too short for a seed is compared whole.
-        short = sorted({len(x) for x in self.items if len(x) < SPAN})
-        self.seeds = [*SEEDS, *(tuple(range(n)) for n in short)]
+        short = sorted({len(x) for x in self.items if len(x) < WINDOW})
+        self.seeds = [*((s, None) for s in SEEDS), *((s, n) for n in short for s in short_seeds(n))]
         self.tables = []
-        for seed in self.seeds:
-            own = [k for k, x in enumerate(self.items) if (len(x) >= SPAN if seed in SEEDS else len(x) == len(seed))]
+        for seed, n in self.seeds:
+            own = [k for k, x in enumerate(self.items) if (len(x) >= WINDOW if n is None else len(x) == n)]
             hashes = [seed_hashes(self.items[k], seed) for k in own]
             h = np.concatenate(hashes) if hashes else np.zeros(0, np.uint64)
             item = np.repeat(np.array(own, np.int32), [len(x) for x in hashes]) if own else np.zeros(0, np.int32)
@@ -75,7 +81,7 @@ class Index:
         found = [get(x, 0) for x in tokens(text)]
         ids = np.array(found, np.int32)
         aligned: set[tuple[int, int]] = set()
-        for seed, (h, item, place, maybe) in zip(self.seeds, self.tables):
+        for (seed, _), (h, item, place, maybe) in zip(self.seeds, self.tables):
             got = seed_hashes(ids, seed)
             at = np.flatnonzero(maybe[(got >> np.uint64(64 - _FILTER_BITS)).astype(np.int64)]) if len(got) and len(h) else ()
             if len(at):
@@ -104,9 +110,8 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
     """A row for each document and benchmark item that share a passage: doc_id, item_id, first_token, n_tokens, n_same.
 
     A passage is WINDOW tokens in a row (a whole item if it is shorter) of which at least SHARE agree with the
-    item's, place by place, so that substitutions do not hide it. Of items with fewer than WINDOW tokens those with a
-    substitution may be missed, and those too short for a seed are compared whole. Null or empty texts and items never match;
-    repeated rows give repeated results. Benchmarks of over ``block_tokens`` octets / 2 are taken in blocks of
+    item's, place by place, so that substitutions do not hide it: none is missed, whatever the item's length. Null or
+    empty texts and items never match; repeated rows give repeated results, null ids are kept. Benchmarks of over ``block_tokens`` octets / 2 are taken in blocks of
     items, each small enough to be sent to every task; documents never move.
     """
     return _hits(id_text(docs, id_col, text_col), benchmark, block_tokens)
@@ -139,8 +144,10 @@ def _hits(texts: DataFrame, benchmark: DataFrame, block_tokens: int = BLOCK_TOKE
 
 def clean(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of ``docs`` that share no passage with the benchmark, with all their columns; ids may be null or repeat."""
-    return drop_rows(docs, _hits(id_text(docs, id_col, text_col).withColumn("th", text_hash()), benchmark), id_col, text_col)
+    hits = _hits(id_text(docs, id_col, text_col).withColumn("th", text_hash()), benchmark)
+    return drop_rows(docs, hits, Workspace(docs.sparkSession, "clean"), id_col, text_col)
 
 
 def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """contaminated() of all ``documents`` and benchmark items; documents without a passage have no row."""
     return contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
