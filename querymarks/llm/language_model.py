@@ -275,4 +275,5 @@ def score_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
 
 def op2_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """score_texts() of all ``documents``."""
     return score_texts(table(spark, sf_dir, "documents"))

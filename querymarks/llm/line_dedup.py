@@ -129,4 +129,5 @@ def drop_repeated_runs(docs: DataFrame, id_col: str = "doc_id", text_col: str =
 
 
 def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """drop_repeated_runs() of all ``documents``."""
     return drop_repeated_runs(table(spark, sf_dir, "documents"))

@@ -191,4 +191,5 @@ def quality(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col
 
 
 def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """quality() of all ``documents``, learnt from ``labels``."""
     return quality(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")).drop("th")

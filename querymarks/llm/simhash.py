@@ -18,6 +18,8 @@ SEED = 42
 PAIRWISE = 32
 #: Classes of shingles: about so many shingles in one, so many classes used; hashes in a sketch; rounds of representatives.
 CLASS_SIZE, CLASSES, SKETCH, ROUNDS = 4, 16, 512, 3
+#: Similarities that a sketch puts this near to the threshold (five standard errors) are computed from all hashes.
+MARGIN = 0.09
 
 
 def fingerprint(data: bytes, words: int = 3) -> int:
@@ -158,21 +160,24 @@ def estimated_jaccard(a: np.ndarray, b: np.ndarray) -> float:
 
 
 def sketches(docs: DataFrame, id_col: str, text_col: str, words: int) -> DataFrame:
-    """Per row of ``docs``: doc_id, th (text hash), fp, keys, n (shingles), low (the least hashes)."""
+    """Per row of ``docs``: doc_id, th (text hash), fp, keys, n (shingles), low (the least hashes), and for texts that
+    such a sketch may not settle whole (all hashes, 32 bits of each)."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            fps, keys, sizes, low = [], [], [], []
+            fps, keys, sizes, low, whole = [], [], [], [], []
             for x in batch.column(1):
                 h = shingle_hashes(x.as_buffer().to_pybytes(), words)
                 fps.append(int(majority(h, np.zeros(1, np.int64))[0]) if len(h) else 0)
                 keys.append(class_keys(h).view(np.int64))
                 sizes.append(len(h))
-                low.append(np.sort((h >> np.uint64(32)).astype("<u4"))[:SKETCH].tobytes())
-            columns = [pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(keys, pa.list_(pa.int64())), pa.array(sizes, pa.int64()), pa.array(low, pa.binary())]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), *columns], names=["doc_id", "th", "fp", "keys", "n", "low"])
+                short = np.sort((h >> np.uint64(32)).astype("<u4"))
+                low.append(short[:SKETCH].tobytes())
+                whole.append(short.view("<i4") if len(h) > SKETCH // 2 else None)
+            columns = [pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(keys, pa.list_(pa.int64())), pa.array(sizes, pa.int64()), pa.array(low, pa.binary()), pa.array(whole, pa.list_(pa.int32()))]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), *columns], names=["doc_id", "th", "fp", "keys", "n", "low", "whole"])
 
-    return id_text(docs, id_col, text_col).withColumn("th", text_hash()).mapInArrow(work, "doc_id long, th long, fp long, keys array<long>, n long, low binary")
+    return id_text(docs, id_col, text_col).withColumn("th", text_hash()).mapInArrow(work, "doc_id long, th long, fp long, keys array<long>, n long, low binary, whole array<int>")
 
 
 def vertices(each: DataFrame, ws: Workspace) -> DataFrame:
@@ -199,20 +204,37 @@ def similar_links(each: DataFrame, ws: Workspace, similarity: float) -> DataFram
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            got = [estimated_jaccard(np.frombuffer(x.as_buffer(), "<u4"), np.frombuffer(y.as_buffer(), "<u4")) for x, y in zip(batch.column(2), batch.column(3))]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(np.array(got, float) >= similarity)], names=["a", "b", "alike"])
+            pairs = zip(batch.column(2), batch.column(3))
+            got = np.array([estimated_jaccard(np.frombuffer(x.as_buffer(), "<u4"), np.frombuffer(y.as_buffer(), "<u4")) for x, y in pairs], float)
+            partial = np.array(batch.column(4), bool) & (np.abs(got - similarity) < MARGIN)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(got >= similarity), pa.array(partial)], names=["a", "b", "alike", "unsure"])
 
     def verdicts(pairs: DataFrame) -> DataFrame:
-        both = pairs.join(known.select(F.col("doc_id").alias("a"), F.col("low").alias("low_a")), "a").join(known.select(F.col("doc_id").alias("b"), F.col("low").alias("low_b")), "b")
-        return both.select("a", "b", "low_a", "low_b").mapInArrow(judge, "a long, b long, alike boolean")
+        side = lambda x: known.select(F.col("doc_id").alias(x), F.col("low").alias(f"low_{x}"), F.col("n").alias(f"n_{x}"))
+        both = pairs.join(side("a"), "a").join(side("b"), "b")
+        both = both.select("a", "b", "low_a", "low_b", (F.greatest("n_a", "n_b") > SKETCH).alias("partial"))
+        told = ws.save(both.mapInArrow(judge, "a long, b long, alike boolean, unsure boolean"), "told")
+        sure, unsure = told.where("not unsure").select("a", "b", "alike"), told.where("unsure").select("a", "b")
+        if unsure.isEmpty():
+            return sure
+        # Their sizes are alike, so that both have all their hashes; a pair is one row, whatever its length.
+        ids = unsure.select(F.col("a").alias("doc_id")).unionByName(unsure.select(F.col("b").alias("doc_id"))).distinct()
+        whole = each.select("doc_id", "whole").join(ids, "doc_id", "left_semi").groupBy("doc_id").agg(F.first("whole").alias("whole"))
+        whole = ws.save(whole, "whole")
+        side = lambda x: whole.select(F.col("doc_id").alias(x), F.col("whole").alias(f"whole_{x}"))
+        shared = F.size(F.array_intersect("whole_a", "whole_b"))
+        exact = unsure.join(side("a"), "a").join(side("b"), "b").select("a", "b", shared.alias("s"), (F.size("whole_a") + F.size("whole_b") - shared).alias("u"))
+        return sure.unionByName(exact.select("a", "b", (F.col("s") >= F.lit(similarity) * F.col("u") - 1e-9).alias("alike")))
 
     near = lambda n, m: F.least(n, m) >= similarity * 0.9 * F.greatest(n, m)
     dealt = ws.save(each.where("doc_id is not null").select("doc_id", "n", F.explode("keys").alias("key")).distinct(), "dealt")
-    known = each.where("doc_id is not null").groupBy("doc_id").agg(F.max_by("low", "n").alias("low"))
+    known = each.where("doc_id is not null").groupBy("doc_id").agg(F.max_by("low", "n").alias("low"), F.max("n").alias("n"))
     members, judged = dealt, None
     for _ in range(ROUNDS):
         heads = members.groupBy("key").agg(F.min(F.struct("doc_id", "n")).alias("h"), F.count(F.lit(1)).alias("size")).where("size > 1")
-        met = ws.save(members.join(heads.select("key", F.col("h.doc_id").alias("b"), F.col("h.n").alias("bn")), "key").where("doc_id > b"), "met")
+        # Saved, here and below, so that the join does not keep the grouping's partitions: a hot key can be split over tasks.
+        heads = ws.save(heads.select("key", F.col("h.doc_id").alias("b"), F.col("h.n").alias("bn")), "heads")
+        met = ws.save(members.join(heads, "key").where("doc_id > b"), "met")
         fresh = met.where(near(F.col("n"), F.col("bn"))).select(F.col("doc_id").alias("a"), "b").distinct()
         if judged is not None:
             fresh = fresh.join(judged.select("a", "b"), ["a", "b"], "left_anti")
@@ -225,14 +247,14 @@ def similar_links(each: DataFrame, ws: Workspace, similarity: float) -> DataFram
         ws.drop(met)
     ws.drop(members)
     roots = connected(judged.where("alike").select("a", "b"), ws)
-    shared = dealt.groupBy("key").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select("key")
+    shared = ws.save(dealt.groupBy("key").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select("key"), "shared")
     placed = dealt.join(shared, "key").join(roots.select(F.col("v").alias("doc_id"), "root"), "doc_id", "left").select("key", "doc_id", "n", F.coalesce("root", "doc_id").alias("part"))
     placed = ws.save(placed, "placed")
     ws.drop(dealt)
     parts = placed.groupBy("key", "part").agg(F.count(F.lit(1)).alias("size"))
     mixed = parts.groupBy("key").agg(F.max(F.struct("size", "part"))["part"].alias("main"), F.count(F.lit(1)).alias("parts")).where("parts > 1").select("key", "main")
-    # The rest of a bucket meets its largest component and each other. Saved, so that a hot key can be split over tasks.
-    mixed = ws.save(placed.join(mixed, "key"), "mixed")
+    # The rest of a bucket meets its largest component and each other.
+    mixed = ws.save(placed.join(ws.save(mixed, "main"), "key"), "mixed")
     x = mixed.where("part <> main").select("key", F.col("doc_id").alias("x"), F.col("n").alias("xn"), F.col("part").alias("xp"))
     y = mixed.select("key", F.col("doc_id").alias("y"), F.col("n").alias("yn"), F.col("part").alias("yp"), "main")
     met = x.join(y, "key").where((F.col("xp") != F.col("yp")) & ((F.col("yp") == F.col("main")) | (F.col("x") < F.col("y"))) & near(F.col("xn"), F.col("yn")))
@@ -251,6 +273,8 @@ def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     stays. Documents without words are copies of each other. Rows without an id come after all others, by their
     text hash, as do the texts of one id among themselves.
     """
+    if similarity < 0.6:
+        raise ValueError("below 0.6 a sketch may not settle a text of which not all hashes are kept")
     ws = Workspace(docs.sparkSession, "near")
     each = vertices(ws.save(sketches(docs, id_col, text_col, words), "sketches"), ws)
     same = ws.save(each.groupBy("fp").agg(F.min("v").alias("least"), F.count(F.lit(1)).alias("n")), "distinct")
@@ -258,11 +282,13 @@ def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     least = lambda name: same.select(F.col("fp").alias(name), F.col("least").alias(f"{name}_id"))
     across = links.join(least("a"), "a").join(least("b"), "b").select(F.col("a_id").alias("a"), F.col("b_id").alias("b"))
     within = each.select("fp", F.col("v").alias("a")).join(same.where("n > 1").select("fp", F.col("least").alias("b")), "fp").select("a", "b")
-    edges = across.unionByName(within).unionByName(similar_links(each.select(F.col("v").alias("doc_id"), "keys", "n", "low"), ws, similarity))
+    alike = similar_links(each.select(F.col("v").alias("doc_id"), "keys", "n", "low", "whole"), ws, similarity)
+    edges = across.unionByName(within).unionByName(alike)
     gone = connected(edges, ws).select("v").distinct()
-    return drop_rows(docs, each.select("doc_id", "th", "v").join(gone, "v"), id_col, text_col)
+    return drop_rows(docs, each.select("doc_id", "th", "v").join(gone, "v"), ws, id_col, text_col)
 
 
 def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """simhash_groups() of ``documents`` at two bits, over shingles of three words."""
     out = simhash_groups(table(spark, sf_dir, "documents"))
     return out.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")

@@ -112,6 +112,7 @@ def judge(pages: DataFrame, rules: tuple[tuple[str, str, str], ...] = RULES) ->
 
 
 def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """judge() of all ``pages`` by the fixed rules."""
     return judge(table(spark, sf_dir, "pages")).select("page_id", "host", "path", "rule", "verdict")
 
 
