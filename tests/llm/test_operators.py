@@ -52,7 +52,7 @@ def test_exact_groups(docs, nothing):
     for i, t in TEXTS:
         groups[lower(t)].append(i)
     want = sorted(((i, max((x for x in g if x is not None), default=None), len(g), i == max((x for x in g if x is not None), default=None), hashlib.sha256(t.encode()).digest()) for t, g in groups.items() for i in g), key=str)
-    got = sorted((tuple(r) for r in exact_dedup.exact_groups(docs, digest_all=True).collect()), key=str)
+    got = sorted((tuple(r) for r in exact_dedup.exact_groups(docs).drop("th").collect()), key=str)
     assert [(a, b, c, d, bytes(e)) for a, b, c, d, e in got] == want
     assert exact_dedup.exact_groups(nothing).count() == 0
 
@@ -64,12 +64,15 @@ def test_drop_copies_keeps_columns_and_one_row(docs):
 
 
 #: Null ids, one id with two texts, one text with two ids, repeated rows.
-ODD = [(1, "one two"), (1, "three four"), (2, "ONE two"), (2, "five"), (3, "six"), (3, "six"), (None, "seven"), (None, "eight"), (None, "Seven"), (None, "six"), (4, None), (None, "")]
+ODD = [(1, "one two"), (1, "three four"), (7, "Twice"), (7, "twice"), (7, "twice"), (2, "ONE two"), (2, "five"), (3, "six"), (3, "six"), (None, "seven"), (None, "eight"), (None, "Seven"), (None, "six"), (4, None), (None, "")]
 
 
 def test_copies_go_by_text(spark):
     got = sorted(((r["doc_id"], lower(r["text"])) for r in exact_dedup.drop_copies(frame(spark, ODD)).collect()), key=str)
-    assert got == sorted([(1, "three four"), (2, "one two"), (2, "five"), (3, "six"), (None, "seven"), (None, "eight"), (4, "")], key=str)
+    assert got == sorted([(1, "three four"), (7, "twice"), (2, "one two"), (2, "five"), (3, "six"), (None, "seven"), (None, "eight"), (4, "")], key=str)
+    odd = frame(spark, [(1, "a b", 1, 2, 3), (2, "A b", 1, 2, 3), (2, "A b", 4, 5, 6)], "doc_id long, text string, __gone int, th int, __th int")
+    out = exact_dedup.drop_copies(odd)
+    assert out.columns == odd.columns and [r["doc_id"] for r in out.collect()] == [2]
     once = exact_dedup.drop_copies(frame(spark, [(1, "a b"), (2, "A b"), (1, "c")]))
     assert sorted(r["text"] for r in once.collect()) == ["A b", "c"]
 
@@ -203,14 +206,24 @@ def test_all_similar_pairs_of_a_bucket_link(spark):
 
 
 # -- tokens
+def library(own):
+    import tiktoken
+
+    return tiktoken.Encoding("ranks", pat_str=public_tokenizers.PATTERN, mergeable_ranks=own.ranks, special_tokens={})
+
+
 def test_bpe_tree_against_library():
     own = bpe.codec(public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
+    whole = library(own)
+    for n in (1, 63, 64, 65, 1000):
+        for text in ("ab" * n, "q" * n, "".join(random.Random(n).choices("theran", k=n))):
+            assert list(own.merge(text.encode())) == whole.encode_ordinary(text)
     rng = random.Random(2)
     letters = "aab  \n\t'srtlve1 2,.!é漢🙂\x1c\x85Ll'"
     for _ in range(400):
         text = "".join(rng.choice(letters) for _ in range(rng.randint(0, 200)))
         ids = own.encode(text, rng.choice((1, 2, 3, 7, 40)))
-        assert ids.tolist() == own.library.encode_ordinary(text)
+        assert ids.tolist() == whole.encode_ordinary(text)
         assert own.decode(ids, 5) == text.encode()
 
 
@@ -218,7 +231,7 @@ def test_bpe_tables(docs, nothing):
     rules = public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN
     own = bpe.codec(*rules)
     got = sorted((str(r["doc_id"]), np.frombuffer(bytes(r["ids"]), "<u4").tolist(), bytes(r["decoded"])) for r in bpe.decode(bpe.encode(docs, *rules), *rules).collect())
-    assert got == sorted((str(i), own.library.encode_ordinary(t or ""), (t or "").encode()) for i, t in TEXTS)
+    assert got == sorted((str(i), library(own).encode_ordinary(t or ""), (t or "").encode()) for i, t in TEXTS)
     assert bpe.digests(nothing).count() == 0
 
 
@@ -268,6 +281,21 @@ def test_contaminated_with_substitutions(spark, docs, nothing):
     assert decontaminate.clean(docs, bench.limit(0)).count() == len(TEXTS) and decontaminate.contaminated(nothing, bench).count() == 0
 
 
+def test_short_items_with_substitutions(spark):
+    """Every set of places that may differ, for every length below a window."""
+    items = {n: [f"s{n}_{k}" for k in range(n)] for n in range(1, 13)}
+    rows, want = [], set()
+    for n, words_ in items.items():
+        for wrong in range(4):
+            for bad in itertools.combinations(range(n), wrong):
+                i = len(rows)
+                rows.append((i, " ".join(["x", "y", *("zz" if k in bad else w for k, w in enumerate(words_)), "z"])))
+                if n - wrong >= decontaminate.SHARE * n - 1e-9:
+                    want.add((i, n))
+    bench = frame(spark, [(n, " ".join(w)) for n, w in items.items()], "item_id long, text string")
+    assert {(r["doc_id"], r["item_id"]) for r in decontaminate.contaminated(frame(spark, rows), bench).collect()} == want
+
+
 def test_seeds_leave_no_window_out():
     n, wrong = decontaminate.WINDOW, decontaminate.WINDOW - math.ceil(decontaminate.SHARE * decontaminate.WINDOW)
     for bad in itertools.combinations(range(n), wrong):
@@ -476,9 +504,17 @@ def test_reply_trees(spark):
     assert best == {("t", 4), ("u", 1)}
 
 
+def test_cycles_null_trees_and_repeated_rows(spark):
+    cycle = [("c", 1, 3, "user", "one", 0.0), ("c", 2, 1, "user", "two", 0.0), ("c", 3, 2, "user", "three", 0.0), ("c", 4, 3, "assistant", "four", 0.0), ("c", 5, 4, "user", "five", 0.0), ("c", 6, 6, "user", "own", 0.0)]
+    none = [(None, 1, None, "user", "r", 0.0), (None, 2, 1, "assistant", "s", 0.0), (None, 2, 1, "assistant", "s", 0.0), ("n", None, None, "user", "alone", 0.0)]
+    df = spark.createDataFrame(cycle + none, "tree string, node long, parent long, role string, text string, score double")
+    got = {(r["tree"], r["leaf"]): r["n_turns"] for r in chat.format_trees(df).collect()}
+    assert got == {("c", 5): 3, ("c", 1): 1, ("c", 2): 1, ("c", 6): 1, (None, 2): 2, ("n", None): 1}
+
+
 def test_long_chain_and_ties(spark):
     rows = [(1, k // 2, "user" if k % 2 else "assistant", f"m{k}") for k in range(300)] + [(2, None, None, None), (2, None, None, None), (None, 1, "user", "x")]
-    out = {r["tree"]: r for r in chat.format_trees(chat.linear_trees(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string"))).where("tree is not null").collect()}
-    assert out[1]["n_turns"] == 300 and out[2]["n_turns"] == 2
+    out = {r["tree"]: r for r in chat.format_trees(chat.linear_trees(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string"))).collect()}
+    assert out[1]["n_turns"] == 300 and out[2]["n_turns"] == 2 and out[None]["n_turns"] == 1
     empty = spark.createDataFrame([], "conv_id long, turn long, role string, text string")
     assert chat.format_trees(chat.linear_trees(empty)).count() == 0
