@@ -10,7 +10,7 @@ from querymarks.llm.common import Workspace, drop_rows, table
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops the rows that the quality classifier rejects, also those without an id."""
     scored = quality.quality(docs, table(spark, sf_dir, "labels"))
-    return drop_rows(docs, scored.where("predicted = 0"))
+    return drop_rows(docs, scored.where("predicted = 0"), Workspace(spark, "quality"))
 
 
 def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

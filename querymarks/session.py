@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 
@@ -11,15 +13,20 @@ from pyspark.sql import DataFrame, SparkSession
 class Workspace:
     """Tables below the folder that ``spark.checkpoint.dir`` names.
 
-    A saved table cuts the lineage as checkpoint() does, and survives lost executors. Where the setting is absent
-    (tests on one machine) a temporary folder of this machine serves instead.
+    A saved table cuts the lineage as checkpoint() does, and survives lost executors. Where the setting is absent and
+    the master is local (tests on one machine) a temporary folder of this machine serves instead, deleted at exit; on a
+    cluster, whose machines do not share such a folder, that is an error.
     """
 
     def __init__(self, spark: SparkSession, name: str):
         self.spark = spark
         shared = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("querymarks.workspace", "")
         if not shared:
+            master = spark.sparkContext.master
+            if master != "local" and not master.startswith("local["):
+                raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
             shared = tempfile.mkdtemp(prefix="querymarks-")
+            atexit.register(shutil.rmtree, shared, True)
             spark.conf.set("querymarks.workspace", shared)
         self.root = f"{shared.rstrip('/')}/{name}-{uuid.uuid4().hex}"
         self.count = 0
