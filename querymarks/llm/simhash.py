@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -10,7 +10,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Workspace, drop_rows, id_text, table, text_hash, word_blocks
+from .common import Workspace, drop_rows, hashed, id_text, table, text_hash, word_blocks
 from .components import connected
 
 SEED = 42
@@ -160,24 +160,37 @@ def estimated_jaccard(a: np.ndarray, b: np.ndarray) -> float:
 
 
 def sketches(docs: DataFrame, id_col: str, text_col: str, words: int) -> DataFrame:
-    """Per row of ``docs``: doc_id, th (text hash), fp, keys, n (shingles), low (the least hashes), and for texts that
-    such a sketch may not settle whole (all hashes, 32 bits of each)."""
+    """Per row of ``docs``: doc_id, th (text hash), fp, keys, n (shingles), low (the least hashes)."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            fps, keys, sizes, low, whole = [], [], [], [], []
+            fps, keys, sizes, low = [], [], [], []
             for x in batch.column(1):
                 h = shingle_hashes(x.as_buffer().to_pybytes(), words)
                 fps.append(int(majority(h, np.zeros(1, np.int64))[0]) if len(h) else 0)
                 keys.append(class_keys(h).view(np.int64))
                 sizes.append(len(h))
-                short = np.sort((h >> np.uint64(32)).astype("<u4"))
-                low.append(short[:SKETCH].tobytes())
-                whole.append(short.view("<i4") if len(h) > SKETCH // 2 else None)
-            columns = [pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(keys, pa.list_(pa.int64())), pa.array(sizes, pa.int64()), pa.array(low, pa.binary()), pa.array(whole, pa.list_(pa.int32()))]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), *columns], names=["doc_id", "th", "fp", "keys", "n", "low", "whole"])
+                low.append(np.sort((h >> np.uint64(32)).astype("<u4"))[:SKETCH].tobytes())
+            columns = [pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(keys, pa.list_(pa.int64())), pa.array(sizes, pa.int64()), pa.array(low, pa.binary())]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), *columns], names=["doc_id", "th", "fp", "keys", "n", "low"])
 
-    return id_text(docs, id_col, text_col).withColumn("th", text_hash()).mapInArrow(work, "doc_id long, th long, fp long, keys array<long>, n long, low binary, whole array<int>")
+    return id_text(docs, id_col, text_col).withColumn("th", text_hash()).mapInArrow(work, "doc_id long, th long, fp long, keys array<long>, n long, low binary")
+
+
+def all_hashes(docs: DataFrame, wanted: DataFrame, ws: Workspace, id_col: str, text_col: str, words: int) -> DataFrame:
+    """v, whole: all shingle hashes (32 bits of each) of the texts of ``wanted``: doc_id, th, v."""
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k, x in enumerate(batch.column(1)):  # a text at a time, as they are long
+                h = np.unique((shingle_hashes(x.as_buffer().to_pybytes(), words) >> np.uint64(32)).astype("<u4"))
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(k, 1), pa.array([h.view("<i4")], pa.list_(pa.int32()))], names=["v", "whole"])
+
+    wanted = ws.save(wanted.select(F.col("doc_id").alias("w_id"), F.col("th").alias("w_th"), "v").distinct(), "wanted")
+    texts = id_text(docs, id_col, text_col).withColumn("th", text_hash())
+    met = texts.join(hashed(wanted, 64), texts["doc_id"].eqNullSafe(wanted["w_id"]) & (texts["th"] == wanted["w_th"]))
+    # Rows that repeat an id and text have equal hashes.
+    return ws.save(met.select("v", "text").mapInArrow(work, "v long, whole array<int>"), "whole").dropDuplicates(["v"])
 
 
 def vertices(each: DataFrame, ws: Workspace) -> DataFrame:
@@ -193,9 +206,12 @@ def vertices(each: DataFrame, ws: Workspace) -> DataFrame:
     return ws.save(each.join(ranked, F.col("doc_id").eqNullSafe(F.col("r_id")) & (F.col("th") == F.col("r_th"))).drop("r_id", "r_th"), "vertices")
 
 
-def similar_links(each: DataFrame, ws: Workspace, similarity: float) -> DataFrame:
+def similar_links(each: DataFrame, ws: Workspace, similarity: float, whole_of: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
     """(a, b) with a > b: documents that share the SimHash of a class, and whose similarity is high enough.
 
+    Sketches tell most similarities; those within MARGIN of the threshold come from all hashes of the two texts, which
+    ``whole_of`` gives (doc_id, whole) for some ids; without it sketches tell all.
+
     In each bucket all documents meet the one with the least id; those that are unlike it meet the least among
     themselves in the next round. That gives n candidates a round, and joins most of a bucket into components. Then
     all pairs of a bucket that lie in different components are judged, so that the components of the links are those of
@@ -213,18 +229,18 @@ def similar_links(each: DataFrame, ws: Workspace, similarity: float) -> DataFram
         side = lambda x: known.select(F.col("doc_id").alias(x), F.col("low").alias(f"low_{x}"), F.col("n").alias(f"n_{x}"))
         both = pairs.join(side("a"), "a").join(side("b"), "b")
         both = both.select("a", "b", "low_a", "low_b", (F.greatest("n_a", "n_b") > SKETCH).alias("partial"))
-        told = ws.save(both.mapInArrow(judge, "a long, b long, alike boolean, unsure boolean"), "told")
-        sure, unsure = told.where("not unsure").select("a", "b", "alike"), told.where("unsure").select("a", "b")
-        if unsure.isEmpty():
-            return sure
-        # Their sizes are alike, so that both have all their hashes; a pair is one row, whatever its length.
+        return both.mapInArrow(judge, "a long, b long, alike boolean, unsure boolean")
+
+    def exactly(unsure: DataFrame) -> DataFrame:
+        if whole_of is None or unsure.isEmpty():
+            return unsure.select("a", "b", "alike")
         ids = unsure.select(F.col("a").alias("doc_id")).unionByName(unsure.select(F.col("b").alias("doc_id"))).distinct()
-        whole = each.select("doc_id", "whole").join(ids, "doc_id", "left_semi").groupBy("doc_id").agg(F.first("whole").alias("whole"))
-        whole = ws.save(whole, "whole")
+        whole = whole_of(ids)
         side = lambda x: whole.select(F.col("doc_id").alias(x), F.col("whole").alias(f"whole_{x}"))
-        shared = F.size(F.array_intersect("whole_a", "whole_b"))
-        exact = unsure.join(side("a"), "a").join(side("b"), "b").select("a", "b", shared.alias("s"), (F.size("whole_a") + F.size("whole_b") - shared).alias("u"))
-        return sure.unionByName(exact.select("a", "b", (F.col("s") >= F.lit(similarity) * F.col("u") - 1e-9).alias("alike")))
+        shared = F.size(F.array_intersect("whole_a", "whole_b"))  # a pair is one row, whatever its length
+        both = unsure.select("a", "b").join(side("a"), "a").join(side("b"), "b")
+        both = both.select("a", "b", shared.alias("s"), (F.size("whole_a") + F.size("whole_b") - shared).alias("u"))
+        return ws.save(both.select("a", "b", (F.col("s") >= F.lit(similarity) * F.col("u") - 1e-9).alias("alike")), "exact")
 
     near = lambda n, m: F.least(n, m) >= similarity * 0.9 * F.greatest(n, m)
     dealt = ws.save(each.where("doc_id is not null").select("doc_id", "n", F.explode("keys").alias("key")).distinct(), "dealt")
@@ -240,13 +256,13 @@ def similar_links(each: DataFrame, ws: Workspace, similarity: float) -> DataFram
             fresh = fresh.join(judged.select("a", "b"), ["a", "b"], "left_anti")
         new = verdicts(fresh)
         judged = ws.save(new if judged is None else judged.unionByName(new), "judged")
-        alike = judged.where("alike").select(F.col("a").alias("doc_id"), "b")
+        alike = judged.where("alike and not unsure").select(F.col("a").alias("doc_id"), "b")
         members, old = ws.save(met.join(alike, ["doc_id", "b"], "left_anti").select("doc_id", "n", "key"), "members"), members
         if old is not dealt:
             ws.drop(old)
         ws.drop(met)
     ws.drop(members)
-    roots = connected(judged.where("alike").select("a", "b"), ws)
+    roots = connected(judged.where("alike and not unsure").select("a", "b"), ws)
     shared = ws.save(dealt.groupBy("key").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select("key"), "shared")
     placed = dealt.join(shared, "key").join(roots.select(F.col("v").alias("doc_id"), "root"), "doc_id", "left").select("key", "doc_id", "n", F.coalesce("root", "doc_id").alias("part"))
     placed = ws.save(placed, "placed")
@@ -260,7 +276,8 @@ def similar_links(each: DataFrame, ws: Workspace, similarity: float) -> DataFram
     met = x.join(y, "key").where((F.col("xp") != F.col("yp")) & ((F.col("yp") == F.col("main")) | (F.col("x") < F.col("y"))) & near(F.col("xn"), F.col("yn")))
     pairs = met.select(F.greatest("x", "y").alias("a"), F.least("x", "y").alias("b")).distinct().join(judged.select("a", "b"), ["a", "b"], "left_anti")
     rest = ws.save(verdicts(ws.save(pairs, "pairs")), "rest")
-    return judged.unionByName(rest).where("alike").select("a", "b")
+    every = judged.unionByName(rest)
+    return every.where("not unsure").select("a", "b", "alike").unionByName(exactly(every.where("unsure"))).where("alike").select("a", "b")
 
 
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, radius: int = 2, similarity: float = 0.8) -> DataFrame:
@@ -273,8 +290,6 @@ def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     stays. Documents without words are copies of each other. Rows without an id come after all others, by their
     text hash, as do the texts of one id among themselves.
     """
-    if similarity < 0.6:
-        raise ValueError("below 0.6 a sketch may not settle a text of which not all hashes are kept")
     ws = Workspace(docs.sparkSession, "near")
     each = vertices(ws.save(sketches(docs, id_col, text_col, words), "sketches"), ws)
     same = ws.save(each.groupBy("fp").agg(F.min("v").alias("least"), F.count(F.lit(1)).alias("n")), "distinct")
@@ -282,7 +297,12 @@ def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     least = lambda name: same.select(F.col("fp").alias(name), F.col("least").alias(f"{name}_id"))
     across = links.join(least("a"), "a").join(least("b"), "b").select(F.col("a_id").alias("a"), F.col("b_id").alias("b"))
     within = each.select("fp", F.col("v").alias("a")).join(same.where("n > 1").select("fp", F.col("least").alias("b")), "fp").select("a", "b")
-    alike = similar_links(each.select(F.col("v").alias("doc_id"), "keys", "n", "low", "whole"), ws, similarity)
+    
+    def whole_of(ids: DataFrame) -> DataFrame:
+        wanted = each.select("doc_id", "th", "v").join(ids.withColumnRenamed("doc_id", "v"), "v", "left_semi")
+        return all_hashes(docs, wanted, ws, id_col, text_col, words).withColumnRenamed("v", "doc_id")
+
+    alike = similar_links(each.select(F.col("v").alias("doc_id"), "keys", "n", "low"), ws, similarity, whole_of)
     edges = across.unionByName(within).unionByName(alike)
     gone = connected(edges, ws).select("v").distinct()
     return drop_rows(docs, each.select("doc_id", "th", "v").join(gone, "v"), ws, id_col, text_col)

@@ -205,6 +205,26 @@ def test_all_similar_pairs_of_a_bucket_link(spark):
     assert parts(got) == parts(frame(spark, want, "a long, b long"))
 
 
+def test_long_pairs_at_the_threshold_are_judged_exactly(spark):
+    """Texts beyond the sketch, with similarities within a hundredth of the threshold, against their shingle sets."""
+    rng = random.Random(13)
+    rows, want = [], set()
+    shingles = lambda w: {tuple(w[k : k + 5]) for k in range(len(w) - 4)}
+    for k in range(40):
+        w = [f"w{rng.randrange(10**6)}" for _ in range(1500)]
+        cut = 1504 * 8 // 10 + rng.randint(-18, 18)
+        v = w[:cut]
+        rows += [(2 * k, " ".join(w)), (2 * k + 1, " ".join(v))]
+        a, b = shingles(w), shingles(v)
+        if len(a & b) < 0.8 * len(a | b):
+            want.add(2 * k + 1)
+    kept = {r["doc_id"] for r in simhash.drop_near_copies(frame(spark, rows)).collect()}
+    held = {r["doc_id"]: set(r["keys"]) for r in simhash.sketches(frame(spark, rows), "doc_id", "text", 5).collect()}
+    met = {2 * k + 1 for k in range(40) if held[2 * k] & held[2 * k + 1]}
+    assert len(met) >= 36 and 5 <= len(want) <= 35
+    assert kept & met == {2 * k for k in range(40)} & met | want & met and kept >= {2 * k for k in range(40)} | want
+
+
 # -- tokens
 def library(own):
     import tiktoken
