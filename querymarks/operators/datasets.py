@@ -64,7 +64,7 @@ def kill_datasets(tables: Dataset) -> dict[str, Dataset]:
     """Whole tables, two closed slices, one with childless parents only and one without rows."""
     whole = {t: tables[t] for t in STAR}
     slices = {f"slice{k}": closed_slice(whole, 7, k) for k in (1, 4)}
-    childless = whole | {"orders": tables["orders"].where("o_orderkey % 3 = 1"), "lineitem": tables["lineitem"].where("l_orderkey % 5 = 2")}
+    childless = whole | {"orders": tables["orders"].where("o_orderkey % 3 = 1"), "lineitem": tables["lineitem"].where("l_orderkey % 15 = 1")}
     return {"whole": whole, **slices, "sparse": childless, "empty": empty(whole)}
 
 

@@ -19,7 +19,7 @@ from ..sources import corpus
 from ..sources import workloads as wl
 from ..sources.catalog import default_catalog, read_tables, register_tables
 from ..streaming import stream
-from . import baselines, datasets, frontier, grade, measures, nodes
+from . import baselines, datasets, frontier, grade, measures, nodes, verdict
 
 Query = Callable[[SparkSession, str], DataFrame]
 _QUERIES: dict[str, Query] = {}
@@ -43,9 +43,16 @@ def _correct_frame(spark: SparkSession, base_only: bool = False) -> DataFrame:
     return spark.createDataFrame(rows, "question int, cq_id string, sql string")
 
 
+def _signature(spark: SparkSession, sf_dir: str) -> tuple:
+    """Names, sizes and times of the tables' files: what is kept for them lasts until one changes."""
+    folder = spark._jvm.org.apache.hadoop.fs.Path(sf_dir)
+    files = folder.getFileSystem(spark._jsc.hadoopConfiguration()).listStatus(folder)
+    return tuple(sorted((x.getPath().getName(), x.getLen(), x.getModificationTime()) for x in files))
+
+
 def _once(spark: SparkSession, key: tuple, make: Callable[[], Any]) -> Any:
-    """What several queries need is computed once a session."""
-    key = (spark.sparkContext.applicationId, *key)
+    """What several queries need is computed once a session, as long as the tables (named second in the key) stay."""
+    key = (spark.sparkContext.applicationId, _signature(spark, key[1]), *key)
     if key not in _SAVED:
         _SAVED[key] = make()
     return _SAVED[key]
@@ -58,12 +65,12 @@ def _forms(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _once(spark, ("forms", sf_dir), make)
 
 
-def _pairs(spark: SparkSession, sf_dir: str, method: str, base_only: bool = True) -> DataFrame:
+def _pairs(spark: SparkSession, sf_dir: str, method: str, base_only: bool = True, off: tuple[str, ...] = ()) -> DataFrame:
     def make() -> DataFrame:
         correct = grade.collect_correct(_correct_frame(spark, base_only))
-        return Workspace(spark, "pairs").save(grade.search_pairs(_forms(spark, sf_dir), correct, method))
+        return Workspace(spark, "pairs").save(grade.search_pairs(_forms(spark, sf_dir), correct, method, off=off))
 
-    return _once(spark, ("pairs", sf_dir, method, base_only), make)
+    return _once(spark, ("pairs", sf_dir, method, base_only, off), make)
 
 
 def _graded(spark: SparkSession, sf_dir: str, method: str, base_only: bool = True) -> DataFrame:
@@ -114,20 +121,44 @@ EXAMPLES: dict[str, tuple[str, str, bool, float, float]] = {
     "order_reorder": ("SELECT o_orderkey FROM orders ORDER BY o_orderdate, o_orderkey", "SELECT o_orderkey FROM orders ORDER BY o_orderkey, o_orderdate", False, 1.0, 1.0),
     "except_branch": ("SELECT c_custkey FROM customer EXCEPT SELECT o_custkey FROM orders WHERE o_orderstatus = 'F'", "SELECT c_custkey FROM customer EXCEPT SELECT o_custkey FROM orders WHERE o_orderstatus = 'O'", False, 1.0, 1.0),
     "aggregate": ("SELECT o_custkey, sum(o_totalprice) FROM orders GROUP BY o_custkey", "SELECT o_custkey, avg(o_totalprice) FROM orders GROUP BY o_custkey", False, 1.0, 1.0),
+    "group_by_insert": ("SELECT o_custkey, o_orderstatus, count(*) FROM orders GROUP BY o_custkey, o_orderstatus", "SELECT o_custkey, o_orderstatus, count(*) FROM orders GROUP BY o_custkey", False, 1.0, 1.0),
+    "group_by_delete": ("SELECT o_custkey, count(*) FROM orders GROUP BY o_custkey", "SELECT o_custkey, count(*) FROM orders GROUP BY o_custkey, o_orderstatus", False, 1.0, 1.0),
+    "group_by_replace": ("SELECT max(o_totalprice) FROM orders GROUP BY o_orderstatus", "SELECT max(o_totalprice) FROM orders GROUP BY o_orderpriority", False, 1.0, 1.0),
+    # By distance the join with the parent is redundant for the student: relation, join, condition and output differ.
+    "outer_join": ("SELECT c_custkey, o_orderkey FROM customer LEFT JOIN orders ON c_custkey = o_custkey", "SELECT c_custkey, o_orderkey FROM customer JOIN orders ON c_custkey = o_custkey", False, 4.0, 1.0),
+    # A subquery is worth its connective, relation and two conditions.
+    "subquery_insert": (
+        "SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_orderstatus = 'F')",
+        "SELECT c_custkey FROM customer", False, 4.0, 4.0,
+    ),
+    "subquery_delete": (
+        "SELECT c_custkey, c_name, c_acctbal FROM customer WHERE c_acctbal > 5",
+        "SELECT c_custkey, c_name, c_acctbal FROM customer WHERE c_acctbal > 5 AND NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_orderstatus = 'F')", False, 4.0, 4.0,
+    ),
+    # Between a block and a set operator the distance is what the larger is worth; the edit adds or drops one branch.
+    "except_insert": ("SELECT c_custkey FROM customer EXCEPT SELECT o_custkey FROM orders WHERE o_orderstatus = 'F'", "SELECT c_custkey FROM customer", False, 6.0, 4.0),
+    "intersect_insert": ("SELECT c_custkey FROM customer INTERSECT SELECT o_custkey FROM orders", "SELECT c_custkey, c_name FROM customer", False, 5.0, 4.0),
+    "union_delete": ("SELECT c_custkey, c_name FROM customer WHERE c_acctbal > 5", "SELECT c_custkey, c_name FROM customer WHERE c_acctbal > 5 UNION SELECT s_suppkey, s_name FROM supplier", False, 8.0, 4.0),
 }
+#: The same for edits that only the extended editor makes.
+EXTENDED: dict[str, tuple[str, str, bool, float, float]] = {
+    "set_kind": ("SELECT c_nationkey FROM customer INTERSECT SELECT s_nationkey FROM supplier", "SELECT c_nationkey FROM customer UNION SELECT s_nationkey FROM supplier", False, 1.0, 1.0),
+    "limit": ("SELECT p_name FROM part ORDER BY p_partkey LIMIT 5", "SELECT p_name FROM part ORDER BY p_partkey LIMIT 10", False, 1.0, 1.0),
+    "having": ("SELECT o_custkey FROM orders GROUP BY o_custkey HAVING count(*) > 3", "SELECT o_custkey FROM orders GROUP BY o_custkey HAVING count(*) > 2", False, 1.0, 1.0),
+}
 
 
 def measure_example(name: str) -> tuple[float, float, float]:
     """(distance, exhaustive cost, greedy cost)"""
-    correct, student, declared, _, _ = EXAMPLES[name]
+    correct, student, declared, _, _ = (EXAMPLES | EXTENDED)[name]
     catalog = default_catalog().changed(participation=(("orders", "o_custkey"),)) if declared else default_catalog()
     c = Correct.of(name, correct, catalog)
     tree, shared = canon.prepare(student, catalog)
-    s = Searcher(catalog)
+    s = Searcher(catalog, extended=name in EXTENDED)
     return distance.edit_distance(canon.semantic(tree, catalog), c.canonical), s.shortest(tree, c, shared).cost, s.greedy(tree, c, shared).cost
 
 
-for _name, _e in EXAMPLES.items():
+for _name, _e in (EXAMPLES | EXTENDED).items():
     _add(f"path_{_name}", lambda s, d, n=_name: s.createDataFrame([measure_example(n)], "distance double, exhaustive double, greedy double"), _values([(_e[3], _e[4], _e[4])], "distance, exhaustive, greedy"))
 
 _FRONTIER = [(f"{q}-{m}", q, m) for q in (5, 8, 13) for m in (0, 1, 6, 13)]
@@ -138,6 +169,46 @@ _add(
 )
 
 
+#: Columns of part whose conditions a student gets wrong, all at once: the ways to mend them multiply.
+_HARD_COLUMNS = ("p_size", "p_retailprice", "p_partkey", "p_name", "p_brand", "p_type")
+
+
+def hard_pair(n: int) -> tuple[str, str]:
+    """(correct, student): n conditions, each with another constant."""
+    said = lambda k: " AND ".join(f"{c} < '{k}x'" if c in ("p_name", "p_brand", "p_type") else f"{c} < {k}0" for c in _HARD_COLUMNS[:n])
+    return tuple(f"SELECT p_partkey, p_name, p_brand, p_type, p_size FROM part WHERE {said(k)}" for k in (3, 4))
+
+
+def _hard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """conditions, cost of both searches, and whether the exhaustive one took more states than the greedy one."""
+    catalog, rows = default_catalog(), []
+    for n in (2, 3, 4):
+        correct, student = hard_pair(n)
+        c, tree, s = Correct.of("c", correct, catalog), canon.prepare(student, catalog)[0], Searcher(catalog)
+        e, g = s.shortest(tree, c), s.greedy(tree, c)
+        rows.append((n, e.cost, g.cost, e.states > g.states))
+    return spark.createDataFrame(rows, "conditions int, exhaustive double, greedy double, more_states boolean")
+
+
+_add("path_hard", _hard, _values([(n, float(n), float(n), True) for n in (2, 3, 4)], "conditions, exhaustive, greedy, more_states"))
+
+
+def _capped(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Searches stopped after five states, and the same pairs finished by the search over a table."""
+    pairs = [hard_pair(n) for n in (1, 2, 3)]
+    forms = Workspace(spark, "forms").save(grade.with_forms(spark.createDataFrame([(n + 1, p[1]) for n, p in enumerate(pairs)], "question int, sql string")))
+    rights = [(n + 1, "c", p[0]) for n, p in enumerate(pairs)]
+    stopped = Workspace(spark, "stopped").save(grade.search_pairs(forms, rights, "exhaustive", most_states=5))
+    done = grade.finish_capped(stopped, forms, rights).select("question", "cost", F.round("marks", 6).alias("marks"), "status", F.col("n_edits").cast("long").alias("n_edits"))
+    return done.join(stopped.select("question", (F.col("status") == "capped").alias("was_capped"), F.col("marks").isNull().alias("had_no_marks")), "question")
+
+
+_add(
+    "path_capped_then_finished", _capped,
+    _values([(n, float(n), round(6 / (6 + n), 6), "exact", n, n > 1, n > 1) for n in (1, 2, 3)], "question, cost, marks, status, n_edits, was_capped, had_no_marks"),
+)
+
+
 # -- workloads and rules: Spark runs the canonical rendering, the oracle is the text as written
 def _run(sql: str, declared: bool = False) -> Query:
     def go(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -220,76 +291,140 @@ _add(
     lambda s, d: s.createDataFrame(_BUCKETS, "a double, b double").select("a", "b", measures.bucket(F.col("a"), F.col("b")).alias("bucket"), measures.bucket(F.col("a"), F.col("b"), relative=True).alias("relative")),
     f"SELECT a, b, CASE WHEN round(abs(a - b), 9) >= 0.1 THEN CASE WHEN a > b THEN 'first' ELSE 'second' END ELSE 'same' END AS bucket, CASE WHEN round(abs(a - b), 9) >= round(0.1 * greatest(a, b), 9) AND a <> b THEN CASE WHEN a > b THEN 'first' ELSE 'second' END ELSE 'same' END AS relative FROM ({_values(_BUCKETS, 'a, b')})",
 )
-_TEXTS = {q: {m: corpus.submission_text(q, m, 0) for m in range(32)} for q in (5, 6)}
+_THIN = {"orders": "o_orderkey % 3 = 1", "lineitem": "l_orderkey % 15 = 1"}
 
 
-def _judged(spark: SparkSession, sf_dir: str, question: int) -> DataFrame:
-    """mask, data_correct (on the tables as they are), canonical_match."""
-    whole = {"fixed": {t: df for t, df in read_tables(spark, sf_dir, datasets.STAR).items()}}
-    told = datasets.verdicts(spark, {str(m): t for m, t in _TEXTS[question].items()}, wl.CORRECT[wl.BASE[question]], whole)
-    catalog = default_catalog()
-    want = canon.canonical_text(wl.CORRECT[wl.BASE[question]], catalog)
-    forms = spark.createDataFrame([(str(m), canon.canonical_text(t, catalog) == want) for m, t in _TEXTS[question].items()], "query string, canonical_match boolean")
-    return told.join(forms, "query").select(F.lit(question).alias("question"), F.col("query").cast("int").alias("mask"), F.col("passed").alias("data_correct"), "canonical_match")
-
-
-def _fixed_sql(question: int, match: bool = False) -> str:
-    """The same judgement by multiset differences, from the texts as written."""
-    right = wl.CORRECT[wl.BASE[question]]
-    names = [c for c in corpus.EXERCISES[question].blocks[0].items]
-    parts = []
-    for m, t in _TEXTS[question].items():
-        width = len(names) - (m & 1) if len(names) > 1 else 1
-        same = f"NOT EXISTS ((SELECT * FROM ({t})) EXCEPT ALL ({right})) AND NOT EXISTS (({right}) EXCEPT ALL (SELECT * FROM ({t})))" if width == len(names) else "FALSE"
-        cost = sum(k for i, k in enumerate(corpus.COSTS[question]) if m >> i & 1)
-        parts.append(f"SELECT {question} AS question, {m} AS mask, {same} AS data_correct, {str(cost == 0).upper()} AS canonical_match")
-    return " UNION ALL ".join(parts)
-
-
-for _q in (5, 6):
-    _add(f"base_fixed_dataset_q{_q}", lambda s, d, q=_q: _judged(s, d, q), _fixed_sql(_q))
-    _add(
-        f"rep_equivalence_q{_q}",
-        lambda s, d, q=_q: measures.equivalence_report(_judged(s, d, q).withColumn("truly_correct", F.col("canonical_match"))).select("question", "submitted", "data", "canon", "false_pos_data"),
-        f"SELECT question, count(*) AS submitted, count(*) FILTER (data_correct) AS data, count(*) FILTER (canonical_match) AS canon, count(*) FILTER (data_correct AND NOT canonical_match) AS false_pos_data FROM ({_fixed_sql(_q)}) GROUP BY question",
-    )
-
-
-def _fairness(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All pairs of the forms of a question: a stated set of at most 496. The reference is the hand-derived marks."""
-    hand = [(q, canon_form, max(0.0, corpus.TOTALS[q] - c) / corpus.TOTALS[q]) for q in corpus.EXERCISES for m in range(32) for c in [float(sum(k for i, k in enumerate(corpus.COSTS[q]) if m >> i & 1))] for canon_form in [corpus.submission_text(q, m, 0)]]
-    ref = spark.createDataFrame(list({(q, t): (q, t, r) for q, t, r in hand}.values()), "question int, sql string, ref double")
-    forms = _forms(spark, sf_dir).where("parse_error is null").select("question", "sql", "form")
-    marked = ref.join(grade.with_forms(ref.select("question", "sql")).select("question", "sql", "form"), ["question", "sql"]).join(_pairs(spark, sf_dir, "greedy").select("question", "form", "marks", "distance_marks"), ["question", "form"])
-    marked = marked.join(forms.select("question", "form").distinct(), ["question", "form"], "left_semi")
-    a, b = (marked.select("question", F.col("form").alias(f"f{k}"), F.col("ref").alias(f"ref_{k}"), F.col("distance_marks").alias(f"distance_{k}"), F.col("marks").alias(f"edit_{k}")) for k in (1, 2))
-    return measures.fairness_report(a.join(b, "question").where("f1 < f2"))
+def class_texts(question: int) -> dict[str, str]:
+    """Every combination of faults in the first spelling, and two forms that rules are known to miss: the right query
+    united and intersected with itself."""
+    right = corpus.submission_text(question, 0, 0)
+    return {str(m): corpus.submission_text(question, m, 0) for m in range(32)} | {"united": f"({right}) UNION ({right})", "intersected": f"({right}) INTERSECT ({right})"}
 
 
+def _class_rows(question: int) -> dict[str, list[tuple]]:
+    """Rows made for the conditions of the right query and of those with another or one more condition."""
+    out: dict[str, list[tuple]] = {}
+    for m in (0, 2, 4):
+        for t, rows in verdict.made_rows(corpus.submission_text(question, m, 0), default_catalog(), 1 + 100 * m).items():
+            out.setdefault(t, []).extend(rows)
+    return out
+
+
+def _judged(spark: SparkSession, sf_dir: str, question: int) -> DataFrame:
+    """question, text, data_correct (on the tables as they are), canonical_match, truly_correct (on those, on thinner
+    ones and on ones with rows made for the conditions). Only one query of each canonical form runs."""
+
+    def make() -> DataFrame:
+        catalog, tables = default_catalog(), read_tables(spark, sf_dir, datasets.STAR)
+        texts, right = class_texts(question), wl.CORRECT[wl.BASE[question]]
+        form = {k: canon.canonical_text(t, catalog) for k, t in texts.items()}
+        first = {f: k for k, f in reversed(form.items())}
+        thin = tables | {t: tables[t].where(c) for t, c in _THIN.items()}
+        made = tables | {t: tables[t].unionByName(spark.createDataFrame(rows, tables[t].schema)) for t, rows in _class_rows(question).items()}
+        passed = lambda names, data: {r["query"] for r in datasets.verdicts(spark, {k: texts[k] for k in names}, right, {"d": data}).collect() if r["passed"]}
+        fixed = passed(first.values(), tables)
+        true = passed(fixed, thin) & passed(fixed, made) if fixed else set()
+        rows = [(question, k, first[form[k]] in fixed, form[k] == canon.canonical_text(right, catalog), first[form[k]] in true) for k in texts]
+        return Workspace(spark, "judged").save(spark.createDataFrame(rows, "question int, text string, data_correct boolean, canonical_match boolean, truly_correct boolean"))
+
+    return _once(spark, ("judged", sf_dir, question), make)
+
+
+def _judged_sql(question: int) -> str:
+    """The same judgement from the texts as written: a table's name is that of the table in a dataset, and digests of
+    whole results are compared. A canonical match is expected where the hand-derived cost is 0."""
+    import datetime
+    import re
+
+    show = lambda v: f"TIMESTAMP '{v}'" if isinstance(v, datetime.datetime) else "'" + v.replace("'", "''") + "'" if isinstance(v, str) else f"{v!r}::DOUBLE" if isinstance(v, float) else str(v)
+    tables = [f"{t}__thin AS (SELECT * FROM {t}{' WHERE ' + _THIN[t] if t in _THIN else ''})" for t in datasets.STAR]
+    made = _class_rows(question)
+    for t in datasets.STAR:
+        more = f" UNION ALL SELECT * FROM (VALUES {', '.join('(' + ', '.join(map(show, r)) + ')' for r in made[t])}) v" if t in made else ""
+        tables.append(f"{t}__made AS (SELECT * FROM {t}{more})")
+    on = lambda sql, data: re.sub(rf"\b({'|'.join(datasets.STAR)})\b", lambda m: m[1] + data, sql)
+    texts = {**class_texts(question), "right": wl.CORRECT[wl.BASE[question]]}
+    parts = [f"SELECT '{k}' AS text, '{d}' AS data, count(*) AS n, sum(hash(x)) AS h FROM ({on(t, d)}) x" for k, t in texts.items() for d in ("", "__thin", "__made")]
+    costs = {str(m): sum(c for i, c in enumerate(corpus.COSTS[question]) if m >> i & 1) for m in range(32)}
+    hand = ", ".join(f"('{k}', {str(costs.get(k) == 0).upper()})" for k in class_texts(question))
+    return f"""WITH {', '.join(tables)}, told AS ({' UNION ALL '.join(parts)}),
+same AS (SELECT a.text, a.data, a.n = b.n AND a.h IS NOT DISTINCT FROM b.h AS same FROM told a JOIN told b ON b.text = 'right' AND a.data = b.data)
+SELECT {question} AS question, c.text, bool_and(same) FILTER (data = '') AS data_correct, c.matched AS canonical_match, bool_and(same) AS truly_correct
+FROM (VALUES {hand}) c(text, matched) JOIN same s ON s.text = c.text GROUP BY c.text, c.matched"""
+
+
+_REPORT_SQL = """SELECT question, count(*) AS submitted, count(*) FILTER (data_correct) AS data, count(*) FILTER (canonical_match) AS canon,
+count(*) FILTER (data_correct AND NOT truly_correct) AS false_pos_data,
+round(100.0 * count(*) FILTER (canonical_match) / count(*) FILTER (data_correct AND truly_correct), 1) AS accuracy FROM"""
+for _q in range(1, 16):
+    _add(f"base_fixed_dataset_q{_q}", lambda s, d, q=_q: _judged(s, d, q), _judged_sql(_q))
+    _add(f"rep_equivalence_q{_q}", lambda s, d, q=_q: measures.equivalence_report(_judged(s, d, q)), f"{_REPORT_SQL} ({_judged_sql(_q)}) GROUP BY question")
+
+
+#: Rules that turn outer joins inner and drop redundant relations: without them marks are less lenient.
+_LENIENT = ("C7", "C7b", "C8", "C9", "C10")
+
+
+def _fairness(spark: SparkSession, sf_dir: str, off: tuple[str, ...] = ()) -> DataFrame:
+    """All pairs of the incorrect forms of a question: a stated set of at most 465. The reference is the hand-derived marks."""
+    cost = {(q, m): sum(c for i, c in enumerate(corpus.COSTS[q]) if m >> i & 1) for q in corpus.EXERCISES for m in range(32)}
+    hand = {(q, corpus.submission_text(q, m, 0)): max(0.0, corpus.TOTALS[q] - c) / corpus.TOTALS[q] for (q, m), c in cost.items() if c}
+    ref = spark.createDataFrame([(*k, r) for k, r in hand.items()], "question int, sql string, ref double")
+    marked = ref.join(grade.with_forms(ref.select("question", "sql")).select("question", "sql", "form"), ["question", "sql"])
+    marked = marked.join(_pairs(spark, sf_dir, "greedy", off=off).select("question", "form", "marks", "distance_marks"), ["question", "form"])
+
+    def side(k: int) -> DataFrame:
+        return marked.select("question", F.col("form").alias(f"f{k}"), F.col("ref").alias(f"ref_{k}"), F.col("distance_marks").alias(f"distance_{k}"), F.col("marks").alias(f"edit_{k}"))
+
+    return measures.fairness_report(side(1).join(side(2), "question").where("f1 < f2"))
+
+
+#: Texts differ for all masks but those whose fault has no text: the second of question 1, the fourth of question 13.
+_PAIRS_OF = {q: len({m & ~2 if q == 1 else m & ~8 if q == 13 else m for m in range(32) if sum(c for i, c in enumerate(corpus.COSTS[q]) if m >> i & 1)}) for q in corpus.COSTS}
 _add("rep_fairness", _fairness)
-_add("rep_fairness_edit_match", lambda s, d: _fairness(s, d).select("question", (F.col("edit_matches") == F.col("pairs")).alias("all_match"), (F.col("edit_matches") >= F.col("distance_matches")).alias("no_worse")), _values([(q, True, True) for q in range(1, 16)], "question, all_match, no_worse"))
+_add(
+    "rep_fairness_edit_match",
+    lambda s, d: _fairness(s, d).select("question", "pairs", "edit_matches", (F.col("edit_matches") >= F.col("distance_matches")).alias("no_worse")),
+    _values([(q, n * (n - 1) // 2, n * (n - 1) // 2, True) for q, n in _PAIRS_OF.items()], "question, pairs, edit_matches, no_worse"),
+)
+
+
+def _fairness_without(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Matches of distance and edit marks with all rules and without the lenient ones."""
+    picked = lambda df, x: df.select("question", "pairs", F.col("distance_matches").alias(f"distance_{x}"), F.col("edit_matches").alias(f"edit_{x}"))
+    return picked(_fairness(spark, sf_dir), "all").join(picked(_fairness(spark, sf_dir, _LENIENT), "without"), ["question", "pairs"])
+
+
+_add("rep_fairness_without_rules", _fairness_without)
 _add(
     "rep_search_match",
     lambda s, d: measures.search_report(_pairs(s, d, "greedy"), _pairs(s, d, "exhaustive")).select("question", "pairs", "finished", "matches", "match_share"),
     TRUTH_SQL + ", forms AS (SELECT question, count(DISTINCT CASE WHEN question = 1 THEN mask & ~2 WHEN question = 13 THEN mask & ~8 ELSE mask END) AS n FROM truth GROUP BY question) SELECT question, n AS pairs, n AS finished, n AS matches, 100.0 AS match_share FROM forms",
 )
 _add("rep_search_times", lambda s, d: measures.search_report(_pairs(s, d, "greedy"), _pairs(s, d, "exhaustive")))
-_KILLED = ("w03", "w05a", "w08a")
+_KILLED = ("w03", "w05a", "w06b", "w08a", "w13")
 _GROUPED = "SELECT o_custkey, o_orderstatus, sum(o_totalprice) AS worth FROM orders WHERE o_orderpriority LIKE '1%' GROUP BY o_custkey, o_orderstatus"
 
 
 def _kills(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Mutants of queries with all eight kinds of changes, on a slice without and with rows made for the conditions."""
+
     def make() -> DataFrame:
         data = datasets.kill_datasets(read_tables(spark, sf_dir, datasets.STAR))
-        edge = {"edge": datasets.boundary(datasets.boundary(data["whole"], "part", "p_size", [24, 25, 26]), "customer", "c_acctbal", [4999, 5000, 5001])}
-        texts = {**{k: wl.CORRECT[k] for k in _KILLED}, "grouped": _GROUPED}
-        parts = [datasets.kill_matrix(spark, t, {k: data[k] for k in ("slice1", "sparse")} | edge).withColumn("query", F.lit(q)) for q, t in texts.items()]
-        return Workspace(spark, "kills").save(reduce(DataFrame.unionByName, parts))
+        ws, parts = Workspace(spark, "kills"), []
+        for q, t in {**{k: wl.CORRECT[k] for k in _KILLED}, "grouped": _GROUPED}.items():
+            own = {"slice1": data["slice1"], "made": verdict.made_for(spark, [t], data["slice1"])}
+            parts.append(ws.save(datasets.kill_matrix(spark, t, own).withColumn("query", F.lit(q))))
+        return ws.save(reduce(DataFrame.unionByName, parts))
 
     return _once(spark, ("kills", sf_dir), make)
 
 
 _add("rep_kills", lambda s, d: measures.kill_report(_kills(s, d)))
+_add(
+    "rep_kill_kinds", lambda s, d: measures.kill_report(_kills(s, d)).select("kind", (F.col("killed") > 0).alias("some_killed")),
+    _values([(k, True) for k in ("join", "comparison", "aggregate", "group_by", "like", "subquery", "set_op", "distinct")], "kind, some_killed"),
+)
 _add("rep_kill_matrix", lambda s, d: _kills(s, d).select("query", "mutant", "kind", "change", "killed", "by"))
 
 
@@ -298,7 +433,7 @@ def _ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     """rule, equal, of: how many of the rule pairs keep one canonical form without the rule; "-" is the full set."""
     catalog = default_catalog()
     rows = []
-    for rule in ("-", *(f"S{k}" for k in (3, 4, 5, 7, 8, 9, 11, 12, 13)), *(f"C{k}" for k in range(1, 18))):
+    for rule in ("-", *(f"S{k}" for k in (3, 4, 5, 7, 8, 9, 11, 12, 13)), "C7b", *(f"C{k}" for k in range(1, 18))):
         off = () if rule == "-" else (rule,)
         rows.append((rule, sum(canon.canonical_text(a, catalog, off) == canon.canonical_text(b, catalog, off) for a, b in wl.RULE_PAIRS.values()), len(wl.RULE_PAIRS)))
     return spark.createDataFrame(rows, "rule string, equal int, of int")
@@ -344,15 +479,38 @@ def _naive(spark: SparkSession, sf_dir: str) -> DataFrame:
 _add("base_datasets_fraction", _naive, _values([("reversed", 0.25, 0, round(2 / 3, 6)), ("unrelated", 0.5, 0, 0.0), ("right", 1.0, 1, 1.0)], "query, marks, all_or_nothing, path_marks"))
 
 
+_TWO = "SELECT DISTINCT c_custkey, c_name FROM customer, orders WHERE c_custkey = o_custkey AND o_orderstatus = 'F' AND o_orderpriority = '1-URGENT'"
+#: question, student, text, correct, reason: a cross join that DISTINCT undoes is right though no rule sees it, and one
+#: more condition that the tables satisfy is wrong; the second query of question 14 asks for something else, and is right.
+_CLASS = [
+    (5, "same", corpus.submission_text(5, 0, 4), True, "canonical form"),
+    (5, "other form", wl.CORRECT["w05b"], True, "canonical form"),
+    (5, "wrong", corpus.submission_text(5, 2, 0), False, "datasets of the correct queries"),
+    (5, "cross", corpus.submission_text(5, 16, 0), True, "all datasets"),
+    (5, "extra", f"{_TWO} AND o_totalprice > -1", False, "datasets of the student's query"),
+    (5, "united", f"({_TWO}) UNION ({_TWO})", True, "all datasets"),
+    (5, "syntax", "SELECT FROM", False, "error: expected a name before 'FROM'"),
+    (14, "second", wl.CORRECT["w14b"], True, "canonical form"),
+    (14, "cross", corpus.submission_text(14, 16, 0), True, "all datasets"),
+    (3, "many rows", "SELECT p_name FROM part WHERE p_size > (SELECT p_size FROM part)", False, "does not run"),
+]
+
+
 def _combined(spark: SparkSession, sf_dir: str) -> DataFrame:
-    t = read_tables(spark, sf_dir, datasets.STAR)
-    right = [wl.CORRECT["w05a"], wl.CORRECT["w05b"]]
-    own = {"own": datasets.boundary(t, "customer", "c_acctbal", [99999.0])}
-    students = {"same": corpus.submission_text(5, 0, 4), "other form": wl.CORRECT["w05b"], "wrong": corpus.submission_text(5, 2, 0), "cross": corpus.submission_text(5, 16, 0), "extra": "SELECT DISTINCT c_custkey, c_name FROM customer, orders WHERE c_custkey = o_custkey AND o_orderstatus = 'F' AND o_orderpriority = '1-URGENT' AND o_totalprice > -1"}
-    return spark.createDataFrame([(k, *datasets.combined_verdict(spark, q, right, {"whole": t}, own)) for k, q in students.items()], "student string, correct boolean, reason string")
+    def make() -> DataFrame:
+        subs = spark.createDataFrame([c[:3] for c in _CLASS], "question int, student string, sql string")
+        told = verdict.run_grading(subs, _correct_frame(spark).where("question IN (3, 5, 14)"), read_tables(spark, sf_dir, datasets.STAR))
+        return Workspace(spark, "graded").save(told)
 
+    return _once(spark, ("combined", sf_dir), make)
 
-_add("ver_combined", _combined, _values([("same", True, "canonical form"), ("other form", True, "canonical form"), ("wrong", False, "datasets of the correct query"), ("cross", True, "all datasets"), ("extra", True, "all datasets")], "student, correct, reason"))
+
+_add("ver_combined", lambda s, d: _combined(s, d).select("question", "student", "correct", "reason"), _values([(c[0], c[1], *c[3:]) for c in _CLASS], "question, student, correct, reason"))
+# The condition too many costs one of the eight marks of the first correct query; the changed constant as well.
+_add(
+    "ver_run_grading", lambda s, d: _combined(s, d).where("question = 5").select("student", F.round("marks", 6).alias("marks"), (F.col("feedback") == "Correct.").alias("told_correct")),
+    _values([(c[1], {"wrong": 0.875, "extra": 0.875, "syntax": 0.0}.get(c[1], 1.0), c[3]) for c in _CLASS if c[0] == 5], "student, marks, told_correct"),
+)
 
 # -- clusters: masks with one canonical form. Faults without cost vanish; DISTINCT on a key stays while a cross join repeats rows.
 _SIGNATURE = "CASE WHEN question IN (1, 2) THEN CASE WHEN mask & 16 = 0 THEN mask & ~8 ELSE mask END WHEN question IN (4, 5, 10, 13) THEN mask & ~8 ELSE mask END"

@@ -21,30 +21,31 @@ from .grade import vars_of
 STATES = "pair string, key string, state binary, left double, total double, edits string, goal boolean"
 
 
-def shortest_path_frontier(pairs: DataFrame, catalog: Catalog | None = None, weights: Weights = Weights(), most_rounds: int = 200) -> DataFrame:
+def shortest_path_frontier(pairs: DataFrame, catalog: Catalog | None = None, weights: Weights = Weights(), off: tuple[str, ...] = ()) -> DataFrame:
     """pair, marks, cost, edits for each pair (pair, student, correct).
 
     A round takes, for each pair, all open states with the most marks left, expands them in workers, keeps the best
     of equal states in one aggregation and leaves out those that were taken. A goal ends its pair as soon as no open
-    state has more marks. Only one count a round comes to the driver.
+    state has more marks. It goes on until no pair has an open state: costs use marks up, and states that were taken
+    never open again. Pairs without a way that leaves marks get 0 and no cost. Only one count a round comes to the driver.
     """
     catalog = catalog or default_catalog()
     ws = Workspace(pairs.sparkSession, "frontier")
 
     def begin(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        searcher = Searcher(catalog, weights)
+        searcher = Searcher(catalog, weights, off)
         for frame in frames:
             rows = []
             for pair, student, correct in zip(frame["pair"], frame["student"], frame["correct"]):
-                c = Correct.of("c", correct, catalog, weights)
-                tree, shared = canon.prepare(student, catalog)
+                c = Correct.of("c", correct, catalog, weights, off)
+                tree, shared = canon.prepare(student, catalog, off)
                 tree = searcher.start(tree, c)
                 key = canon.text(tree)
                 rows.append((str(pair), key, pickle.dumps((tree, c.tree, c.text, shared)), c.total, c.total, "[]", searcher.equal(tree, key, c)))
             yield pd.DataFrame(rows, columns=[x.split()[0] for x in STATES.split(", ")])
 
     def expand(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        searcher = Searcher(catalog, weights)
+        searcher = Searcher(catalog, weights, off)
         for frame in frames:
             rows = []
             for pair, data, left, total, edits in zip(frame["pair"], frame["state"], frame["left"], frame["total"], frame["edits"]):
@@ -60,7 +61,7 @@ def shortest_path_frontier(pairs: DataFrame, catalog: Catalog | None = None, wei
     open_ = ws.save(pairs.select("pair", "student", "correct").mapInPandas(begin, STATES), "open")
     closed = ws.save(open_.select("pair", "key").where("false"), "closed")
     found = None
-    for _ in range(most_rounds):
+    while True:
         top = open_.groupBy("pair").agg(F.max("left").alias("top"))
         ranked = open_.join(top, "pair")
         goals = ranked.where("goal and left >= top - 1e-9").groupBy("pair").agg(F.min_by(F.struct("left", "total", "edits"), F.struct("key")).alias("g")).select("pair", "g.*")

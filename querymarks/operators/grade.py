@@ -15,9 +15,12 @@ from pyspark.sql import functions as F
 
 from ..plans import canon, distance
 from ..plans.ir import GradingError, Unsupported
-from ..plans.search import MOST_STATES, Correct, Searcher
+from ..plans.search import MOST_STATES, Correct, Found, Searcher
+from ..session import Workspace
 from ..sources.catalog import Catalog, default_catalog
 
+#: Forms that one task of a search takes.
+SPREAD = 64
 #: Correct queries that are sent to the tasks; more would need a join by question.
 MOST_CORRECT = 5_000
 FORMS = "question int, sql string, parse_error string, form string, canonical_sql string, canonical_hash long, size long, total double"
@@ -67,13 +70,16 @@ def collect_correct(correct: DataFrame) -> list[tuple[int, str, str]]:
 PAIRS = "question int, form string, cq_id string, marks double, cost double, n_edits int, edits string, status string, states long, peak long, ms double, distance double, distance_marks double, equal boolean, components string"
 
 
-def search_pairs(forms: DataFrame, correct: list[tuple[int, str, str]], method: str = "greedy", catalog: Catalog | None = None, weights: distance.Weights = distance.Weights(), off: tuple[str, ...] = (), most_states: int = MOST_STATES) -> DataFrame:
+def search_pairs(forms: DataFrame, correct: list[tuple[int, str, str]], method: str = "greedy", catalog: Catalog | None = None, weights: distance.Weights = distance.Weights(), off: tuple[str, ...] = (), most_states: int | None = MOST_STATES) -> DataFrame:
     """A row for each distinct form and correct query of its question. One pass in workers; nothing is shuffled but
-    the forms, which are spread by hash so that costly neighbours part."""
+    the forms, which are spread by hash so that costly neighbours part: SPREAD of them in a task, or one for each core.
+    A search that stops at ``most_states`` has status capped and no marks; one that fails has status error, no marks
+    and ends nobody else's. finish_capped() completes the former."""
     catalog = catalog or default_catalog()
     spark = forms.sparkSession
     one = forms.where("parse_error is null").groupBy("question", "form").agg(F.min("sql").alias("sql"))
-    spread = one.repartition(max(8, spark.sparkContext.defaultParallelism * 4), F.xxhash64("form"))
+    one = Workspace(spark, "forms").save(one)
+    spread = one.repartition(max(spark.sparkContext.defaultParallelism, -(-one.count() // SPREAD)), F.xxhash64("form"))
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         searcher, prepared = Searcher(catalog, weights, off, most_states=most_states), {}
@@ -87,44 +93,81 @@ def search_pairs(forms: DataFrame, correct: list[tuple[int, str, str]], method:
                 for c in prepared[question]:
                     parts = distance.components(full, c.canonical, weights)
                     d = sum(weights.of(k) * v for k, v in parts.items())
-                    found = (searcher.greedy if method == "greedy" else searcher.shortest)(tree, c, shared)
+                    try:
+                        found = (searcher.greedy if method == "greedy" else searcher.shortest)(tree, c, shared)
+                    except (RuntimeError, RecursionError, ValueError, KeyError, IndexError, AttributeError, TypeError):
+                        found = Found(None, None, [], "error")
                     edits = json.dumps([vars_of(e) for e in found.edits])
-                    rows.append((question, form, c.cq_id, found.marks, found.cost, len(found.edits), edits, found.status, found.states, found.peak, found.ms, d, max(0.0, c.total - d) / c.total if c.total else 0.0, canon.text(full) == c.text, json.dumps({k: v for k, v in parts.items() if v})))
-            yield pd.DataFrame(rows, columns=[x.split()[0] for x in PAIRS.split(", ")])
+                    by_distance = max(0.0, c.total - d) / c.total if c.total else 0.0
+                    differing = json.dumps({k: v for k, v in parts.items() if v})
+                    row = (question, form, c.cq_id, found.marks, found.cost, len(found.edits), edits, found.status, found.states, found.peak, found.ms)
+                    rows.append((*row, d, by_distance, canon.text(full) == c.text, differing))
+            yield pd.DataFrame(rows, columns=[x.split()[0] for x in PAIRS.split(", ")]).astype({"marks": float, "cost": float})
 
     return spread.mapInPandas(work, PAIRS)
 
 
+def finish_capped(pairs: DataFrame, forms: DataFrame, correct: list[tuple[int, str, str]], catalog: Catalog | None = None, weights: distance.Weights = distance.Weights(), off: tuple[str, ...] = ()) -> DataFrame:
+    """``pairs`` with the capped ones finished by the search over a table, whose open states may fill a cluster."""
+    from .frontier import shortest_path_frontier
+
+    ws = Workspace(pairs.sparkSession, "capped")
+    pairs = ws.save(pairs, "pairs")
+    capped = pairs.where("status = 'capped'")
+    if capped.isEmpty():
+        return pairs
+    rights = pairs.sparkSession.createDataFrame(correct, "question int, cq_id string, correct string")
+    name = F.to_json(F.struct("question", "form", "cq_id")).alias("pair")
+    texts = forms.where("parse_error is null").groupBy("question", "form").agg(F.min("sql").alias("student"))
+    todo = capped.select("question", "form", "cq_id").join(texts, ["question", "form"]).join(F.broadcast(rights), ["question", "cq_id"])  # rights: at most MOST_CORRECT
+    done = shortest_path_frontier(todo.select(name, "student", "correct"), catalog, weights, off)
+    done = done.select("pair", F.col("marks").alias("f_marks"), F.col("cost").alias("f_cost"), F.col("edits").alias("f_edits"))
+    joined = pairs.withColumn("pair", F.when(F.col("status") == "capped", name)).join(done, "pair", "left")
+    new = {
+        "marks": F.coalesce("f_marks", "marks"), "cost": F.coalesce("f_cost", "cost"), "edits": F.coalesce("f_edits", "edits"),
+        "n_edits": F.when(F.col("f_edits").isNotNull(), F.json_array_length("f_edits")).otherwise(F.col("n_edits")),
+        "status": F.when(F.col("f_cost").isNotNull(), "exact").when(F.col("f_marks").isNotNull(), "none").otherwise(F.col("status")),
+    }
+    return joined.select(*(new.get(c, F.col(c)).alias(c) for c in pairs.columns))
+
+
 def vars_of(e: object) -> dict:
     return {k: getattr(e, k) for k in ("op", "component", "path", "before", "after", "cost")}
 
 
 def best_of(pairs: DataFrame) -> DataFrame:
-    """The best correct query of each form: most marks, then least cost, then the first id."""
-    order = F.struct(-F.round("marks", 9), F.round("cost", 9), "cq_id")
+    """The best correct query of each form: most marks, then least cost, then the first id; unfinished searches last."""
+    order = F.struct(F.col("marks").isNull(), -F.round("marks", 9), F.round("cost", 9), "cq_id")
     rest = [c for c in pairs.columns if c not in ("question", "form")]
     return pairs.groupBy("question", "form").agg(F.min_by(F.struct(*rest), order).alias("b")).select("question", "form", "b.*")
 
 
 def attach(subs: DataFrame, forms: DataFrame, graded: DataFrame) -> DataFrame:
     """Back to submissions. Texts that do not parse get no marks and their message. Hot texts are split by the
-    adaptive join; neither side is broadcast unless the engine sees that it is small."""
+    adaptive join; neither side is broadcast unless the engine sees that it is small. Columns of ``subs`` that are named
+    like results keep their place, and the results replace them."""
     known = forms.select("question", "sql", "parse_error", "form", "canonical_sql", "canonical_hash", "size")
     rest = [c for c in graded.columns if c not in ("question", "form")]
-    joined = subs.join(known, ["question", "sql"], "left").join(graded, ["question", "form"], "left")
-    zero = {c: F.coalesce(c, F.lit(0.0)).alias(c) for c in ("marks", "distance_marks") if c in rest}
-    return joined.select(*subs.columns, "parse_error", "canonical_sql", "canonical_hash", "size", *(zero.get(c, F.col(c)) for c in rest))
+    known = known.join(graded, ["question", "form"], "left")
+    zero = lambda c: F.when(F.col("status").isin("capped", "error"), F.col(c)).otherwise(F.coalesce(c, F.lit(0.0)))
+    results = {c: F.col(c) for c in ("parse_error", "canonical_sql", "canonical_hash", "size", *rest)}
+    results |= {c: zero(c).alias(c) for c in ("marks", "distance_marks") if c in rest}
+    own = [c for c in subs.columns if c not in results]
+    return subs.select(*own).join(known.select("question", "sql", *results.values()), ["question", "sql"], "left").select(*own, *results)
 
 
 def grade(subs: DataFrame, correct: DataFrame, weights: distance.Weights = distance.Weights(), method: str = "greedy", catalog: Catalog | None = None, off: tuple[str, ...] = ()) -> DataFrame:
     """Every submission with its verdict by canonical form, marks (share), cost, edits (JSON) and best correct query."""
     forms = with_forms(unique_texts(subs), catalog, weights, off)
-    graded = best_of(search_pairs(forms, collect_correct(correct), method, catalog, weights, off))
+    rights = collect_correct(correct)
+    pairs = search_pairs(forms, rights, method, catalog, weights, off)
+    graded = best_of(pairs if method == "greedy" else finish_capped(pairs, forms, rights, catalog, weights, off))
     return attach(subs, forms, graded)
 
 
 def with_equivalence(subs: DataFrame, correct: DataFrame, catalog: Catalog | None = None, off: tuple[str, ...] = ()) -> DataFrame:
     """subs with canonical_match: some correct query of the question has the same canonical text."""
+    collect_correct(correct)  # few, or an error
     forms = with_forms(unique_texts(subs), catalog, off=off)
     truths = with_forms(correct.select("question", "sql"), catalog, off=off).where("canonical_hash is not null").select("question", "canonical_hash", "canonical_sql").distinct()
     matched = forms.join(F.broadcast(truths.withColumn("hit", F.lit(True))), ["question", "canonical_hash", "canonical_sql"], "left")  # as few as correct queries
@@ -136,7 +179,7 @@ def feedback(graded: DataFrame) -> DataFrame:
     edit = "array<struct<op:string,component:string,path:string,before:string,after:string,cost:double>>"
     said = F.transform(F.from_json("edits", edit), lambda e: F.concat_ws(" ", F.upper(e["op"]), e["component"], F.when(e["path"] != "", F.concat(F.lit("in"), F.lit(" "), e["path"])), F.when(e["before"] != "", F.concat(F.lit("'"), e["before"], F.lit("'"))), F.when((e["before"] != "") & (e["after"] != ""), F.lit("to")), F.when(e["after"] != "", F.concat(F.lit("'"), e["after"], F.lit("'")))))
     text = F.when(F.col("parse_error").isNotNull(), F.concat(F.lit("Not graded: "), "parse_error")).when(F.col("n_edits") == 0, F.lit("Correct.")).when(F.col("status") == "none", F.lit("Too far from a correct query.")).otherwise(F.concat(F.lit("Not correct yet. "), F.array_join(said, "; ")))
-    return graded.withColumn("feedback", F.when(F.col("status").isin("none", "capped"), F.when(F.col("parse_error").isNull(), F.lit("Too far from a correct query."))).otherwise(text))
+    return graded.withColumn("feedback", F.when(F.col("status").isin("capped", "error"), F.lit("Not graded: the search was not finished.")).when((F.col("status") == "none") & F.col("parse_error").isNull(), F.lit("Too far from a correct query.")).otherwise(text))
 
 
 def clusters(subs: DataFrame, correct: DataFrame, catalog: Catalog | None = None) -> DataFrame:
@@ -148,6 +191,7 @@ def clusters(subs: DataFrame, correct: DataFrame, catalog: Catalog | None = None
     forms = with_forms(counted, catalog).where("parse_error is null")
     joined = counted.join(forms.select("question", "sql", "canonical_hash", "canonical_sql"), ["question", "sql"])
     out = joined.groupBy("question", "canonical_hash", "canonical_sql").agg(F.sum("n").alias("size"), F.min("first").alias("exemplar"))
+    collect_correct(correct)  # few, or an error
     truths = with_forms(correct.select("question", "sql"), catalog).select("question", "canonical_hash", "canonical_sql").distinct().withColumn("hit", F.lit(True))
     return out.join(F.broadcast(truths), ["question", "canonical_hash", "canonical_sql"], "left").withColumn("matched", F.coalesce("hit", F.lit(False))).drop("hit")
 

@@ -60,6 +60,22 @@ class Editor:
             yield from self.block(a, b, path, scope, exists, project)
         elif isinstance(a, ir.SetOp) and isinstance(b, ir.SetOp):
             yield from self.set_operation(a, b, path, scope)
+        elif isinstance(b, ir.SetOp):
+            yield from self.part_of(a, b, path, scope)
+        else:
+            for i, p in enumerate(a.parts):
+                cost = 1 + sum(self.worth(x) for x in a.parts) - self.worth(p)
+                yield self.step(p, "delete", "set_op", path, f"all but part {i + 1} of {a.kind}", None, cost)
+
+    def part_of(self, a: Select, b: ir.SetOp, path: str, scope: set[str]) -> Iterator[Step]:
+        """A block where a set operator should be: it is edited towards the part that it fits, and takes another part
+        as a whole once both are of one width."""
+        parts = b.parts[:1] if b.kind == "except" else b.parts
+        own = min(range(len(parts)), key=lambda j: (sum(_both(a, parts[j], self.w, False).values()), j))
+        yield from self.query(a, b.parts[own], path, scope, False, True)
+        for j, other in enumerate(b.parts):
+            if j != own and len(_outputs(other)) == len(a.items):
+                yield self.step(ir.SetOp(b.kind, b.every, (a, other)), "insert", "set_op", path, None, other, 1 + self.worth(other))
 
     def set_operation(self, a: ir.SetOp, b: ir.SetOp, path: str, scope: set[str]) -> Iterator[Step]:
         if self.extended and (a.kind, a.every) != (b.kind, b.every):

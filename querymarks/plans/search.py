@@ -12,6 +12,7 @@ from .canon import _swap, label, prepare, semantic, text
 from .distance import Weights, edit_distance, pairings, total_marks
 from .edits import KINDS, Edit, Editor
 
+#: States after which a worker leaves a pair to the search over a table; None: never.
 MOST_STATES = 20_000
 
 
@@ -35,10 +36,11 @@ class Correct:
 
 @dataclass
 class Found:
-    """marks: share of full marks. status: exact, greedy, none (no sequence leaves marks), capped or error."""
+    """marks: share of full marks, None for a search that was stopped. status: exact, greedy, none (no sequence leaves
+    marks), capped (stopped) or error."""
 
-    marks: float
-    cost: float
+    marks: float | None
+    cost: float | None
     edits: list[Edit] = field(default_factory=list)
     status: str = "exact"
     states: int = 0
@@ -47,7 +49,7 @@ class Found:
 
 
 class Searcher:
-    def __init__(self, catalog: Catalog, weights: Weights = Weights(), off: tuple[str, ...] = (), extended: bool = False, most_states: int = MOST_STATES):
+    def __init__(self, catalog: Catalog, weights: Weights = Weights(), off: tuple[str, ...] = (), extended: bool = False, most_states: int | None = MOST_STATES):
         self.catalog, self.weights, self.off, self.extended, self.most = catalog, weights, off, extended, most_states
         self.forms: dict[str, Any] = {}
 
@@ -91,8 +93,8 @@ class Searcher:
             marks = -negative
             if self.equal(state, key, correct):
                 return Found(marks / correct.total if correct.total else 1.0, correct.total - marks, list(edits), "exact", taken, peak, (time.perf_counter() - began) * 1e3)
-            if taken >= self.most:
-                return Found(0.0, correct.total, [], "capped", taken, peak, (time.perf_counter() - began) * 1e3)
+            if self.most and taken >= self.most:
+                return Found(None, None, [], "capped", taken, peak, (time.perf_counter() - began) * 1e3)
             for s in editor.steps(state, correct.tree):
                 left = marks - s.cost
                 if left <= 1e-9:
@@ -137,4 +139,4 @@ class Searcher:
         student, shared = prepare(sql, self.catalog, self.off)
         run = self.greedy if method == "greedy" else self.shortest
         results = [(c, run(student, c, shared)) for c in correct]
-        return min(results, key=lambda r: (-r[1].marks, r[1].cost, r[0].cq_id))
+        return min(results, key=lambda r: (r[1].marks is None, -(r[1].marks or 0.0), r[1].cost or 0.0, r[0].cq_id))
