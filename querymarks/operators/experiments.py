@@ -104,7 +104,20 @@ def _marks_query(method: str) -> Query:
 _add("path_greedy_marks", _marks_query("greedy"), _MARKS_SQL)
 _add("path_exhaustive_marks", _marks_query("exhaustive"), _MARKS_SQL)
 _add("path_best_of_many", lambda s, d: _graded(s, d, "greedy", False).join(_graded(s, d, "greedy").select("sub_id", F.col("marks").alias("base")), "sub_id").select("sub_id", (F.col("marks") >= F.col("base") - 1e-9).alias("no_worse")), "SELECT event_id AS sub_id, TRUE AS no_worse FROM events")
-_add("path_edit_kinds", lambda s, d: _graded(s, d, "exhaustive").select(F.explode(F.from_json("edits", "array<struct<component:string,cost:double>>")).alias("e")).groupBy(F.col("e.component").alias("component")).agg(F.count("*").alias("n"), F.sum("e.cost").alias("cost")))
+_EDITS = "array<struct<component:string,cost:double>>"
+# Hand-derived: f0 edits the outputs, f1 and f2 conditions, f3 DISTINCT or a subquery's connective, f4 a relation.
+_KINDS_SQL = TRUTH_SQL + """, done AS (SELECT m.*, h.f0 FROM marked m JOIN hand h USING (question) WHERE marks > 0), edits AS (
+  SELECT 'projection' AS component, CAST(f0 AS DOUBLE) AS cost FROM done WHERE mask & 1 = 1
+  UNION ALL SELECT 'predicate', 1.0 FROM done WHERE mask & 2 = 2 AND question <> 1
+  UNION ALL SELECT 'predicate', 1.0 FROM done WHERE mask & 4 = 4
+  UNION ALL SELECT CASE WHEN question IN (3, 14) THEN 'distinct' ELSE 'subquery' END, 1.0 FROM done WHERE mask & 8 = 8 AND question IN (3, 6, 7, 8, 9, 11, 12, 14, 15)
+  UNION ALL SELECT 'relation', 1.0 FROM done WHERE mask & 16 = 16
+) SELECT component, count(*) AS n, sum(cost) AS cost FROM edits GROUP BY component"""
+_add(
+    "path_edit_kinds",
+    lambda s, d: _graded(s, d, "exhaustive").select(F.explode(F.from_json("edits", _EDITS)).alias("e")).groupBy(F.col("e.component").alias("component")).agg(F.count("*").alias("n"), F.sum("e.cost").alias("cost")),
+    _KINDS_SQL,
+)
 _add("path_feedback", lambda s, d: grade.feedback(_graded(s, d, "greedy")).select("sub_id", (F.col("feedback") == "Correct.").alias("told_correct")), TRUTH_SQL + "SELECT sub_id, cost = 0 AS told_correct FROM marked")
 _add("path_marks_by_question", lambda s, d: _graded(s, d, "greedy").groupBy("question").agg(F.count("*").alias("n"), F.count_if(F.col("cost") == 0).alias("full"), F.round(F.sum("marks"), 4).alias("sum_marks")), TRUTH_SQL + "SELECT question, count(*) AS n, count(*) FILTER (cost = 0) AS full, round(sum(marks), 4) AS sum_marks FROM marked GROUP BY question")
 
@@ -441,7 +454,24 @@ def _ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 _add("rep_ablation", _ablation)
 # -- other judges
-_add("base_textual", lambda s, d: baselines.textual_match(corpus.submissions(s, d), _correct_frame(s)).groupBy("question").agg(F.count_if("textual_match").alias("matches"), F.count("*").alias("n")))
+def _textual_sql() -> str:
+    """The texts as written, by what an event stands for, against those of the correct queries."""
+    plain = lambda x: f"lower(trim(regexp_replace(regexp_replace({x}, '\\s+', ' ', 'g'), '\\s*;\\s*$', '')))"
+    quoted = lambda x: "'" + x.replace("'", "''") + "'"
+    texts = ", ".join(f"({q}, {m}, {s}, {quoted(t)})" for q, m, s, t in corpus.all_texts())
+    rights = ", ".join(f"({q}, {quoted(t)})" for q, _, t in wl.correct_rows())
+    return f"""WITH texts(question, mask, style, sql) AS (VALUES {texts}), rights(question, sql) AS (VALUES {rights}),
+known AS (SELECT DISTINCT question, {plain('sql')} AS t FROM rights),
+told AS (SELECT x.question, mask, style, k.t IS NOT NULL AS hit FROM texts x LEFT JOIN known k ON x.question = k.question AND {plain('x.sql')} = k.t),
+coded AS (SELECT CAST(event_id % 15 + 1 AS INT) AS question, CAST(event_id // 15 % 32 AS INT) AS mask, CAST(event_id // 480 % 8 AS INT) AS style FROM events)
+SELECT question, count(*) FILTER (hit) AS matches, count(*) AS n FROM coded JOIN told USING (question, mask, style) GROUP BY question"""
+
+
+_add(
+    "base_textual",
+    lambda s, d: baselines.textual_match(corpus.submissions(s, d), _correct_frame(s)).groupBy("question").agg(F.count_if("textual_match").alias("matches"), F.count("*").alias("n")),
+    _textual_sql(),
+)
 _add("base_binary", lambda s, d: baselines.binary_marks(_graded(s, d, "greedy")).select("sub_id", "binary_marks"), TRUTH_SQL + "SELECT sub_id, CASE WHEN cost = 0 THEN 1.0 ELSE 0.0 END AS binary_marks FROM marked")
 
 
@@ -569,6 +599,33 @@ _add(
 )
 
 
+def _late(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Daily attempts of a stream in which every submission comes once more after the watermark has passed it, and how
+    many rows the engine says it dropped."""
+    ws = Workspace(spark, "late")
+    subs = corpus.submissions(spark, sf_dir).withColumn("ts", F.col("ts").cast("timestamp"))
+    end = subs.limit(1).withColumn("ts", F.lit("2030-01-01 00:00:00").cast("timestamp")).withColumn("question", F.lit(99))
+    # One file each, and one a trigger: rows are late by the watermark that the batch before began with.
+    stream.write_ordered(subs.unionByName(end), f"{ws.root}/in", 1)
+    for more in (end, subs):
+        more.repartition(1).write.mode("append").parquet(f"{ws.root}/in")
+    dropped: list[int] = []
+    out = stream.run_to_end(stream.tumbling(stream.submission_stream(spark, f"{ws.root}/in")), f"qm_{uuid.uuid4().hex}", "append", f"{ws.root}/checkpoint", dropped)
+    return out.where("question <> 99").select("question", _day("start").alias("start"), "attempts", F.lit(sum(dropped) > 0).alias("some_dropped"))
+
+
+def _stream_static(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Canonical matches of a stream of submissions with a table of correct queries."""
+    return _streamed(spark, sf_dir, lambda df: stream.matched(df, _correct_frame(spark))).where("question <> 99").select("sub_id", "canonical_match")
+
+
+_add(
+    "str_late", _late,
+    TRUTH_SQL + "SELECT question, strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S') AS start, count(*) AS attempts, TRUE AS some_dropped FROM truth GROUP BY ALL",
+)
+_add("str_static_join", _stream_static, TRUTH_SQL + "SELECT sub_id, cost = 0 AS canonical_match FROM marked")
+
+
 def _deduplicated(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Whether the stream keeps each text of a student and question once."""
     kept = _streamed(spark, sf_dir, stream.without_resubmits).where("question <> 99").agg(F.count("*").alias("n"), F.countDistinct("student_id", "question", "sql").alias("k"))

@@ -46,6 +46,10 @@ def _form(sql: str, catalog: Catalog, weights: distance.Weights, off: tuple[str,
         return f"unsupported: {type(e).__name__}", None, None, None, None, None
 
 
+def canonical_or_none(sql: str | None, catalog: Catalog | None = None) -> str | None:
+    return _form(sql or "", catalog or default_catalog(), distance.Weights(), ())[2]
+
+
 def with_forms(texts: DataFrame, catalog: Catalog | None = None, weights: distance.Weights = distance.Weights(), off: tuple[str, ...] = ()) -> DataFrame:
     """Each text with its parse error or its syntactic form, canonical text, fingerprint, size and worth."""
     catalog = catalog or default_catalog()

@@ -119,6 +119,15 @@ _op("win_percent_rank", "SELECT s_suppkey, round(percent_rank() OVER (PARTITION
 _op("win_first_last", f"SELECT o_orderkey, first_value(o_orderkey) OVER ({_W}) AS first, last_value(o_orderkey) OVER ({_W} ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS last FROM orders")(lambda t: t["orders"].select("o_orderkey", F.first("o_orderkey").over(_w()).alias("first"), F.last("o_orderkey").over(_w().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("last")))
 _op("win_share", "SELECT n_nationkey, round(count(*) OVER (PARTITION BY n_regionkey) / 25.0, 9) AS share FROM nation")(lambda t: t["nation"].select("n_nationkey", F.round(F.count("*").over(Window.partitionBy("n_regionkey")) / 25.0, 9).alias("share")))
 # -- order and limit
+def _ranked(ordered: DataFrame) -> DataFrame:
+    """o_orderkey and its place in a total order: range partitions are numbered within, and by the sizes of those before."""
+    placed = ordered.select("o_orderkey", F.monotonically_increasing_id().alias("at")).withColumn("part", F.shiftright("at", 33))
+    sizes = placed.groupBy("part").agg(F.count("*").alias("n"))  # one row for each partition
+    before = sizes.select("part", F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
+    within = F.col("at").bitwiseAND(F.lit((1 << 33) - 1)) + 1
+    return placed.join(F.broadcast(before), "part").select("o_orderkey", (within + F.col("before")).alias("k"))
+
+
 _op("sort_top", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10")(lambda t: t["orders"].select("o_orderkey", "o_totalprice").orderBy(F.desc("o_totalprice"), "o_orderkey").limit(10))
 _op("sort_top_group", "SELECT o_custkey, o_orderkey FROM (SELECT *, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS k FROM orders) x WHERE k <= 2")(lambda t: t["orders"].withColumn("k", F.row_number().over(_w())).where("k <= 2").select("o_custkey", "o_orderkey"))
 _op("sort_offset", "SELECT p_partkey FROM part ORDER BY p_partkey LIMIT 20 OFFSET 30")(lambda t: t["part"].select("p_partkey").orderBy("p_partkey").offset(30).limit(20))
@@ -132,7 +141,8 @@ _op("set_union_all", f"{_N} UNION ALL {_S}")(lambda t: _a(t).union(_b(t)))
 _op("set_union", f"{_N} UNION {_S}")(lambda t: _a(t).union(_b(t)).distinct())
 _op("set_intersect", f"{_N} INTERSECT {_S}")(lambda t: _a(t).intersect(_b(t)))
 _op("set_intersect_all", f"{_N} INTERSECT ALL {_S}")(lambda t: _a(t).intersectAll(_b(t)))
-_op("set_except", f"{_S} EXCEPT {_N}")(lambda t: _b(t).subtract(_a(t)))
+_op("set_except", f"SELECT n_nationkey AS k FROM nation EXCEPT ({_S} WHERE s_acctbal > 8000)")(lambda t: t["nation"].select(F.col("n_nationkey").alias("k")).subtract(_b({"supplier": t["supplier"].where("s_acctbal > 8000")})))
+_op("sort_total", "SELECT o_orderkey, row_number() OVER (ORDER BY o_totalprice DESC, o_orderkey) AS k FROM orders ORDER BY k")(lambda t: _ranked(t["orders"].select("o_orderkey", "o_totalprice").orderBy(F.desc("o_totalprice"), "o_orderkey")))
 _op("set_except_all", f"{_N} EXCEPT ALL {_S}")(lambda t: _a(t).exceptAll(_b(t)))
 _op("set_by_name", "SELECT r_name AS name, r_regionkey AS k FROM region UNION ALL SELECT n_name, n_nationkey FROM nation")(lambda t: t["region"].select(F.col("r_name").alias("name"), F.col("r_regionkey").alias("k")).unionByName(t["nation"].select(F.col("n_nationkey").alias("k"), F.col("n_name").alias("name"))))
 # -- scalars

@@ -64,7 +64,7 @@ def correct_rows() -> list[tuple[int, str, str]]:
 RULE_PAIRS: dict[str, tuple[str, str]] = {
     "s01": ("SELECT c.c_custkey FROM customer c WHERE c.c_nationkey = 3", "SELECT c_custkey FROM customer WHERE customer.c_nationkey = 3"),
     "s02": ("WITH rich AS (SELECT c_custkey AS k, c_name FROM customer WHERE c_acctbal > 5000), named(x, y) AS (SELECT k, c_name FROM rich) SELECT x, y FROM named", "SELECT c_custkey AS x, c_name AS y FROM customer WHERE c_acctbal > 5000"),
-    "s03": ("SELECT p_partkey FROM part WHERE p_size BETWEEN 10 AND 20 AND p_retailprice NOT BETWEEN 900 AND 1000", "SELECT p_partkey FROM part WHERE p_size >= 10 AND p_size <= 20 AND (p_retailprice < 900 OR p_retailprice > 1000)"),
+    "s03": ("SELECT p_partkey FROM part WHERE p_size BETWEEN 10 AND 20 AND p_partkey NOT BETWEEN 5 AND 50", "SELECT p_partkey FROM part WHERE p_size >= 10 AND p_size <= 20 AND (p_partkey < 5 OR p_partkey > 50)"),
     "s04": ("SELECT o_orderkey FROM orders WHERE NOT (o_orderstatus = 'F' AND NOT (o_totalprice > 1000 OR o_orderpriority IS NULL))", "SELECT o_orderkey FROM orders WHERE o_orderstatus <> 'F' OR o_totalprice > 1000 OR o_orderpriority IS NULL"),
     "s05": ("SELECT p_partkey FROM part WHERE p_retailprice > 950", "SELECT p_partkey FROM part WHERE 950 < p_retailprice"),
     "s06": ("SELECT c_custkey, n_name FROM customer INNER JOIN nation ON c_nationkey = n_nationkey AND n_regionkey = 1", "SELECT c_custkey, n_name FROM customer, nation WHERE c_nationkey = n_nationkey AND n_regionkey = 1"),
@@ -78,7 +78,7 @@ RULE_PAIRS: dict[str, tuple[str, str]] = {
     "s14": ("SELECT * FROM nation, region WHERE n_regionkey = r_regionkey", "SELECT n_nationkey, n_name, n_regionkey, r_regionkey, r_name FROM nation, region WHERE n_regionkey = r_regionkey"),
     "c01": ("SELECT DISTINCT c_custkey, o_orderkey FROM customer, orders WHERE c_custkey = o_custkey AND o_totalprice > 100000", "SELECT c_custkey, o_orderkey FROM customer, orders WHERE c_custkey = o_custkey AND o_totalprice > 100000"),
     "c02": ("SELECT c_custkey FROM customer INTERSECT ALL SELECT o_custkey FROM orders", "SELECT c_custkey FROM customer INTERSECT SELECT o_custkey FROM orders"),
-    "c03": ("SELECT c_custkey FROM customer EXCEPT ALL SELECT o_custkey FROM orders", "SELECT c_custkey FROM customer EXCEPT SELECT o_custkey FROM orders"),
+    "c03": ("SELECT c_custkey FROM customer EXCEPT ALL SELECT o_custkey FROM orders WHERE o_orderstatus = 'F'", "SELECT c_custkey FROM customer EXCEPT SELECT o_custkey FROM orders WHERE o_orderstatus = 'F'"),
     "c04": ("SELECT DISTINCT t.o_custkey FROM (SELECT DISTINCT o_custkey, o_orderstatus FROM orders) t", "SELECT DISTINCT o_custkey FROM orders"),
     "c05": ("SELECT t.o_orderkey, n_name FROM (SELECT DISTINCT o_orderkey, o_custkey FROM orders) t, customer, nation WHERE t.o_custkey = c_custkey AND c_nationkey = n_nationkey", "SELECT o_orderkey, n_name FROM orders, customer, nation WHERE o_custkey = c_custkey AND c_nationkey = n_nationkey"),
     "c06": ("SELECT p_partkey, t.l_suppkey, t.l_partkey FROM part, (SELECT DISTINCT l_partkey, l_suppkey FROM lineitem) t WHERE p_partkey = t.l_partkey AND p_size > 40", "SELECT DISTINCT p_partkey, l_suppkey, l_partkey FROM part, lineitem WHERE p_partkey = l_partkey AND p_size > 40"),

@@ -9,6 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+from pyspark.sql.types import StringType, StructField, StructType
 
 from ..operators import grade as grading
 
@@ -76,10 +77,31 @@ def feedback_sink(correct: DataFrame, path: str, catalog: Any = None) -> Callabl
     return write
 
 
-def run_to_end(stream: DataFrame, name: str, mode: str, checkpoint: str) -> DataFrame:
-    """All that is there, into a table in memory: for tests and reports of bounded size."""
+def matched(subs: DataFrame, correct: DataFrame, catalog: Any = None) -> DataFrame:
+    """subs with canonical_match, by a join of the stream with the canonical forms of the correct queries, which are
+    checked to be few and sent to all tasks. No state: each row is judged as it comes."""
+    rows = grading.collect_correct(correct)
+    known = correct.sparkSession.createDataFrame([(q, s) for q, _, s in rows], "question int, sql string")
+    truths = grading.with_forms(known, catalog).where("parse_error is null").select("question", "canonical_sql").distinct().collect()
+    static = correct.sparkSession.createDataFrame(truths, "question int, canonical_sql string").withColumn("canonical_match", F.lit(True))
+
+    def forms(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            told = [grading.canonical_or_none(x, catalog) for x in frame["sql"]]
+            yield frame.assign(canonical_sql=told)
+
+    judged = subs.mapInPandas(forms, StructType([*subs.schema.fields, StructField("canonical_sql", StringType())]))
+    joined = judged.join(F.broadcast(static), ["question", "canonical_sql"], "left")
+    return joined.withColumn("canonical_match", F.coalesce("canonical_match", F.lit(False))).drop("canonical_sql")
+
+
+def run_to_end(stream: DataFrame, name: str, mode: str, checkpoint: str, dropped: list[int] | None = None) -> DataFrame:
+    """All that is there, into a table in memory: for tests and reports of bounded size. ``dropped`` receives how many
+    late rows each batch left out."""
     query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     if not query.awaitTermination(600):
         query.stop()
         raise TimeoutError("the stream did not end")
+    if dropped is not None:
+        dropped += [int(op["numRowsDroppedByWatermark"]) for p in query.recentProgress for op in p["stateOperators"]]
     return stream.sparkSession.table(name)
