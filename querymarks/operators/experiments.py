@@ -298,6 +298,28 @@ _add(
     lambda s, d: measures.published_search(s).join(measures.published_equivalence(s).select("question", "submitted", "data"), "question").select("question", "incorrect", (F.col("incorrect") == F.col("submitted") - F.col("data")).alias("agrees"), F.round(F.col("exhaustive_ms") / F.col("greedy_ms"), 1).alias("ratio")),
     f"SELECT question, incorrect, TRUE AS agrees, round(e / g, 1) AS ratio FROM ({_values(list(measures.PUBLISHED_SEARCH), 'question, incorrect, g, e, capped')})",
 )
+_N, _C, _G = measures.PUBLISHED_USAGE
+_add(
+    "rep_published_usage", lambda s, d: measures.contest_report(s.range(_N).select((F.col("id") < _C).alias("contested"), (F.col("id") < _G).alias("genuine"))),
+    f"SELECT {_N} AS graded, {_C} AS contested, {_G} AS genuine, round(100.0 * {_C} / {_N}, 3) AS contested_share, round(100.0 * {_G} / {_C}, 1) AS genuine_share",
+)
+
+
+def _scale_up(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """factor, submissions, texts, forms: what is left to parse and to search when there are more submissions."""
+    subs, parts = corpus.submissions(spark, sf_dir), []
+    for factor in (1, 4, 16):
+        more = subs.withColumn("copy", F.explode(F.sequence(F.lit(1), F.lit(factor))))
+        texts = grade.unique_texts(more).join(_forms(spark, sf_dir).select("question", "sql", "form"), ["question", "sql"])
+        told = texts.agg(F.count(F.lit(1)).alias("texts"), F.countDistinct("question", "form").alias("forms"))
+        parts.append(more.agg(F.count(F.lit(1)).alias("submissions")).crossJoin(told).select(F.lit(factor).alias("factor"), "submissions", "texts", "forms"))
+    return reduce(DataFrame.unionByName, parts)
+
+
+_add(
+    "rep_scale_up", lambda s, d: _scale_up(s, d).select("factor", "submissions", "forms"),
+    TRUTH_SQL + "SELECT f AS factor, count(*) * f AS submissions, count(DISTINCT question * 32 + CASE WHEN question = 1 THEN mask & ~2 WHEN question = 13 THEN mask & ~8 ELSE mask END) AS forms FROM truth, (VALUES (1), (4), (16)) v(f) GROUP BY f",
+)
 _BUCKETS = [(0.5, 0.4001), (0.5, 0.4), (0.4, 0.5), (0.7, 0.7), (1.0, 0.0), (0.35, 0.25)]
 _add(
     "rep_buckets",

@@ -115,3 +115,51 @@ def test_errors_are_said(sql, said):
 def test_parser_reads_all_clauses():
     q = parse_sql("WITH a(x) AS (SELECT 1) SELECT DISTINCT x, count(*) FILTER_ FROM a LEFT JOIN LATERAL (SELECT 2 AS y) b ON a.x = b.y WHERE x LIKE 'a%' GROUP BY x HAVING count(*) > 1 ORDER BY x DESC NULLS LAST LIMIT 3 OFFSET 1")
     assert isinstance(q, ir.With) and q.body.limit == ir.Lit("int", 3) and q.body.order[0].nulls == "last"
+
+
+@pytest.mark.parametrize(
+    "preds",
+    [
+        [f"{{0}}.c_nationkey = {{{k}}}.c_nationkey" for k in range(1, 7)], [f"{{{k}}}.c_acctbal < {{{(k + 1) % 7}}}.c_acctbal" for k in range(7)],
+        [f"{{{k}}}.c_acctbal <> {{{(k + 1) % 7}}}.c_acctbal" for k in range(7)], [],
+    ],
+)
+def test_seven_instances_have_one_form(preds):
+    """Whatever the order of FROM, the names and the order of conditions."""
+    import random
+
+    from querymarks.plans import canon
+    from querymarks.sources.catalog import default_catalog
+
+    rng, forms = random.Random(1), set()
+    for _ in range(6):
+        names, places, said = [f"t{k}" for k in rng.sample(range(7), 7)], rng.sample(range(7), 7), rng.sample(preds, len(preds))
+        where = " WHERE " + " AND ".join(p.format(*names) for p in said) if said else ""
+        forms.add(canon.canonical_text(f"SELECT DISTINCT {names[0]}.c_name FROM {', '.join(f'customer {names[k]}' for k in places)}{where}", default_catalog()))
+    assert len(forms) == 1
+
+
+def test_strict_bounds_between_integers():
+    from querymarks.plans import canon
+    from querymarks.sources.catalog import default_catalog
+
+    form = lambda p: canon.canonical_text(f"SELECT c_custkey FROM customer, orders WHERE {p}", default_catalog())
+    assert form("c_custkey < o_custkey") == form("c_custkey <= o_custkey - 1") == form("c_custkey + 1 <= o_custkey") == form("o_custkey > c_custkey")
+    assert form("c_acctbal < o_totalprice") != form("c_acctbal <= o_totalprice - 1")
+
+
+def test_made_rows_keep_keys_and_tell_conditions_apart(duck):
+    from querymarks.operators.verdict import made_rows
+    from querymarks.sources import workloads as wl
+    from querymarks.sources.catalog import default_catalog
+
+    catalog = default_catalog()
+    for key in ("w04a", "w05a", "w08a", "w12b", "w13", "w15c"):
+        rows = made_rows(wl.CORRECT[key], catalog)
+        for table, own in rows.items():
+            names = list(catalog.table(table).columns)
+            for unique in catalog.table(table).keys:
+                picked = [tuple(r[names.index(c)] for c in sorted(unique)) for r in own]
+                assert len(set(picked)) == len(picked), (key, table)
+    orders = made_rows("SELECT o_orderkey FROM orders WHERE o_totalprice > 100 AND o_orderstatus = 'F'", catalog)["orders"]
+    assert {100.0, 99.0, 101.0} <= {r[3] for r in orders} and {"F", "F!", ""} <= {r[2] for r in orders}
