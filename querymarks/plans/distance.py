@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 import itertools
+import math
 from collections import Counter, defaultdict
+from collections.abc import Callable
 from dataclasses import dataclass, field
 from typing import Any
 
@@ -15,7 +17,8 @@ from .ir import Derived, Full, Group, Left, Same
 from .resolve import table_of
 
 COMPONENTS = ("projection", "distinct", "relation", "join_type", "predicate", "subquery", "aggregate", "group_by", "having", "order_by", "set_op", "limit")
-MOST_PAIRINGS = 720
+#: Pairings of instances that are all tried.
+FEW_PAIRINGS = 720
 
 
 @dataclass(frozen=True)
@@ -273,38 +276,53 @@ def _class_distance(x: tuple, y: tuple) -> float:
     return max(len(a - b), len(b - a)) + float(x[0] != y[0])
 
 
-def pairings(a: Any, b: Any) -> list[dict[str, str]]:
-    """Ways to name the instances of ``a`` so that those of one table pair with those of ``b`` in all orders."""
+def least_pairing(a: Any, b: Any, cost: Callable[[Any], float]) -> tuple[float, Any]:
+    """The least cost, and ``a`` with its instances named as those of ``b`` that they pair with then. Instances of one
+    table pair in all orders; where these are more than FEW_PAIRINGS, two of them change places as long as that helps,
+    from the order of the canonical labels on (an upper bound then)."""
     own, other = defaultdict(list), defaultdict(list)
     for names, tree in ((own, a), (other, b)):
         for x in ir.walk(tree):
             if isinstance(x, ir.RELATIONS) and x.alias not in names[x.alias.rsplit("_", 1)[0]]:
                 names[x.alias.rsplit("_", 1)[0]].append(x.alias)
-    choices = []
-    for stem, mine in own.items():
-        pool = sorted(set(mine) | set(other.get(stem, ())))
-        if len(pool) > 1:
-            choices.append([dict(zip(mine, p)) for p in itertools.permutations(pool, len(mine))])
-    out = []
-    for combo in itertools.islice(itertools.product(*choices), MOST_PAIRINGS):
-        mapping: dict[str, str] = {}
-        for c in combo:
-            mapping |= c
-        out.append(mapping)
-    return out
+    pools = {stem: (mine, sorted(set(mine) | set(other.get(stem, ())))) for stem, mine in own.items()}
+    pools = {stem: x for stem, x in pools.items() if len(x[1]) > 1}
+
+    def tried(mapping: dict[str, str]) -> tuple[float, Any]:
+        tree = _swap(a, mapping) if mapping else a
+        return cost(tree), tree
+
+    if math.prod(math.perm(len(pool), len(mine)) for mine, pool in pools.values()) <= FEW_PAIRINGS:
+        best = None
+        for combo in itertools.product(*([dict(zip(mine, p)) for p in itertools.permutations(pool, len(mine))] for mine, pool in pools.values())):
+            got = tried({k: v for c in combo for k, v in c.items()})
+            if best is None or got[0] < best[0]:
+                best = got
+            if not best[0]:
+                break
+        return best
+    orders = {stem: list(pool) for stem, (_, pool) in pools.items()}
+    mapped = lambda: {m: x for stem, (mine, _) in pools.items() for m, x in zip(mine, orders[stem])}
+    best, better = tried(mapped()), True
+    while better and best[0]:
+        better = False
+        for stem, order in orders.items():
+            for i, j in itertools.combinations(range(len(order)), 2):
+                if i < len(pools[stem][0]):
+                    order[i], order[j] = order[j], order[i]
+                    got = tried(mapped())
+                    if got[0] < best[0]:
+                        best, better = got, True
+                    else:
+                        order[i], order[j] = order[j], order[i]
+    return best
 
 
 def components(a: Any, b: Any, w: Weights = Weights()) -> dict[str, float]:
     """The distance of each component, with the instances of one table paired at least weighted cost."""
-    best = None
-    for mapping in pairings(a, b):
-        got = _both(_swap(a, mapping) if mapping else a, b, w, False)
-        cost = sum(w.of(k) * v for k, v in got.items())
-        if best is None or cost < best[0]:
-            best = (cost, got)
-        if not cost:
-            break
-    return {k: float(best[1].get(k, 0.0)) for k in COMPONENTS}
+    _, tree = least_pairing(a, b, lambda t: sum(w.of(k) * v for k, v in _both(t, b, w, False).items()))
+    got = _both(tree, b, w, False)
+    return {k: float(got.get(k, 0.0)) for k in COMPONENTS}
 
 
 def edit_distance(a: Any, b: Any, w: Weights = Weights()) -> float:

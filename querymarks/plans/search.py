@@ -8,8 +8,8 @@ from dataclasses import dataclass, field
 from typing import Any
 
 from ..sources.catalog import Catalog
-from .canon import _swap, label, prepare, semantic, text
-from .distance import Weights, edit_distance, pairings, total_marks
+from .canon import label, prepare, semantic, text
+from .distance import Weights, _both, edit_distance, least_pairing, total_marks
 from .edits import KINDS, Edit, Editor
 
 #: States after which a worker leaves a pair to the search over a table; None: never.
@@ -63,12 +63,8 @@ class Searcher:
 
     def start(self, student: Any, correct: Correct) -> Any:
         """The student's tree with its instances named as those of the correct tree that they fit best."""
-        from .distance import _both
-
-        ways = pairings(student, correct.tree)
-        if len(ways) < 2:
-            return student
-        return min((_swap(student, m) for m in ways), key=lambda t: sum(self.weights.of(k) * v for k, v in _both(t, correct.tree, self.weights, False).items()))
+        worth = lambda t: sum(self.weights.of(k) * v for k, v in _both(t, correct.tree, self.weights, False).items())
+        return least_pairing(student, correct.tree, worth)[1]
 
     def equal(self, state: Any, key: str, correct: Correct) -> bool:
         return text(self.canonical(state, key)) == correct.text
