@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..session import Workspace
 
-__all__ = ["LOWER", "UPPER", "Workspace", "ascii_lower", "drop_rows", "fresh", "hashed", "id_remainder", "id_text", "table", "text_hash", "word_blocks"]
+__all__ = ["LOWER", "UPPER", "Workspace", "ascii_lower", "drop_rows", "fresh", "id_remainder", "id_text", "table", "text_hash", "word_blocks"]
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -29,18 +29,11 @@ def text_hash(text: Column | str = "text") -> Column:
 def drop_rows(docs: DataFrame, gone: DataFrame, ws: Workspace, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``docs`` without the rows whose id (null equals null) and text hash stand in ``gone``: doc_id, th.
 
-    Texts stay where they are if ``gone`` is small enough to be sent to all tasks; else its rows form the hash tables
-    and texts stream past. The hash also deals out rows without an id. Columns of ``docs`` may have any names.
+    The rows of ``gone`` form the hash tables and texts stream past, whatever their numbers; the hash also deals out rows
+    without an id. Columns of ``docs`` may have any names.
     """
     gone = ws.save(gone.select(F.col("doc_id").alias("__gone"), F.col("th").alias("__th")).distinct(), "gone")
-    return docs.join(hashed(gone, 64), docs[id_col].cast("long").eqNullSafe(gone["__gone"]) & (text_hash(docs[text_col]) == gone["__th"]), "left_anti")
-
-
-def hashed(keys: DataFrame, row_octets: int) -> DataFrame:
-    """A saved table of keys, marked to be the hash table of a join: sent to all tasks only where its counted rows stay
-    below the session's own limit for that, else dealt out."""
-    most = keys.sparkSession._jsparkSession.sessionState().conf().autoBroadcastJoinThreshold()
-    return F.broadcast(keys) if keys.count() * row_octets <= most else keys.hint("shuffle_hash")
+    return docs.join(gone.hint("shuffle_hash"), docs[id_col].cast("long").eqNullSafe(gone["__gone"]) & (text_hash(docs[text_col]) == gone["__th"]), "left_anti")
 
 
 def fresh(df: DataFrame, name: str) -> str:

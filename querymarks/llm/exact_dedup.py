@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Workspace, ascii_lower, drop_rows, fresh, hashed, id_text, table, text_hash
+from .common import Workspace, ascii_lower, drop_rows, fresh, id_text, table, text_hash
 
 
 def refine(docs: DataFrame, ws: Workspace, id_col: str = "doc_id", text_col: str = "text", prefix_chars: int = 64) -> DataFrame:
@@ -64,7 +64,7 @@ def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     # Only repeated rows meet: the others stay where they are.
     twice = ws.save(twice, "twice")
     met = kept[id_col].cast("long").eqNullSafe(twice["doc_id"]) & (text_hash(kept[text_col]) == twice["th"])
-    known = hashed(twice, 64)
+    known = twice.hint("shuffle_hash")
     th = fresh(docs, "th")
     once = kept.join(known, met, "left_semi").withColumn(th, text_hash(kept[text_col])).dropDuplicates([id_col, th]).drop(th)
     return kept.join(known, met, "left_anti").unionByName(once)

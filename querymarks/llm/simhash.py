@@ -10,7 +10,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Workspace, drop_rows, hashed, id_text, table, text_hash, word_blocks
+from .common import Workspace, drop_rows, id_text, table, text_hash, word_blocks
 from .components import connected
 
 SEED = 42
@@ -20,6 +20,8 @@ PAIRWISE = 32
 CLASS_SIZE, CLASSES, SKETCH, ROUNDS = 4, 16, 512, 3
 #: Similarities that a sketch puts this near to the threshold (five standard errors) are computed from all hashes.
 MARGIN = 0.09
+#: Hashes of a pair that are looked at first, and how far below the threshold (five standard errors) they end it.
+HEAD, HEAD_MARGIN = 64, 0.25
 
 
 def fingerprint(data: bytes, words: int = 3) -> int:
@@ -153,9 +155,9 @@ def class_keys(hashes: np.ndarray) -> np.ndarray:
     return np.concatenate(keys) if keys else np.zeros(0, np.uint64)
 
 
-def estimated_jaccard(a: np.ndarray, b: np.ndarray) -> float:
-    """Jaccard similarity from bottom sketches: of the least SKETCH hashes of both texts, the share that both have."""
-    union = np.union1d(a, b)[:SKETCH]
+def estimated_jaccard(a: np.ndarray, b: np.ndarray, size: int = SKETCH) -> float:
+    """Jaccard similarity from bottom sketches: of the least ``size`` hashes of both texts, the share that both have."""
+    union = np.union1d(a, b)[:size]
     return float(np.isin(union, np.intersect1d(a, b, assume_unique=True), assume_unique=True).sum()) / max(1, len(union))
 
 
@@ -188,7 +190,7 @@ def all_hashes(docs: DataFrame, wanted: DataFrame, ws: Workspace, id_col: str, t
 
     wanted = ws.save(wanted.select(F.col("doc_id").alias("w_id"), F.col("th").alias("w_th"), "v").distinct(), "wanted")
     texts = id_text(docs, id_col, text_col).withColumn("th", text_hash())
-    met = texts.join(hashed(wanted, 64), texts["doc_id"].eqNullSafe(wanted["w_id"]) & (texts["th"] == wanted["w_th"]))
+    met = texts.join(wanted.hint("shuffle_hash"), texts["doc_id"].eqNullSafe(wanted["w_id"]) & (texts["th"] == wanted["w_th"]))
     # Rows that repeat an id and text have equal hashes.
     return ws.save(met.select("v", "text").mapInArrow(work, "v long, whole array<int>"), "whole").dropDuplicates(["v"])
 
@@ -225,7 +227,21 @@ def similar_links(each: DataFrame, ws: Workspace, similarity: float, whole_of: C
             partial = np.array(batch.column(4), bool) & (np.abs(got - similarity) < MARGIN)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(got >= similarity), pa.array(partial)], names=["a", "b", "alike", "unsure"])
 
+    def glance(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            pairs = zip(batch.column(2), batch.column(3))
+            got = np.array([estimated_jaccard(np.frombuffer(x.as_buffer(), "<u4"), np.frombuffer(y.as_buffer(), "<u4"), HEAD) for x, y in pairs], float)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(got >= similarity - HEAD_MARGIN)], names=["a", "b", "may"])
+
     def verdicts(pairs: DataFrame) -> DataFrame:
+        # Most pairs end at the heads of their sketches, so that few whole ones travel.
+        head = lambda x: known.select(F.col("doc_id").alias(x), F.substring("low", 1, 4 * HEAD).alias(f"head_{x}"))
+        seen = pairs.join(head("a"), "a").join(head("b"), "b").select("a", "b", "head_a", "head_b")
+        seen = ws.save(seen.mapInArrow(glance, "a long, b long, may boolean"), "seen")
+        unlike = seen.where("not may").select("a", "b", F.lit(False).alias("alike"), F.lit(False).alias("unsure"))
+        return unlike.unionByName(_whole_verdicts(seen.where("may").select("a", "b")))
+
+    def _whole_verdicts(pairs: DataFrame) -> DataFrame:
         side = lambda x: known.select(F.col("doc_id").alias(x), F.col("low").alias(f"low_{x}"), F.col("n").alias(f"n_{x}"))
         both = pairs.join(side("a"), "a").join(side("b"), "b")
         both = both.select("a", "b", "low_a", "low_b", (F.greatest("n_a", "n_b") > SKETCH).alias("partial"))
