@@ -16,12 +16,12 @@ from .components import connected
 SEED = 42
 #: Buckets of up to this many fingerprints compare pairs; larger ones meet in the points at one bit's distance.
 PAIRWISE = 32
-#: Classes of shingles: about so many shingles in one, so many classes used; hashes in a sketch; rounds of representatives.
-CLASS_SIZE, CLASSES, SKETCH, ROUNDS = 4, 16, 512, 3
+#: Classes of shingles: about so many shingles in one, so many classes used; hashes in a sketch.
+CLASS_SIZE, CLASSES, SKETCH = 4, 16, 512
+#: Documents of a bucket that one task holds from each side; larger buckets meet so many of their members first.
+BLOCK, HEADS = 512, 16
 #: Similarities that a sketch puts this near to the threshold (five standard errors) are computed from all hashes.
 MARGIN = 0.09
-#: Hashes of a pair that are looked at first, and how far below the threshold (five standard errors) they end it.
-HEAD, HEAD_MARGIN = 64, 0.25
 
 
 def fingerprint(data: bytes, words: int = 3) -> int:
@@ -156,11 +156,51 @@ def class_keys(hashes: np.ndarray) -> np.ndarray:
 
 
 def estimated_jaccard(a: np.ndarray, b: np.ndarray, size: int = SKETCH) -> float:
-    """Jaccard similarity from bottom sketches: of the least ``size`` hashes of both texts, the share that both have."""
+    """Jaccard similarity of two bottom sketches: of the least ``size`` hashes of both texts, the share that both have."""
     union = np.union1d(a, b)[:size]
     return float(np.isin(union, np.intersect1d(a, b, assume_unique=True), assume_unique=True).sum()) / max(1, len(union))
 
 
+def compare(rows: pa.Table, similarity: float) -> pa.Table:
+    """a, b, unsure: links between the rows with ``side`` and those without it, by sketches; a > b.
+
+    Of two sketches the hashes up to the least of their ends are known whole; their Jaccard similarity is exact where
+    no sketch is cut off, else an estimate, and unsure within MARGIN of the threshold. Rows of one ``part`` are linked
+    already. Of the links only a forest comes back, with the unsure pairs that it leaves in different trees.
+    """
+    side, ids = np.array(rows["side"], bool), np.array(rows["doc_id"], np.int64)
+    sizes = np.array(rows["n"], np.int64)
+    tree = np.unique(np.array(rows["part"], np.int64), return_inverse=True)[1]
+    low = [np.frombuffer(x.as_buffer(), "<u4") for x in rows["low"]]
+    cut = np.array([len(x) for x in low]) < sizes
+    top = np.array([x[-1] if c else 0xFFFFFFFF for x, c in zip(low, cut)], np.uint32)
+    xs, ys = np.flatnonzero(side), np.flatnonzero(~side)
+    found, doubtful = [], []
+    if len(xs) and len(ys):
+        flat = np.concatenate([low[y] for y in ys])
+        starts = np.cumsum([0] + [len(low[y]) for y in ys[:-1]])
+        known, place = np.unique(flat, return_inverse=True)
+        for x in xs:
+            own = np.isin(known, low[x], assume_unique=True)
+            shared = np.add.reduceat(own[place], starts, dtype=np.int64)
+            mine = np.searchsorted(low[x], top[ys], "right")
+            theirs = np.add.reduceat(flat <= top[x], starts, dtype=np.int64)
+            union = mine + theirs - shared
+            fits = np.minimum(sizes[x], sizes[ys]) >= similarity * np.maximum(sizes[x], sizes[ys]) - 1e-9
+            vague = cut[x] | cut[ys]
+            high = fits & (shared >= (similarity + np.where(vague, MARGIN, 0.0)) * union - 1e-9)
+            unsure = fits & vague & ~high & (shared > (similarity - MARGIN) * union)
+            doubtful.extend((x, y) for y in ys[unsure & (tree[ys] != tree[x])])
+            trees, first = np.unique(tree[ys[high]], return_index=True)
+            other = trees != tree[x]
+            found.extend((x, y, False) for y in ys[high][first[other]])
+            tree[np.isin(tree, trees[other])] = tree[x]
+    found.extend((x, y, True) for x, y in doubtful if tree[x] != tree[y])
+    got = [(max(ids[x], ids[y]), min(ids[x], ids[y]), unsure) for x, y, unsure in found]
+    columns = zip(*got) if got else ([], [], [])
+    return pa.table([pa.array(list(c), t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.bool_()))], names=["a", "b", "unsure"])
+
+
 def sketches(docs: DataFrame, id_col: str, text_col: str, words: int) -> DataFrame:
     """Per row of ``docs``: doc_id, th (text hash), fp, keys, n (shingles), low (the least hashes)."""
 
@@ -172,7 +212,7 @@ def sketches(docs: DataFrame, id_col: str, text_col: str, words: int) -> DataFra
                 fps.append(int(majority(h, np.zeros(1, np.int64))[0]) if len(h) else 0)
                 keys.append(class_keys(h).view(np.int64))
                 sizes.append(len(h))
-                low.append(np.sort((h >> np.uint64(32)).astype("<u4"))[:SKETCH].tobytes())
+                low.append(np.unique((h >> np.uint64(32)).astype("<u4"))[:SKETCH].tobytes())
             columns = [pa.array(np.array(fps, np.uint64).view(np.int64)), pa.array(keys, pa.list_(pa.int64())), pa.array(sizes, pa.int64()), pa.array(low, pa.binary())]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), *columns], names=["doc_id", "th", "fp", "keys", "n", "low"])
 
@@ -190,7 +230,7 @@ def all_hashes(docs: DataFrame, wanted: DataFrame, ws: Workspace, id_col: str, t
 
     wanted = ws.save(wanted.select(F.col("doc_id").alias("w_id"), F.col("th").alias("w_th"), "v").distinct(), "wanted")
     texts = id_text(docs, id_col, text_col).withColumn("th", text_hash())
-    met = texts.join(wanted.hint("shuffle_hash"), texts["doc_id"].eqNullSafe(wanted["w_id"]) & (texts["th"] == wanted["w_th"]))
+    met = texts.join(wanted, texts["doc_id"].eqNullSafe(wanted["w_id"]) & (texts["th"] == wanted["w_th"]))
     # Rows that repeat an id and text have equal hashes.
     return ws.save(met.select("v", "text").mapInArrow(work, "v long, whole array<int>"), "whole").dropDuplicates(["v"])
 
@@ -208,92 +248,69 @@ def vertices(each: DataFrame, ws: Workspace) -> DataFrame:
     return ws.save(each.join(ranked, F.col("doc_id").eqNullSafe(F.col("r_id")) & (F.col("th") == F.col("r_th"))).drop("r_id", "r_th"), "vertices")
 
 
+def _met(x: DataFrame, y: DataFrame, known: DataFrame, ws: Workspace, similarity: float, deal: bool) -> DataFrame:
+    """a, b, unsure: links between members ``x`` and ``y`` (key, doc_id, part) of the same buckets.
+
+    Both sides of a bucket are split into blocks of about BLOCK documents by the hash of the id; each block of one side
+    meets each of the other in a task of its own, so that no pair is ever a row and a hot bucket is spread over tasks.
+    """
+    many = x.groupBy("key").agg(F.count(F.lit(1)).alias("nx")).join(y.groupBy("key").agg(F.count(F.lit(1)).alias("ny")), "key")
+    many = ws.save(many.select("key", F.ceil(F.col("nx") / BLOCK).alias("bx"), F.ceil(F.col("ny") / BLOCK).alias("by")), "blocks")
+    own = lambda blocks: F.pmod(F.xxhash64("doc_id"), F.col(blocks))
+    each = lambda blocks: F.explode(F.sequence(F.lit(0).cast("long"), F.col(blocks) - 1))
+    left = x.join(many, "key").select("key", "doc_id", "part", F.lit(True).alias("side"), own("bx").alias("i"), each("by").alias("j"))
+    right = y.join(many, "key").select("key", "doc_id", "part", F.lit(False).alias("side"), each("bx").alias("i"), own("by").alias("j"))
+    rows = ws.save(left.unionByName(right), "rows")
+    rows = known.join(rows.hint("shuffle_hash") if deal else rows, "doc_id").select("key", "i", "j", "side", "doc_id", "part", "n", "low")
+    links = rows.groupBy("key", "i", "j").applyInArrow(lambda t: compare(t, similarity), "a long, b long, unsure boolean")
+    return ws.save(links, "links")
+
+
 def similar_links(each: DataFrame, ws: Workspace, similarity: float, whole_of: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
     """(a, b) with a > b: documents that share the SimHash of a class, and whose similarity is high enough.
 
+    The components of these links are those of all similar pairs that share a bucket; not every such pair is a link.
     Sketches tell most similarities; those within MARGIN of the threshold come from all hashes of the two texts, which
-    ``whole_of`` gives (doc_id, whole) for some ids; without it sketches tell all.
+    ``whole_of`` gives (doc_id, whole) for some ids; without it they are left out.
 
-    In each bucket all documents meet the one with the least id; those that are unlike it meet the least among
-    themselves in the next round. That gives n candidates a round, and joins most of a bucket into components. Then
-    all pairs of a bucket that lie in different components are judged, so that the components of the links are those of
-    all similar pairs that share a bucket. Only a bucket of many unlike documents comes to the square of its size.
+    Of buckets with the same members one is kept. The members of a bucket larger than a block first meet HEADS of its
+    members, which joins most copies at a cost in proportion. Then the members outside a bucket's largest component
+    meet all of the bucket. Only a bucket of many unlike documents comes to the square of its size, in worker memory.
     """
 
-    def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            pairs = zip(batch.column(2), batch.column(3))
-            got = np.array([estimated_jaccard(np.frombuffer(x.as_buffer(), "<u4"), np.frombuffer(y.as_buffer(), "<u4")) for x, y in pairs], float)
-            partial = np.array(batch.column(4), bool) & (np.abs(got - similarity) < MARGIN)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(got >= similarity), pa.array(partial)], names=["a", "b", "alike", "unsure"])
-
-    def glance(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            pairs = zip(batch.column(2), batch.column(3))
-            got = np.array([estimated_jaccard(np.frombuffer(x.as_buffer(), "<u4"), np.frombuffer(y.as_buffer(), "<u4"), HEAD) for x, y in pairs], float)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(got >= similarity - HEAD_MARGIN)], names=["a", "b", "may"])
-
-    def verdicts(pairs: DataFrame) -> DataFrame:
-        # Most pairs end at the heads of their sketches, so that few whole ones travel.
-        head = lambda x: known.select(F.col("doc_id").alias(x), F.substring("low", 1, 4 * HEAD).alias(f"head_{x}"))
-        seen = pairs.join(head("a"), "a").join(head("b"), "b").select("a", "b", "head_a", "head_b")
-        seen = ws.save(seen.mapInArrow(glance, "a long, b long, may boolean"), "seen")
-        unlike = seen.where("not may").select("a", "b", F.lit(False).alias("alike"), F.lit(False).alias("unsure"))
-        return unlike.unionByName(_whole_verdicts(seen.where("may").select("a", "b")))
-
-    def _whole_verdicts(pairs: DataFrame) -> DataFrame:
-        side = lambda x: known.select(F.col("doc_id").alias(x), F.col("low").alias(f"low_{x}"), F.col("n").alias(f"n_{x}"))
-        both = pairs.join(side("a"), "a").join(side("b"), "b")
-        both = both.select("a", "b", "low_a", "low_b", (F.greatest("n_a", "n_b") > SKETCH).alias("partial"))
-        return both.mapInArrow(judge, "a long, b long, alike boolean, unsure boolean")
-
     def exactly(unsure: DataFrame) -> DataFrame:
         if whole_of is None or unsure.isEmpty():
-            return unsure.select("a", "b", "alike")
+            return unsure.select("a", "b").limit(0)
         ids = unsure.select(F.col("a").alias("doc_id")).unionByName(unsure.select(F.col("b").alias("doc_id"))).distinct()
         whole = whole_of(ids)
         side = lambda x: whole.select(F.col("doc_id").alias(x), F.col("whole").alias(f"whole_{x}"))
         shared = F.size(F.array_intersect("whole_a", "whole_b"))  # a pair is one row, whatever its length
         both = unsure.select("a", "b").join(side("a"), "a").join(side("b"), "b")
         both = both.select("a", "b", shared.alias("s"), (F.size("whole_a") + F.size("whole_b") - shared).alias("u"))
-        return ws.save(both.select("a", "b", (F.col("s") >= F.lit(similarity) * F.col("u") - 1e-9).alias("alike")), "exact")
-
-    near = lambda n, m: F.least(n, m) >= similarity * 0.9 * F.greatest(n, m)
-    dealt = ws.save(each.where("doc_id is not null").select("doc_id", "n", F.explode("keys").alias("key")).distinct(), "dealt")
-    known = each.where("doc_id is not null").groupBy("doc_id").agg(F.max_by("low", "n").alias("low"), F.max("n").alias("n"))
-    members, judged = dealt, None
-    for _ in range(ROUNDS):
-        heads = members.groupBy("key").agg(F.min(F.struct("doc_id", "n")).alias("h"), F.count(F.lit(1)).alias("size")).where("size > 1")
-        # Saved, here and below, so that the join does not keep the grouping's partitions: a hot key can be split over tasks.
-        heads = ws.save(heads.select("key", F.col("h.doc_id").alias("b"), F.col("h.n").alias("bn")), "heads")
-        met = ws.save(members.join(heads, "key").where("doc_id > b"), "met")
-        fresh = met.where(near(F.col("n"), F.col("bn"))).select(F.col("doc_id").alias("a"), "b").distinct()
-        if judged is not None:
-            fresh = fresh.join(judged.select("a", "b"), ["a", "b"], "left_anti")
-        new = verdicts(fresh)
-        judged = ws.save(new if judged is None else judged.unionByName(new), "judged")
-        alike = judged.where("alike and not unsure").select(F.col("a").alias("doc_id"), "b")
-        members, old = ws.save(met.join(alike, ["doc_id", "b"], "left_anti").select("doc_id", "n", "key"), "members"), members
-        if old is not dealt:
-            ws.drop(old)
-        ws.drop(met)
-    ws.drop(members)
-    roots = connected(judged.where("alike and not unsure").select("a", "b"), ws)
-    shared = ws.save(dealt.groupBy("key").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select("key"), "shared")
-    placed = dealt.join(shared, "key").join(roots.select(F.col("v").alias("doc_id"), "root"), "doc_id", "left").select("key", "doc_id", "n", F.coalesce("root", "doc_id").alias("part"))
-    placed = ws.save(placed, "placed")
+        return ws.save(both.where(F.col("s") >= F.lit(similarity) * F.col("u") - 1e-9).select("a", "b"), "exact")
+
+    known = each.where("doc_id is not null").select("doc_id", "n", "low")
+    if known.groupBy("doc_id").agg(F.count(F.lit(1)).alias("rows")).where("rows > 1").limit(1).count():
+        # A document is one vertex however many rows repeat it; its rows agree in all columns.
+        known = ws.save(known.dropDuplicates(["doc_id"]), "known")
+    dealt = ws.save(each.where("doc_id is not null").select("doc_id", F.explode("keys").alias("key")).distinct(), "dealt")
+    sets = dealt.groupBy("key").agg(F.count(F.lit(1)).alias("size"), F.bit_xor(F.xxhash64("doc_id")).alias("s"), F.bit_xor(F.xxhash64("doc_id", F.lit(1))).alias("t"))
+    # Saved, here and below, so that the join does not keep the grouping's partitions: a hot key can be split over tasks.
+    shared = ws.save(sets.where("size > 1").groupBy("size", "s", "t").agg(F.min("key").alias("key")).select("key", "size"), "shared")
+    members = ws.save(dealt.join(shared, "key"), "members")
     ws.drop(dealt)
+    hot = members.where(F.col("size") > BLOCK).select("key", "doc_id", F.col("doc_id").alias("part"))
+    heads = hot.groupBy("key", F.pmod(F.xxhash64("doc_id"), F.lit(HEADS)).alias("k")).agg(F.min("doc_id").alias("doc_id"))
+    first = _met(heads.select("key", "doc_id", F.col("doc_id").alias("part")), hot, known, ws, similarity, False)
+    roots = connected(first.where("not unsure").select("a", "b"), ws)
+    placed = members.join(roots.select(F.col("v").alias("doc_id"), "root"), "doc_id", "left").select("key", "doc_id", F.coalesce("root", "doc_id").alias("part"))
+    placed = ws.save(placed, "placed")
     parts = placed.groupBy("key", "part").agg(F.count(F.lit(1)).alias("size"))
     mixed = parts.groupBy("key").agg(F.max(F.struct("size", "part"))["part"].alias("main"), F.count(F.lit(1)).alias("parts")).where("parts > 1").select("key", "main")
-    # The rest of a bucket meets its largest component and each other.
     mixed = ws.save(placed.join(ws.save(mixed, "main"), "key"), "mixed")
-    x = mixed.where("part <> main").select("key", F.col("doc_id").alias("x"), F.col("n").alias("xn"), F.col("part").alias("xp"))
-    y = mixed.select("key", F.col("doc_id").alias("y"), F.col("n").alias("yn"), F.col("part").alias("yp"), "main")
-    met = x.join(y, "key").where((F.col("xp") != F.col("yp")) & ((F.col("yp") == F.col("main")) | (F.col("x") < F.col("y"))) & near(F.col("xn"), F.col("yn")))
-    pairs = met.select(F.greatest("x", "y").alias("a"), F.least("x", "y").alias("b")).distinct().join(judged.select("a", "b"), ["a", "b"], "left_anti")
-    rest = ws.save(verdicts(ws.save(pairs, "pairs")), "rest")
-    every = judged.unionByName(rest)
-    return every.where("not unsure").select("a", "b", "alike").unionByName(exactly(every.where("unsure"))).where("alike").select("a", "b")
+    rest = _met(mixed.where("part <> main").select("key", "doc_id", "part"), mixed.select("key", "doc_id", "part"), known, ws, similarity, True)
+    every = first.unionByName(rest)
+    return every.where("not unsure").select("a", "b").unionByName(exactly(every.where("unsure").select("a", "b").distinct()))
 
 
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 5, radius: int = 2, similarity: float = 0.8) -> DataFrame:
