@@ -45,6 +45,17 @@ def test_late_rows_are_dropped(spark, tmp_path):
     assert got == {"2024-01-05": 3, "2024-01-08": 1}
 
 
+def test_appended_rows_stay_out_of_the_driver(spark, tmp_path):
+    for n in (0, 3):
+        folder = f"{tmp_path}/{n}"
+        rows = spark.range(n).select("id", F.timestamp_seconds("id").alias("ts"))
+        rows.write.parquet(f"{folder}/in")
+        out = stream.run_to_end(spark.readStream.schema(rows.schema).parquet(f"{folder}/in"), f"qm_appended_{n}", "append", f"{folder}/checkpoint")
+        assert (out.count(), out.columns) == (n, ["id", "ts"])
+        assert out.inputFiles() and all("/checkpoint-rows/" in f for f in out.inputFiles())
+        assert not spark.catalog.tableExists(f"qm_appended_{n}")
+
+
 def test_feedback_sink_replaces_a_repeated_batch(spark, tmp_path):
     from querymarks.sources import workloads as wl
 
