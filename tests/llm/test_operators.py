@@ -225,6 +225,45 @@ def test_long_pairs_at_the_threshold_are_judged_exactly(spark):
     assert kept & met == {2 * k for k in range(40)} & met | want & met and kept >= {2 * k for k in range(40)} | want
 
 
+@pytest.mark.parametrize("block, volume", [(512, 1 << 22), (16, 1 << 13)])
+def test_unsure_pairs_of_a_bucket_are_no_rows(spark, monkeypatch, block, volume):
+    """Long texts around one template, most pairs within the margin of the threshold, against their shingle sets."""
+    rng = random.Random(14)
+    template = [f"t{k}" for k in range(620)]
+    rows = []
+    for k in range(50):
+        own = template + [f"o{k}_{j}" for j in range(80)]
+        rows.append((2 * k, " ".join(own)))
+        if k % 3 == 0:
+            cut = 696 * 8 // 10 + rng.randint(-12, 30)
+            rows.append((2 * k + 1, " ".join(own[700 - cut - 4 :])))
+    tables, save = {"rows": [], "links": []}, Workspace.save
+
+    def keep(ws, df, label="part"):
+        got = save(ws, df, label)
+        if label in tables:
+            tables[label].append(got)
+        return got
+
+    monkeypatch.setattr(simhash, "BLOCK", block)
+    monkeypatch.setattr(simhash, "VOLUME", volume, raising=False)
+    monkeypatch.setattr(Workspace, "save", keep)
+    kept = {r["doc_id"] for r in simhash.drop_near_copies(frame(spark, rows)).collect()}
+    dealt, links = (sum(df.count() for df in tables[label]) for label in ("rows", "links"))
+    assert links <= 2 * dealt
+    held = {r["doc_id"]: (set(r["keys"]), r["fp"]) for r in simhash.sketches(frame(spark, rows), "doc_id", "text", 5).collect()}
+    sets = {i: {tuple(w[k : k + 5]) for k in range(len(w) - 4)} for i, w in ((i, t.split()) for i, t in rows)}
+    root, close, linked = {i: i for i in held}, 0, 0
+    for a, b in itertools.combinations(sorted(held), 2):
+        alike = len(sets[a] & sets[b]) / len(sets[a] | sets[b]) if held[a][0] & held[b][0] else 0.0
+        close, linked = close + (abs(alike - 0.8) < 0.05), linked + (alike >= 0.8)
+        if alike >= 0.8 or (((held[a][1] ^ held[b][1]) & (1 << 64) - 1).bit_count() <= 2):
+            low, high = sorted((root[a], root[b]))
+            root = {i: low if r == high else r for i, r in root.items()}
+    assert close > 300 and linked > 5
+    assert kept == {i for i, r in root.items() if i == r}
+
+
 # -- tokens
 def library(own):
     import tiktoken
